@@ -16,6 +16,7 @@ from __future__ import annotations
 
 import re
 from collections.abc import Iterator
+from itertools import repeat
 
 import ahocorasick
 import numpy as np
@@ -25,7 +26,8 @@ from pyspark.sql import functions as F
 
 from .common import alnum_words
 
-WORD = re.compile(r"[^\x00-\x2F\x3A-\x60\x7B-\x7F]+")
+#: The same words in a text whose capitals still stand.
+WORD = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
 #: Windows that one automaton may hold; more items are scanned in further passes of so many.
 MOST_WINDOWS = 500_000
 
@@ -55,21 +57,21 @@ def build(items: list[tuple[int, list[bytes]]], n: int) -> tuple[dict[bytes, int
     return vocabulary, found
 
 
-def scan(words: list[bytes], vocabulary: dict[bytes, int], found: ahocorasick.Automaton) -> tuple[list[tuple[int, int]], set[int]]:
+def scan(words: list[bytes], vocabulary: dict[bytes, int], found: ahocorasick.Automaton, shortest: int) -> tuple[list[tuple[int, int]], set[int]]:
     """Word runs [start, stop) that windows cover, merged, and the items they belong to."""
     runs: list[tuple[int, int]] = []
     items: set[int] = set()
-    known = vocabulary.get
-    ids = tuple([known(w, 0) for w in words])
-    if not any(ids):
-        return runs, items
-    for last, (length, who) in found.iter(ids):
-        start, stop = last - length + 1, last + 1
-        while runs and start <= runs[-1][1]:  # ends come in order, so only the last runs can touch
-            before = runs.pop()
-            start, stop = min(start, before[0]), max(stop, before[1])
-        runs.append((start, stop))
-        items.update(who)
+    ids = np.fromiter(map(vocabulary.get, words, repeat(0)), np.int32, len(words))
+    # A word outside the vocabulary sends the automaton to its root, so the stretches between such words are walked apart, and those shorter than any window not at all.
+    edges = np.nonzero(np.diff(np.concatenate([[0], ids != 0, [0]]).astype(np.int8)))[0].reshape(-1, 2)
+    for begin, end in edges[edges[:, 1] - edges[:, 0] >= shortest].tolist():
+        for last, (length, who) in found.iter(tuple(ids[begin:end].tolist())):
+            start, stop = begin + last - length + 1, begin + last + 1
+            while runs and start <= runs[-1][1]:  # ends come in order, so only the last runs can touch
+                before = runs.pop()
+                start, stop = min(start, before[0]), max(stop, before[1])
+            runs.append((start, stop))
+            items.update(who)
     return runs, items
 
 
@@ -99,12 +101,13 @@ def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 10, id_col: str =
     def pass_over(block: list[tuple[int, list[bytes]]], last: bool):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             vocabulary, found = build(block, n)
+            shortest = min((min(len(w), n) for _, w in block), default=n)
             for b in batches:
                 out_n, out_hit, out_items, out_runs, out_spans = [], [], [], [], []
                 before = zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)
                 for text, (had, was) in zip(b.column(1).to_pylist(), before, strict=True):
                     words = alnum_words(text)
-                    runs, who = scan(words, vocabulary, found) if block and words else ([], set())
+                    runs, who = scan(words, vocabulary, found, shortest) if block and words else ([], set())
                     who |= set(had or ())
                     runs = merged(runs, [(x["start"], x["stop"]) for x in was or ()])
                     out_n.append(len(words))

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, urlfilter, warc
+from . import decontam, topk, urlfilter, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -20,6 +20,10 @@ def op4_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
     return urlfilter.judge(table(spark, sf_dir, "pages"), table(spark, sf_dir, "labels"))
 
 
+def op5_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return topk.top_k(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
+
+
 def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontam.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     names = F.array_sort(F.transform("items", lambda i: i.cast("string")))
@@ -29,6 +33,7 @@ def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     "op3_warc": op3_warc,
     "op4_url_filter": op4_url_filter,
+    "op5_top_k": op5_top_k,
     "op10_decontamination": op10_decontamination,
 }
 
@@ -45,6 +50,13 @@ select q.page_id, cast(payload_bytes as bigint) as payload_bytes, q.payload_dige
        case when payload_bytes >= 1000 and page_id <> head then 'revisit' else 'response' end as record_type,
        case when payload_bytes >= 1000 and page_id <> head then head end as refers_to
 from q left join m using (payload_digest)""",
+    "op5_top_k": """
+with v as (select vec_id, list_transform(embedding, lambda x: cast(floor(1024 * cast(x as double)) as bigint)) as e
+           from embeddings where embedding is not null and len(list_filter(embedding, lambda x: x is null or isnan(x) or isinf(x))) = 0),
+p as (select q.vec_id as query_id, c.vec_id as vec_id, cast(list_sum(list_transform(range(1, len(q.e) + 1), lambda i: q.e[i] * c.e[i])) as bigint) as score
+      from v q join v c on q.vec_id <> c.vec_id where q.vec_id % 100 = 0),
+r as (select *, cast(row_number() over (partition by query_id order by score desc, vec_id) as integer) as rank from p)
+select query_id, rank, vec_id, score from r where rank <= 10""",
     "op10_decontamination": f"""
 with d as (select doc_id, coalesce({_ALNUM.format('text')}, []) as w from documents),
 b as (select item_id, {_ALNUM.format('text')} as w from benchmark where item_id is not null and text is not null),
