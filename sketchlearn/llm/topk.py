@@ -13,7 +13,8 @@ likewise, so neither a frequent vector nor a full cell gathers in one task.
 
 Defined results: a vector that is null or holds null or non-finite components
 takes no part; vectors meet only vectors of the same length; of repeated ids
-each row counts as a candidate, and none is a candidate of its own id; ties go
+each row counts as a candidate, and none is a candidate of its own id; a
+query row given twice asks once; ties go
 to the smaller id; fewer candidates than k give fewer rows.
 """
 
@@ -121,7 +122,7 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 10, scale: int = 1024,
         ids = pdf["vec_id"].to_numpy(np.int64).tobytes()
         return pd.DataFrame({"d": d, "cell": [c for c, _ in held], "least": [t for _, t in held], "qids": ids, "q": b"".join(pdf["v"])})
 
-    asked = placed.where("asks").withColumn("block", salted({key: v[3] for key, v in cells.items()}, QUERY_BLOCK)).groupBy("d", "cell", "block").applyInPandas(plan, "d int, cell int, least double, qids binary, q binary")
+    asked = placed.where("asks").dropDuplicates(["vec_id", "v"]).withColumn("block", salted({key: v[3] for key, v in cells.items()}, QUERY_BLOCK)).groupBy("d", "cell", "block").applyInPandas(plan, "d int, cell int, least double, qids binary, q binary")
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
