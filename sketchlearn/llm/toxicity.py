@@ -7,7 +7,7 @@ that did not see the row (out of fold), so that later models meet earlier
 predictions as good or bad as they will be on new texts.
 
 The chain is fitted on the driver on a bounded sample of labelled rows
-(`max_rows`, chosen by a hash of text and label: a documented bound); scoring reads every
+(`max_rows`, chosen by a hash of the id, a documented bound); scoring reads every
 text whole, in one map-only pass.
 
 Defined results: a null or empty text scores as a text without words; labels
@@ -31,7 +31,7 @@ from .common import alnum_words
 
 #: Order of the chain; each is a column of `labels` turned into 0/1 by LABELS.
 CATEGORIES = ("low_quality", "toxic")
-BITS, PREFIXES, FOLDS, MAX_ROWS = 18, (4, 5, 6, 7), 3, 12_000
+BITS, PREFIXES, FOLDS, MAX_ROWS = 18, (4, 5, 6, 7), 3, 6_000
 #: A feature tells something if it is in so many rows at least and its chi-square is so high.
 MIN_ROWS, MIN_CHI = 4, 18.0
 CACHE = 200_000
@@ -82,7 +82,7 @@ class Rows:
         self.sizes = np.array([len(i) for i, _ in rows], np.int64)
         self.ids = np.concatenate([i for i, _ in rows]) if rows else np.zeros(0, np.int32)
         self.vals = np.concatenate([v for _, v in rows]) if rows else np.zeros(0, np.float32)
-        self.row = np.repeat(np.arange(len(rows)), self.sizes)
+        self.row = np.repeat(np.arange(len(rows), dtype=np.int32), self.sizes)
 
     def times(self, w: np.ndarray) -> np.ndarray:
         return np.bincount(self.row, self.vals * w[self.ids], len(self.sizes))
@@ -192,12 +192,16 @@ def best_cut(score: np.ndarray, y: np.ndarray) -> float:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFrame:
-    """At most max_rows labelled rows: those with the smallest hash of text and id, the rarer class (toxic 1) first up to half of them."""
-    said = labels.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(1 - F.col("quality")).alias("low_quality"), F.max("toxic").alias("toxic")).where("low_quality is not null and toxic is not null")
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(said, "doc_id")
-    rows = rows.withColumn("key", F.xxhash64("text"))
-    by_hash = lambda part, n: part.orderBy("key", "doc_id").limit(n)
-    return by_hash(rows.where("toxic = 1"), max_rows // 2).unionByName(by_hash(rows.where("toxic = 0"), max_rows - max_rows // 2))
+    """At most max_rows labelled rows, by a hash of the id, toxic ones first up to half of them.
+
+    The sample is drawn from the labels alone, so that only its ids (max_rows at
+    most, which bounds the broadcast) meet the documents and no text is shuffled.
+    """
+    said = labels.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(1 - F.col("quality")).alias("low_quality"), F.max("toxic").alias("toxic")).where("doc_id is not null and low_quality is not null and toxic is not null")
+    by_hash = lambda part, n: part.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)
+    chosen = by_hash(said.where("toxic = 1"), max_rows // 2).unionByName(by_hash(said.where("toxic = 0"), max_rows - max_rows // 2))
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
+    return rows.withColumn("key", F.xxhash64("text")).orderBy("key", "doc_id").limit(max_rows)
 
 
 def classify(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, train_docs: DataFrame | None = None) -> DataFrame:
