@@ -16,7 +16,6 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
-import xxhash
 import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -41,23 +40,6 @@ def alnum_words(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "surrogatepass").translate(ALNUM_TABLE).split()
 
 
-class WordHashes(dict):
-    """64-bit hashes of words, with a cache of bounded size."""
-
-    def __init__(self, most: int = 300_000):
-        super().__init__()
-        self.most = most
-
-    def __missing__(self, word: bytes) -> int:
-        value = xxhash.xxh3_64_intdigest(word)
-        if len(self) < self.most:
-            self[word] = value
-        return value
-
-    def array(self, words: list[bytes]) -> np.ndarray:
-        return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
-
-
 def mix64(x: np.ndarray) -> np.ndarray:
     """The finaliser of splitmix64."""
     x = x.astype(np.uint64, copy=True)
@@ -69,6 +51,49 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
+_BASE, _CHUNK = 0xD1342543DE82EF95, 1 << 20
+_powers: dict[str, np.ndarray] = {}
+
+
+def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
+    """The first n powers of the base and of its inverse, modulo 2^64."""
+    if len(_powers.get("up", ())) < n:
+        n = max(n, _CHUNK + 4096)
+        for name, base in (("up", _BASE), ("down", pow(_BASE, -1, 1 << 64))):
+            p = np.full(n, base, np.uint64)
+            p[0] = 1
+            _powers[name] = np.multiply.accumulate(p)
+    return _powers["up"], _powers["down"]
+
+
+_BLANK = np.zeros(256, bool)
+_BLANK[[32, 9, 10, 11, 12, 13]] = True
+
+
+def word_spans(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Byte offsets of the words between blanks: starts, ends."""
+    inside = np.zeros(len(data) + 2, np.int8)
+    inside[1:-1] = ~_BLANK[data]
+    step = np.diff(inside)
+    return np.nonzero(step == 1)[0], np.nonzero(step == -1)[0]
+
+
+def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of byte spans in order: a polynomial from running sums, then mixed with the length. Works through about 1 MB at a time."""
+    out, i, n = np.empty(len(starts), np.uint64), 0, len(starts)
+    while i < n:
+        low = int(starts[i])
+        j = int(np.searchsorted(starts, low + _CHUNK, "left"))
+        high = int(ends[j - 1])
+        up, down = powers(high - low + 1)
+        sums = np.zeros(high - low + 1, np.uint64)
+        np.cumsum((data[low:high].astype(np.uint64) + np.uint64(1)) * up[: high - low], out=sums[1:])
+        a, z = starts[i:j] - low, ends[i:j] - low
+        out[i:j] = mix64((sums[z] - sums[a]) * down[a] + (z - a).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
+        i = j
+    return out
+
+
 def shared_dir(spark: SparkSession) -> str:
     """A new folder below spark.checkpoint.dir. Only where that is unset (tests on one machine) a local one is set."""
     top = spark.conf.get("spark.checkpoint.dir", None)
@@ -98,7 +123,7 @@ def task_partition() -> int:
 # ---------------------------------------------------------------- pages of documents
 
 PAGE_SCHEMA = "page long, ids binary, body binary, n_words long"
-PAGE_CHARS = 4_000_000
+PAGE_CHARS = 2_000_000
 
 
 def pack_rows(ids: list, texts: list) -> tuple[bytes, bytes]:
@@ -109,26 +134,50 @@ def pack_rows(ids: list, texts: list) -> tuple[bytes, bytes]:
     null = np.array([i is None for i in ids], np.uint8)
     z = zstandard.ZstdCompressor(level=1)
     head = np.int64(len(ids)).tobytes() + held.tobytes() + null.tobytes() + sizes.tobytes()
-    return z.compress(head), z.compress(b"".join(t for t in raw if t))
+    return z.compress(head), z.compress(b"".join((t or b"") + b"\n" for t in raw))
 
 
-def unpack_rows(head: bytes, body: bytes) -> tuple[list, list[bytes | None]]:
+def unpack_rows(head: bytes, body: bytes) -> tuple[list, np.ndarray, bytes]:
+    """Ids, sizes in bytes (-1: null) and the texts in a row, each with a line end after it."""
     z = zstandard.ZstdDecompressor()
-    head, body = z.decompress(head), z.decompress(body)
+    head = z.decompress(head)
     n = int(np.frombuffer(head, np.int64, 1)[0])
     ids = np.frombuffer(head, np.int64, n, 8).tolist()
     null = np.frombuffer(head, np.uint8, n, 8 + 8 * n)
-    sizes = np.frombuffer(head, np.int64, n, 8 + 9 * n).tolist()
-    ids = [None if x else i for i, x in zip(ids, null.tolist(), strict=True)]
-    texts, at = [], 0
-    for s in sizes:
-        texts.append(None if s < 0 else body[at : at + s])
-        at += max(s, 0)
-    return ids, texts
+    sizes = np.frombuffer(head, np.int64, n, 8 + 9 * n)
+    return [None if x else i for i, x in zip(ids, null.tolist(), strict=True)], sizes, z.decompress(body)
+
+
+def text_of(sizes: np.ndarray, body: bytes) -> list[bytes | None]:
+    at = np.cumsum(np.maximum(sizes, 0) + 1).tolist()
+    return [None if s < 0 else body[e - 1 - s : e - 1] for s, e in zip(sizes.tolist(), at, strict=True)]
+
+
+class Page:
+    """The documents of a page as one array of word hashes, with a sentinel (0) before the first and after each."""
+
+    def __init__(self, head: bytes, body: bytes, table: bytes | None = None):
+        self.ids, self.chars, self.body = unpack_rows(head, body)
+        raw = self.body if table is None else self.body.translate(table)
+        data = np.frombuffer(raw, np.uint8)
+        starts, ends = word_spans(data)
+        close = np.cumsum(np.maximum(self.chars, 0) + 1)
+        upto = np.searchsorted(starts, close)
+        self.sizes = np.diff(upto, prepend=0)
+        docs = np.arange(len(self.sizes))
+        self.begin = upto - self.sizes + docs + 1
+        self.flat = np.zeros(len(starts) + len(docs) + 1, np.uint64)
+        self.end = np.zeros(len(self.flat), bool)
+        self.end[0] = True
+        self.end[self.begin + self.sizes] = True
+        self.flat[~self.end] = span_hashes(data, starts, ends)
+
+    def texts(self) -> list[bytes | None]:
+        return text_of(self.chars, self.body)
 
 
 def pages(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """Documents in pages of about 4 MB of text each, whole texts, written to the shared folder. A page is one row (page, ids, body, n_words)."""
+    """Documents in pages of about 2 MB of text each, whole texts, written to the shared folder. A page is one row (page, ids, body, n_words)."""
 
     def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         base, made, ids, texts, chars = task_partition() << 32, 0, [], [], 0

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, license, topk, toxicity, urlfilter, warc
+from . import decontam, license, substring, topk, toxicity, urlfilter, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -24,6 +24,10 @@ def op5_top_k(spark: SparkSession, sf_dir: str) -> DataFrame:
     return topk.top_k(table(spark, sf_dir, "embeddings"), F.col("vec_id") % 100 == 0)
 
 
+def op6_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring.removed_digest(table(spark, sf_dir, "documents"))
+
+
 def op7_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = license.scan(table(spark, sf_dir, "documents"))
     at = F.transform("places", lambda p: p.word)
@@ -44,6 +48,7 @@ QUERIES = {
     "op3_warc": op3_warc,
     "op4_url_filter": op4_url_filter,
     "op5_top_k": op5_top_k,
+    "op6_substring_dedup": op6_substring_dedup,
     "op7_license_scan": op7_license_scan,
     "op8_toxicity": op8_toxicity,
     "op10_decontamination": op10_decontamination,
@@ -69,6 +74,15 @@ p as (select q.vec_id as query_id, c.vec_id as vec_id, cast(list_sum(list_transf
       from v q join v c on q.vec_id <> c.vec_id where q.vec_id % 100 = 0),
 r as (select *, cast(row_number() over (partition by query_id order by score desc, vec_id) as integer) as rank from p)
 select query_id, rank, vec_id, score from r where rank <= 10""",
+    "op6_substring_dedup": f"""
+with d as (select row_number() over () as r, doc_id, coalesce({_BLANK.format('text')}, []) as w from documents),
+s as (select r, w, unnest(range(len(w) - 34)) as s from d where len(w) >= 35),
+h as (select r, s, md5(array_to_string(list_slice(w, s + 1, s + 35), ' ')) as h from s),
+twice as (select h from h group by h having count(*) > 1),
+gone as (select r, list(distinct pos) as pos from (select r, unnest(range(s, s + 35)) as pos from h semi join twice using (h)) group by r)
+select doc_id, len(w)::bigint as n_words, coalesce(len(pos), 0)::bigint as n_removed,
+       sha256(array_to_string(case when pos is null then w else list_filter(w, lambda x, i: not list_contains(pos, i - 1)) end, ' ')) as kept_sha256
+from d left join gone using (r)""",
     "op10_decontamination": f"""
 with d as (select doc_id, coalesce({_ALNUM.format('text')}, []) as w from documents),
 b as (select item_id, {_ALNUM.format('text')} as w from benchmark where item_id is not null and text is not null),

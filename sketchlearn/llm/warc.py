@@ -189,7 +189,7 @@ def read_archives(archives: DataFrame, folder: str, payloads: bool = True) -> Da
                         rows = []
                 yield pa.RecordBatch.from_pylist(rows, schema)
 
-    return archives.select("archive").mapInArrow(run, READ)
+    return archives.select("archive").repartition(max(1, archives.count() // 2)).mapInArrow(run, READ)
 
 
 def archive_round_trip(spark: SparkSession, pages: DataFrame, least_bytes: int = 1000) -> DataFrame:
