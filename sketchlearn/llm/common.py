@@ -10,18 +10,21 @@ one entry a batch, and no bucket grows with the copies of a key.
 
 from __future__ import annotations
 
-import tempfile
-import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from ..sources.shared import shared_dir, written
+
+__all__ = ["shared_dir", "written"]
+
 #: Bytes below 0x80 that are letters or digits keep their place, A-Z lower-cased; the rest become blanks.
 ALNUM_TABLE = bytes(b + 32 if 65 <= b <= 90 else b if b >= 128 or 48 <= b <= 57 or 97 <= b <= 122 else 32 for b in range(256))
+LOWER_TABLE = bytes(range(256)).lower()
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 
 
@@ -94,26 +97,6 @@ def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     return out
 
 
-def shared_dir(spark: SparkSession) -> str:
-    """A new folder below spark.checkpoint.dir. Only where that is unset (tests on one machine) a local one is set."""
-    top = spark.conf.get("spark.checkpoint.dir", None)
-    if not top:
-        jvm = spark.sparkContext._jsc.sc().getCheckpointDir()
-        if jvm.isEmpty():
-            spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
-            jvm = spark.sparkContext._jsc.sc().getCheckpointDir()
-        top = jvm.get()
-    return f"{top.rstrip('/')}/tables-{uuid.uuid4().hex[:12]}"
-
-
-def written(df: DataFrame, spark: SparkSession | None = None) -> DataFrame:
-    """The rows of df, written once to the shared folder and read from there: lineage ends here, and a lost executor costs nothing that was written."""
-    spark = spark or df.sparkSession
-    path = shared_dir(spark)
-    df.write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
-
-
 def task_partition() -> int:
     from pyspark import TaskContext
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontam, license, substring, topk, toxicity, urlfilter, warc
+from . import decontam, jaccard, license, substring, topk, toxicity, urlfilter, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -38,6 +38,10 @@ def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.classify(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
 
 
+def op9_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return jaccard.classes(table(spark, sf_dir, "documents"), n=3, num=90, den=100)
+
+
 def op10_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = decontam.decontaminate(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))
     names = F.array_sort(F.transform("items", lambda i: i.cast("string")))
@@ -51,6 +55,7 @@ QUERIES = {
     "op6_substring_dedup": op6_substring_dedup,
     "op7_license_scan": op7_license_scan,
     "op8_toxicity": op8_toxicity,
+    "op9_ngram_jaccard": op9_ngram_jaccard,
     "op10_decontamination": op10_decontamination,
 }
 
@@ -83,6 +88,15 @@ gone as (select r, list(distinct pos) as pos from (select r, unnest(range(s, s +
 select doc_id, len(w)::bigint as n_words, coalesce(len(pos), 0)::bigint as n_removed,
        sha256(array_to_string(case when pos is null then w else list_filter(w, lambda x, i: not list_contains(pos, i - 1)) end, ' ')) as kept_sha256
 from d left join gone using (r)""",
+    "op9_ngram_jaccard": f"""
+with recursive d as (select row_number() over () as r, doc_id, coalesce({_BLANK.format(_LOWER.format('text'))}, []) as w from documents),
+sh as (select distinct r, array_to_string(list_slice(w, s + 1, s + 3), ' ') as g from (select r, w, unnest(range(greatest(1, len(w) - 2))) as s from d where len(w) > 0)),
+n as (select r, count(*) as n from sh group by r),
+common as (select a.r as a, b.r as b, count(*) as k from sh a join sh b on a.g = b.g and a.r <> b.r group by a.r, b.r),
+link as (select a, b from common join n x on x.r = a join n y on y.r = b where 100 * k >= 90 * (x.n + y.n - k)),
+reach as (select r as a, r as b from d union select reach.a, link.b from reach join link on reach.b = link.a)
+select d.doc_id, coalesce(n.n, 0)::bigint as n_shingles, c.component_id from d left join n using (r)
+join (select a, min(doc_id) as component_id from reach join d on d.r = reach.b group by a) c on c.a = d.r""",
     "op10_decontamination": f"""
 with d as (select doc_id, coalesce({_ALNUM.format('text')}, []) as w from documents),
 b as (select item_id, {_ALNUM.format('text')} as w from benchmark where item_id is not null and text is not null),
