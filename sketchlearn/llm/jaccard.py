@@ -5,17 +5,18 @@ least num/den. The steps, none of which makes all pairs of a group:
 
 1. Equal sets are one node. A set's tokens are ordered by their hash; of
    similar sets the first so-and-so many tokens share a certain number (prefix()
-   and least_shared()). A count over the corpus tells which of these tokens
-   stand in more than one set; a set with too few of them has no partner.
-2. The sets that remain are grouped by their first shared token. A group (cut
-   into blocks of bounded size) is solved locally: a pair is compared only if
-   its prefixes share enough and its members aren't linked through others yet.
-3. The linked parts are the groups of the matrix: each stores the union of its
-   members' prefix tokens. Groups whose unions can reach the least number of
-   shared tokens are found by their rarest tokens, the bound is checked on whole
-   unions, and only the groups that qualify are opened and compared, until one
-   link is found: within a group all are linked already.
-4. Components of the groups' links are the classes.
+   and least_shared()). Counts over the corpus tell in how many sets each of
+   these tokens stands; a set with too few that stand elsewhere has no partner.
+2. Of the tokens that do, a set's rarest are enough to meet every partner. Sets
+   that meet through them, directly or by others, form a family (components of
+   the set-token graph: rows and rounds grow with the tokens, not with pairs).
+3. A family is solved locally by the token-group matrix: similar sets (same
+   first shared token) form groups, each stores the union of its tokens, the
+   matrix gives for a query set its overlap with all unions at once, and only
+   groups whose overlap can reach the least number are opened. A group whose
+   members are all linked with the query already stays closed. Families too
+   large for a task are cut into blocks, and each pair of blocks is a task.
+4. Components of the links are the classes.
 
 Words are those between blanks, A-Z lower-cased. All texts, all shingles and all tokens take part; blocks bound a task, and
 blocks of one group meet in step 3, so nothing is lost between them. Shingles
@@ -33,15 +34,15 @@ from collections.abc import Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.graph import connected_components
 from .common import LOWER_TABLE, REQUEST_ARROW, REQUEST_SCHEMA, Page, buckets_for, exchange, mix64, pages, requests, written
-from .substring import distinct, occurs_twice, shared
+from .substring import distinct
 
-#: Sets in one block of a group, and rows of the hot-group table up to which it is broadcast.
-BLOCK, MOST_BROADCAST = 1024, 100_000
+#: Sets in a group of the matrix and in a block of a family, and bytes of sets that a task solves together.
+GROUP, BLOCK, TASK_BYTES = 32, 2048, 8_000_000
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -94,17 +95,6 @@ def least_shared(n: int, num: int, den: int) -> int:
     return min(spare(least_overlap(n, num, den), num, den), least_overlap(n, num, den))
 
 
-def similar(a: np.ndarray, b: np.ndarray, num: int, den: int) -> bool:
-    if len(a) > len(b):
-        a, b = b, a
-    if len(a) * den < num * len(b):
-        return False
-    at = np.searchsorted(b, a)
-    at[at == len(b)] = 0
-    both = int((b[at] == a).sum())
-    return den * both >= num * (len(a) + len(b) - both)
-
-
 def token_keys(tokens: np.ndarray) -> np.ndarray:
     """Prefix tokens are the small hashes; keys are spread over all 64 bits."""
     return mix64(tokens ^ np.uint64(0xA5A5A5A5A5A5A5A5))
@@ -113,50 +103,65 @@ def token_keys(tokens: np.ndarray) -> np.ndarray:
 # ---------------------------------------------------------------- local solving
 
 
-class Members:
-    """Some sets with their prefix tokens, and for a set the numbers of shared prefix tokens with all others."""
-
-    def __init__(self, sets: list[np.ndarray], toks: list[np.ndarray]):
-        self.sets, self.toks = sets, toks
-        names, inverse = np.unique(np.concatenate(toks) if toks else np.zeros(0, np.uint64), return_inverse=True)
-        owner = np.repeat(np.arange(len(toks)), [len(t) for t in toks])
-        order = np.argsort(inverse, kind="stable")
-        self.names, self.owner = names, owner[order]
-        self.at = np.searchsorted(inverse[order], np.arange(len(names) + 1))
-
-    def shared(self, toks: np.ndarray) -> np.ndarray:
-        j = np.searchsorted(self.names, toks)
-        j = j[(j < len(self.names))]
-        j = j[np.isin(self.names[j], toks, assume_unique=False)]
-        parts = [self.owner[self.at[x] : self.at[x + 1]] for x in j.tolist()]
-        return np.bincount(np.concatenate(parts), minlength=len(self.sets)) if parts else np.zeros(len(self.sets), np.int64)
-
-
-def linked_parts(m: Members, num: int, den: int) -> list[int]:
-    """For each set the number of the first set of its linked part."""
-    root = list(range(len(m.sets)))
-
-    def find(i: int) -> int:
-        while root[i] != i:
-            root[i] = root[root[i]]
-            i = root[i]
-        return i
-
-    for i in range(len(m.sets)):
-        n = len(m.sets[i])
-        for j in np.nonzero(m.shared(m.toks[i])[:i] >= least_shared(n, num, den))[0].tolist():
-            a, b = find(i), find(j)
-            if a != b and similar(m.sets[i], m.sets[j], num, den):
-                root[max(a, b)] = min(a, b)
-    return [find(i) for i in range(len(root))]
-
-
-def any_link(left: tuple[list, list], right: Members, num: int, den: int) -> bool:
-    for s, t in zip(*left, strict=True):
-        for j in np.nonzero(right.shared(t) >= least_shared(len(s), num, den))[0].tolist():
-            if similar(s, right.sets[j], num, den):
-                return True
-    return False
+class Matrix:
+    """Groups of sets, and for each token of a group's union the groups that have it."""
+
+    def __init__(self, sets: list[np.ndarray], first: np.ndarray):
+        """first: of each set its first shared token; sets of one first token are a group of at most GROUP sets."""
+        order = np.lexsort(([len(s) for s in sets], first))
+        cuts, run = [0], 0
+        for x, y in zip(order[:-1].tolist(), order[1:].tolist(), strict=True):
+            run += 1
+            if first[x] != first[y] or run - cuts[-1] >= GROUP:
+                cuts.append(run)
+        self.groups = [order[i:j] for i, j in zip(cuts, [*cuts[1:], len(order)], strict=True) if j > i]
+        unions = [np.unique(np.concatenate([sets[i] for i in g])) for g in self.groups]
+        tokens = np.concatenate(unions)
+        sort = np.argsort(tokens, kind="stable")
+        self.tokens, self.owner = tokens[sort], np.repeat(np.arange(len(unions)), [len(u) for u in unions])[sort]
+        self.held: dict[int, tuple[np.ndarray, np.ndarray]] = {}
+        self.sets = sets
+
+    def overlaps(self, query: np.ndarray) -> np.ndarray:
+        """How many tokens of the query each group's union has."""
+        low, high = np.searchsorted(self.tokens, query, "left"), np.searchsorted(self.tokens, query, "right")
+        n = high - low
+        at = np.repeat(low - (np.cumsum(n) - n), n) + np.arange(int(n.sum()))
+        return np.bincount(self.owner[at], minlength=len(self.groups))
+
+    def inside(self, group: int, query: np.ndarray) -> np.ndarray:
+        """How many tokens of the query each member of an opened group has."""
+        if group not in self.held:
+            who = self.groups[group]
+            self.held[group] = np.concatenate([self.sets[i] for i in who]), np.repeat(np.arange(len(who)), [len(self.sets[i]) for i in who])
+        tokens, owner = self.held[group]
+        at = np.searchsorted(query, tokens)
+        at[at == len(query)] = 0
+        return np.bincount(owner[query[at] == tokens], minlength=len(self.groups[group]))
+
+
+def link_all(sets: list[np.ndarray], first: np.ndarray, num: int, den: int, side: np.ndarray | None = None) -> np.ndarray:
+    """For each set the number of the first set of its linked part. With side, only sets of different sides are compared."""
+    root = np.arange(len(sets))
+    if len(sets) < 2:
+        return root
+    m, size = Matrix(sets, first), np.array([len(s) for s in sets])
+    for i, query in enumerate(sets):
+        n = len(query)
+        open_ = np.nonzero(m.overlaps(query) >= least_overlap(n, num, den))[0]
+        for g in open_.tolist():
+            who = m.groups[g]
+            other = root[who] != root[i]
+            if side is not None:
+                other &= side[who] != side[i]
+            if not other.any():
+                continue
+            both = m.inside(g, query)
+            for j in who[other & (den * both >= num * (n + size[who] - both))].tolist():
+                if root[j] != root[i]:
+                    low, high = sorted((root[i], root[j]))
+                    root[root == high] = low
+    return root
 
 
 def _arrays(column) -> list[np.ndarray]:
@@ -175,16 +180,22 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
 
     def describe(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for head, body in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            for number, head, body in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 page = Page(head, body, LOWER_TABLE)
                 sets = shingle_sets(page, n)
-                yield pa.RecordBatch.from_arrays([pa.array(page.ids, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) if len(s) else None for s in sets], pa.binary())], names=["doc_id", "n_shingles", "fp"])
+                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(sets), number)), pa.array(np.arange(len(sets))), pa.array(page.ids, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) if len(s) else None for s in sets], pa.binary())], names=["page", "nth", "doc_id", "n_shingles", "fp"])
 
-    described = written(packed.select("ids", "body").mapInArrow(describe, "doc_id long, n_shingles long, fp binary"), spark)
+    described = written(packed.select("page", "ids", "body").mapInArrow(describe, "page long, nth long, doc_id long, n_shingles long, fp binary"), spark)
+    # Where each distinct set stands first: only there it is sent on.
+    firsts = described.where("fp is not null").groupBy("fp").agg(F.min(F.struct("page", "nth")).alias("at")).groupBy("at.page").agg(F.collect_list("at.nth").alias("firsts"))
 
-    def page_sets(head: bytes, body: bytes) -> list[np.ndarray]:
-        """The page's distinct sets."""
-        return list({fingerprint(s): s for s in shingle_sets(Page(head, body, LOWER_TABLE), n) if len(s)}.values())
+    def page_sets(head: bytes, body: bytes) -> tuple[list[int], list[np.ndarray]]:
+        """The page's distinct sets, and where they stand first in it."""
+        out: dict[bytes, tuple[int, np.ndarray]] = {}
+        for i, s in enumerate(shingle_sets(Page(head, body, LOWER_TABLE), n)):
+            if len(s):
+                out.setdefault(fingerprint(s), (i, s))
+        return [i for i, _ in out.values()], [s for _, s in out.values()]
 
     def page_tokens(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
         cut = [s[: prefix(len(s), num, den)] for s in sets]
@@ -193,85 +204,74 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             for number, head, body in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                keys, count, _ = page_tokens(page_sets(head, body))
-                yield pa.RecordBatch.from_pylist(requests(number, keys, np.minimum(count, 2), buckets), REQUEST_ARROW)
+                keys, count, _ = page_tokens(page_sets(head, body)[1])
+                yield pa.RecordBatch.from_pylist(requests(number, keys, count, buckets), REQUEST_ARROW)
 
-    said = exchange(packed.select("page", "ids", "body").mapInArrow(ask, REQUEST_SCHEMA), 1, occurs_twice)
+    said = exchange(packed.select("page", "ids", "body").mapInArrow(ask, REQUEST_SCHEMA), 1, how_many)
 
     def candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for head, body, answer in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                sets = page_sets(head, body)
+            for head, body, answer, here in zip(*(c.to_pylist() for c in b.columns), strict=True):
+                (nth, sets), here = page_sets(head, body), set(here or ())
                 _, _, where = page_tokens(sets)
-                twice, rows, at = shared(answer)[where] if sets else np.zeros(0, bool), [], 0
-                for s in sets:
+                count, rows, at = np.frombuffer(b"".join(answer or []), np.uint16)[where] if sets else None, [], 0
+                for i, s in zip(nth, sets, strict=True):
                     k = prefix(len(s), num, den)
-                    toks = s[:k][twice[at : at + k]]
+                    often = count[at : at + k]
                     at += k
-                    if len(toks) >= least_shared(len(s), num, den):
-                        rows.append({"fp": fingerprint(s), "g": int(toks[:1].view(np.int64)[0]), "toks": toks.tobytes(), "held": s.tobytes()})
-                yield pa.RecordBatch.from_pylist(rows, pa.schema([("fp", pa.binary()), ("g", pa.int64()), ("toks", pa.binary()), ("held", pa.binary())]))
-
-    cand = written(packed.join(said, "page", "left").select("ids", "body", "said").mapInArrow(candidates, "fp binary, g long, toks binary, held binary"), spark)
-    hot = cand.groupBy("g").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > BLOCK).select("g", F.ceil(F.col("n") / BLOCK).alias("blocks"))
-    if (few := written(hot, spark)).count() <= MOST_BROADCAST:
-        few = F.broadcast(few)
-    # Equal sets of several pages fall into one block: the block is a hash of the set.
-    blocked = cand.join(few, "g", "left").withColumn("block", F.pmod(F.xxhash64("fp"), F.coalesce("blocks", F.lit(1))))
+                    if i not in here:
+                        continue
+                    toks, least = s[:k][often > 1], least_shared(len(s), num, den)
+                    if len(toks) >= least:
+                        rare = toks[np.lexsort((toks, often[often > 1]))[: len(toks) - least + 1]]
+                        rows.append({"fp": (f := fingerprint(s)), "id": int(np.frombuffer(f, np.int64)[0]), "g": int(toks[:1].view(np.int64)[0]), "rare": rare.view(np.int64).tolist(), "held": s.tobytes()})
+                yield pa.RecordBatch.from_pylist(rows, pa.schema([("fp", pa.binary()), ("id", pa.int64()), ("g", pa.int64()), ("rare", pa.list_(pa.int64())), ("held", pa.binary())]))
+
+    cand = written(packed.join(said.join(firsts, "page", "left"), "page", "left").select("ids", "body", "said", "firsts").mapInArrow(candidates, "fp binary, id long, g long, rare array<long>, held binary"), spark)
+    # Families: each set is tied to the smallest set of each of its rare tokens. 64 bits name a set here; equal names would only join two families.
+    tied = cand.select("id", F.explode("rare").alias("token"))
+    stars = tied.groupBy("token").agg(F.min("id").alias("low"), F.max("id").alias("high")).where("low < high").select("token", "low")
+    ties = written(tied.join(stars, "token").where("id <> low").select("id", "low").distinct(), spark)
+    if not ties.head(1):
+        return _named(described, None)
+    families = connected_components(ties, "id", "low").withColumnsRenamed({"node": "id", "root": "family"})
+    # A family of many blocks sends each set to one task for each other block.
+    large = families.groupBy("family").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > BLOCK).select("family", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
+    placed = families.join(large, "family", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    own = F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int")
+    tasks = cand.select("fp", "id", "g", "held").join(placed, "id").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")})
+    bytes_held = cand.agg(F.sum(F.length("held"))).first()[0] or 0
 
     def solve(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.drop_duplicates("fp").sort_values("fp", ignore_index=True)
-        m = Members(_arrays(pdf["held"]), _arrays(pdf["toks"]))
-        root = np.array(linked_parts(m, num, den))
-        own = pd.DataFrame({"fp": pdf["fp"], "part": pdf["fp"].to_numpy()[root], "toks": pdf["toks"], "held": pdf["held"], "least": None})
-        unions = []
-        for r in np.unique(root).tolist():
-            who = np.nonzero(root == r)[0].tolist()
-            least = min(least_shared(len(m.sets[i]), num, den) for i in who)
-            unions.append({"fp": None, "part": pdf["fp"][r], "toks": np.unique(np.concatenate([m.toks[i] for i in who])).tobytes(), "held": None, "least": least})
-        return pd.concat([own, pd.DataFrame(unions)], ignore_index=True)
-
-    solved = written(blocked.groupBy("g", "block").applyInPandas(solve, "fp binary, part binary, toks binary, held binary, least long"), spark)
-    members, unions = solved.where("fp is not null"), solved.where("fp is null").select("part", "toks", "least")
-
-    def matrix_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            for part, toks, least in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                t = np.frombuffer(toks, np.int64)
-                yield pa.RecordBatch.from_arrays([pa.array(t), pa.array([part] * len(t), pa.binary()), pa.array(np.full(len(t), len(t) - least + 1))], names=["token", "part", "keep"])
-
-    matrix = unions.mapInArrow(matrix_rows, "token long, part binary, keep long")
-    often = matrix.groupBy("token").agg(F.count(F.lit(1)).alias("often")).where("often > 1")
-    # Of the tokens that several groups hold, a group's rarest are enough to find each group that shares `least` with it; tokens of one group alone come first in that order and find nothing.
-    alone = Window.partitionBy("part").orderBy("often", "token")
-    several = matrix.join(often, "token")
-    size = several.groupBy("part").agg(F.count(F.lit(1)).alias("several"), F.first("keep").alias("keep0")).join(unions.select("part", F.expr("length(toks) div 8").alias("all")), "part").select("part", (F.col("keep0") - (F.col("all") - F.col("several"))).alias("left"))
-    index = written(several.join(size, "part").withColumn("nth", F.row_number().over(alone)).where("nth <= left").select("token", "part"), spark)
-    pairs = index.join(index.withColumnRenamed("part", "other"), "token").where("part < other").select("part", "other").distinct()
-    with_unions = pairs.join(unions, "part").join(unions.select(F.col("part").alias("other"), F.col("toks").alias("toks2"), F.col("least").alias("least2")), "other")
-
-    def qualify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            rows = []
-            for part, other, t, u, least in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if len(np.intersect1d(np.frombuffer(t, np.uint64), np.frombuffer(u, np.uint64), assume_unique=True)) >= least:
-                    rows.append({"part": part, "other": other})
-            yield pa.RecordBatch.from_pylist(rows, pa.schema([("part", pa.binary()), ("other", pa.binary())]))
-
-    opened = written(with_unions.select("part", "other", "toks", "toks2", F.greatest("least", "least2")).mapInArrow(qualify, "part binary, other binary"), spark)
-    sides = opened.select("part", "other", F.col("part").alias("side")).unionByName(opened.select("part", "other", F.col("other").alias("side")))
-
-    def compare(pdf: pd.DataFrame) -> pd.DataFrame:
-        a, b = pdf[pdf["side"] == pdf["part"].iloc[0]], pdf[pdf["side"] == pdf["other"].iloc[0]]
-        if any_link((_arrays(a["held"]), _arrays(a["toks"])), Members(_arrays(b["held"]), _arrays(b["toks"])), num, den):
-            return pd.DataFrame({"src": pdf["part"].iloc[:1], "dst": pdf["other"].iloc[:1]})
-        return pd.DataFrame({"src": [], "dst": []})
-
-    met = sides.join(members.select(F.col("part").alias("side"), "toks", "held"), "side").groupBy("part", "other").applyInPandas(compare, "src binary, dst binary")
-    links = written(met, spark)
-    roots = connected_components(links).select(F.col("node").alias("part"), "root") if links.head(1) else links.select(F.col("src").alias("part"), F.col("dst").alias("root"))
+        src, dst = [], []
+        for _, part in pdf.groupby(["family", "i", "j"], sort=False):
+            if len(part) < 2:
+                continue
+            part = part.sort_values("fp", ignore_index=True)
+            i, j, own = part["i"].iloc[0], part["j"].iloc[0], part["own"].to_numpy()
+            root = link_all(_arrays(part["held"]), part["g"].to_numpy(), num, den, None if i == j else own)
+            fp = part["fp"].to_numpy()
+            linked = np.nonzero(root != np.arange(len(root)))[0]
+            src += fp[linked].tolist()
+            dst += fp[root[linked]].tolist()
+        return pd.DataFrame({"src": src, "dst": dst})
+
+    dealt = tasks.withColumn("task", F.pmod(F.xxhash64("family", "i", "j"), F.lit(max(16, bytes_held // TASK_BYTES))))
+    links = written(dealt.groupBy("task").applyInPandas(solve, "src binary, dst binary"), spark)
+    return _named(described, links)
+
+
+def how_many(group: np.ndarray, vals: np.ndarray) -> np.ndarray:
+    """In how many of the pages' sets a token stands; beyond 65,535 all are alike in rarity."""
+    return np.minimum(np.bincount(group, weights=vals)[group], 65535).astype(np.uint16)
+
+
+def _named(described: DataFrame, links: DataFrame | None) -> DataFrame:
+    """Smallest id of each class. A set's class is its component in the links, or itself."""
     smallest = described.where("fp is not null").groupBy("fp").agg(F.min("doc_id").alias("smallest"))
-    placed = members.select("fp", "part").join(roots, "part", "left").select("fp", F.coalesce("root", "part").alias("root")).join(smallest, "fp")
-    label = placed.join(placed.groupBy("root").agg(F.min("smallest").alias("label")), "root").select("fp", "label")
-    named = smallest.join(label, "fp", "left").select("fp", F.coalesce("label", "smallest").alias("component"))
+    named = smallest.select("fp", F.col("smallest").alias("component"))
+    if links is not None and links.head(1):
+        roots = connected_components(links).withColumnRenamed("node", "fp").join(smallest, "fp")
+        label = roots.join(roots.groupBy("root").agg(F.min("smallest").alias("label")), "root").select("fp", "label")
+        named = smallest.join(label, "fp", "left").select("fp", F.coalesce("label", "smallest").alias("component"))
     return described.join(named, "fp", "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
