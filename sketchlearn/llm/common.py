@@ -143,7 +143,8 @@ class Page:
         self.ids, self.chars, self.body = unpack_rows(head, body)
         raw = self.body if table is None else self.body.translate(table)
         data = np.frombuffer(raw, np.uint8)
-        starts, ends = word_spans(data)
+        self.data = data
+        self.starts, self.ends = starts, ends = word_spans(data)
         close = np.cumsum(np.maximum(self.chars, 0) + 1)
         upto = np.searchsorted(starts, close)
         self.sizes = np.diff(upto, prepend=0)
@@ -211,12 +212,21 @@ REQUEST_ARROW = pa.schema([("page", pa.int64()), ("bucket", pa.int32()), ("keys"
 
 
 def exchange(asked: DataFrame, lanes: int, answer: Callable[[np.ndarray, np.ndarray], np.ndarray]) -> DataFrame:
-    """(page, answers): for each page the answers to its keys, in their order.
+    """(page, said): for each page the answers to its keys, in their order, in parts to be joined.
 
     answer(group, vals): group numbers equal keys alike (0..g-1), vals are what
     the pages sent with them; it returns one array, aligned with them, of the
     dtype in which answers are stored.
     """
+    return answers(exchange_rows(asked, lanes, answer))
+
+
+def answers(said: DataFrame) -> DataFrame:
+    return said.groupBy("page").agg(F.sort_array(F.collect_list(F.struct("bucket", "said"))).alias("parts")).select("page", F.expr("transform(parts, x -> x.said)").alias("said"))
+
+
+def exchange_rows(asked: DataFrame, lanes: int, answer: Callable[[np.ndarray, np.ndarray], np.ndarray], note: Callable[[np.ndarray, np.ndarray, np.ndarray], bytes] | None = None) -> DataFrame:
+    """Answers by page and bucket; with note(keys, group, vals) also a row of page -1 for each bucket, with what it noted."""
     import pandas as pd
 
     def reduce(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -231,10 +241,12 @@ def exchange(asked: DataFrame, lanes: int, answer: Callable[[np.ndarray, np.ndar
         group[order] = np.cumsum(new) - 1
         said = answer(group, vals)
         ends = np.cumsum(sizes)
-        return pd.DataFrame({"page": pdf["page"], "bucket": pdf["bucket"], "said": [said[e - n : e].tobytes() for n, e in zip(sizes, ends, strict=True)]})
+        out = pd.DataFrame({"page": pdf["page"], "bucket": pdf["bucket"], "said": [said[e - n : e].tobytes() for n, e in zip(sizes, ends, strict=True)]})
+        if note:
+            out = pd.concat([out, pd.DataFrame({"page": [-1], "bucket": pdf["bucket"].iloc[:1], "said": [note(keys, group, vals)]})], ignore_index=True)
+        return out
 
-    said = asked.groupBy("bucket").applyInPandas(reduce, "page long, bucket int, said binary")
-    return said.groupBy("page").agg(F.sort_array(F.collect_list(F.struct("bucket", "said"))).alias("parts")).select("page", F.expr("transform(parts, x -> x.said)").alias("said"))
+    return asked.groupBy("bucket").applyInPandas(reduce, "page long, bucket int, said binary")
 
 
 def sum_by(group: np.ndarray, vals: np.ndarray) -> np.ndarray:
