@@ -14,6 +14,7 @@ from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -105,7 +106,7 @@ def task_partition() -> int:
 
 # ---------------------------------------------------------------- pages of documents
 
-PAGE_SCHEMA = "page long, ids binary, body binary, n_words long"
+PAGE_SCHEMA = "page long, ids binary, body binary, n_words long, rest binary"
 PAGE_CHARS = 2_000_000
 
 
@@ -160,29 +161,51 @@ class Page:
         return text_of(self.chars, self.body)
 
 
-def pages(docs: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """Documents in pages of about 2 MB of text each, whole texts, written to the shared folder. A page is one row (page, ids, body, n_words)."""
-
-    def make(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        base, made, ids, texts, chars = task_partition() << 32, 0, [], [], 0
-
-        def page() -> pa.RecordBatch:
-            head, body = pack_rows(ids, texts)
-            n = sum(len((t or "").split()) for t in texts)
-            return pa.RecordBatch.from_pydict({"page": pa.array([base + made], pa.int64()), "ids": pa.array([head], pa.binary()), "body": pa.array([body], pa.binary()), "n_words": pa.array([n], pa.int64())})
-
-        for b in batches:
-            for i, t in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                ids.append(i)
-                texts.append(t)
-                chars += len(t or "")
-                if chars >= PAGE_CHARS or len(ids) >= 50_000:
-                    yield page()
-                    made, ids, texts, chars = made + 1, [], [], 0
-        if ids:
-            yield page()
-
-    return written(docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string")).mapInArrow(make, PAGE_SCHEMA))
+def page_rows(batches: Iterator[pa.RecordBatch], base: int | None) -> Iterator[pa.RecordBatch]:
+    """Pages of rows of id, text and other columns, numbered from base, or, without base, by a hash of what they hold. The other columns go along as an Arrow stream."""
+    made, ids, texts, chars, others = 0, [], [], 0, []
+
+    def page() -> pa.RecordBatch:
+        head, body = pack_rows(ids, texts)
+        n = sum(len((t or "").split()) for t in texts)
+        sink = pa.BufferOutputStream()
+        if others:
+            with pa.ipc.new_stream(sink, others[0].schema, options=pa.ipc.IpcWriteOptions(compression="zstd")) as out:
+                for x in others:
+                    out.write_batch(x)
+        rest = sink.getvalue().to_pybytes()
+        number = base + made if base is not None else xxhash.xxh3_64_intdigest(head + body) - (1 << 63)
+        return pa.RecordBatch.from_pydict({"page": pa.array([number], pa.int64()), "ids": pa.array([head], pa.binary()), "body": pa.array([body], pa.binary()), "n_words": pa.array([n], pa.int64()), "rest": pa.array([rest], pa.binary())})
+
+    for b in batches:
+        extra, done = b.select(b.schema.names[2:]) if b.num_columns > 2 else None, 0
+        for k, (i, t) in enumerate(zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True), 1):
+            ids.append(i)
+            texts.append(t)
+            chars += len(t or "")
+            if chars >= PAGE_CHARS or len(ids) >= 50_000:
+                if extra is not None:
+                    others.append(extra.slice(done, k - done))
+                    done = k
+                yield page()
+                made, ids, texts, chars, others = made + 1, [], [], 0, []
+        if extra is not None and done < b.num_rows:
+            others.append(extra.slice(done))
+    if ids:
+        yield page()
+
+
+def pages(docs: DataFrame, id_col: str, text_col: str, keep: bool = True, others: list[str] | None = None) -> DataFrame:
+    """Documents in pages of about 2 MB of text each, whole texts: rows (page, ids, body, n_words).
+
+    Kept pages are written to the shared folder and numbered. Others are made
+    anew wherever they are used and named by what they hold, so a page that a
+    second reading cuts otherwise is missed loudly, never answered wrongly.
+    """
+    rows = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"), *(others or []))
+    if keep:
+        return written(rows.mapInArrow(lambda batches: page_rows(batches, task_partition() << 32), PAGE_SCHEMA))
+    return rows.mapInArrow(lambda batches: page_rows(batches, None), PAGE_SCHEMA)
 
 
 # ---------------------------------------------------------------- key exchange

@@ -86,6 +86,26 @@ def _blocks(items: list[tuple[int, list[bytes]]], n: int) -> list[list[tuple[int
     return out
 
 
+def bench_items(bench: DataFrame, item_col: str = "item_id", item_text_col: str = "text") -> list[tuple[int, list[bytes]]]:
+    rows = bench.where(F.col(item_col).isNotNull() & F.col(item_text_col).isNotNull()).select(F.col(item_col).cast("long").alias("i"), F.col(item_text_col).cast("string").alias("t"))
+    return [(r.i, w) for r in rows.toLocalIterator() if (w := alnum_words(r.t))]
+
+
+def without_contaminated(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text") -> DataFrame:
+    """The rows of docs, all their columns, in which no window of an item stands."""
+    at, out = docs.columns.index(text_col), docs
+    for block in _blocks(bench_items(bench), n):
+
+        def run(batches: Iterator[pa.RecordBatch], block=block) -> Iterator[pa.RecordBatch]:
+            vocabulary, found = build(block, n)
+            shortest = min((min(len(w), n) for _, w in block), default=n)
+            for b in batches:
+                yield b.filter(pa.array([not (block and (w := alnum_words(t)) and scan(w, vocabulary, found, shortest)[0]) for t in b.column(at).to_pylist()], pa.bool_()))
+
+        out = out.mapInArrow(run, docs.schema)
+    return out
+
+
 def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """One row a document: doc_id, n_words, n_hit (words inside any window's occurrence), items (sorted ids), spans (character offsets of the hit runs).
 
@@ -94,9 +114,7 @@ def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 10, id_col: str =
     one automaton stays bounded, and the texts pass through the blocks one
     after the other.
     """
-    rows = bench.where(F.col(item_col).isNotNull() & F.col(item_text_col).isNotNull()).select(F.col(item_col).cast("long").alias("i"), F.col(item_text_col).cast("string").alias("t"))
-    items = [(r.i, w) for r in rows.toLocalIterator() if (w := alnum_words(r.t))]
-    blocks = _blocks(items, n)
+    blocks = _blocks(bench_items(bench, item_col, item_text_col), n)
 
     def pass_over(block: list[tuple[int, list[bytes]]], last: bool):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

@@ -43,6 +43,8 @@ from .substring import distinct
 
 #: Sets in a group of the matrix and in a block of a family, and bytes of sets that a task solves together.
 GROUP, BLOCK, TASK_BYTES = 32, 2048, 8_000_000
+#: Rows of the table of families up to which it is broadcast.
+MOST_BROADCAST = 1_000_000
 _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
@@ -237,7 +239,9 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
     families = connected_components(ties, "id", "low").withColumnsRenamed({"node": "id", "root": "family"})
     # A family of many blocks sends each set to one task for each other block.
     large = families.groupBy("family").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > BLOCK).select("family", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
-    placed = families.join(large, "family", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    placed = written(families.join(large, "family", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1))), spark)
+    if placed.count() <= MOST_BROADCAST:  # 20 bytes a row; beyond, the sets are shuffled to it
+        placed = F.broadcast(placed)
     own = F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int")
     tasks = cand.select("fp", "id", "g", "held").join(placed, "id").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")})
     bytes_held = cand.agg(F.sum(F.length("held"))).first()[0] or 0

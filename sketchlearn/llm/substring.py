@@ -148,10 +148,10 @@ def covered(page: Page, repeated: np.ndarray, n: int) -> np.ndarray:
     return np.cumsum(step)[: len(page.flat)] > 0
 
 
-def repeated_words(docs: DataFrame, emit: Callable[[Page, np.ndarray], pa.RecordBatch], schema: str, n: int = WINDOW, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """Finds, over all documents, the words inside windows of n words that stand more than once, and hands each page with its mask to emit()."""
+def repeated_words(docs: DataFrame, emit: Callable[[Page, np.ndarray, bytes], pa.RecordBatch], schema, n: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", others: list[str] | None = None) -> DataFrame:
+    """Finds, over all documents, the words inside windows of n words that stand more than once, and hands each page, its mask and its other columns to emit()."""
     spark = docs.sparkSession
-    packed = pages(docs, id_col, text_col)
+    packed = pages(docs, id_col, text_col, others=others)
     total = packed.agg(F.sum("n_words")).first()[0] or 0
     some, most = buckets_for(total // 8), buckets_for(total // 2)
 
@@ -183,14 +183,14 @@ def repeated_words(docs: DataFrame, emit: Callable[[Page, np.ndarray], pa.Record
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            for head, body, said, said2 in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            for head, body, rest, said, said2 in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 page = Page(head, body)
                 starts = candidates(page, said)
                 _, _, where = distinct(prints(page, starts, n))
                 hit = starts[shared(said2)[where]] if len(starts) else starts
-                yield emit(page, covered(page, hit, n))
+                yield emit(page, covered(page, hit, n), rest)
 
-    return packed.join(first.join(second, "page", "left"), "page", "left").select("ids", "body", "said", "said2").mapInArrow(finish, schema)
+    return packed.join(first.join(second, "page", "left"), "page", "left").select("ids", "body", "rest", "said", "said2").mapInArrow(finish, schema)
 
 
 DIGEST = "doc_id long, n_words long, n_removed long, kept_sha256 string"
@@ -199,7 +199,7 @@ DIGEST = "doc_id long, n_words long, n_removed long, kept_sha256 string"
 def removed_digest(docs: DataFrame, n: int = WINDOW) -> DataFrame:
     """doc_id, n_words, n_removed, kept_sha256 (of the kept words, joined by one space)."""
 
-    def emit(page: Page, gone: np.ndarray) -> pa.RecordBatch:
+    def emit(page: Page, gone: np.ndarray, _: bytes) -> pa.RecordBatch:
         out_n, out_sha = [], []
         for at, w in zip(page.begin.tolist(), page.texts(), strict=True):
             w = (w or b"").split()
@@ -229,16 +229,24 @@ def cut(text: bytes, gone: np.ndarray) -> bytes:
     return b"".join(out)
 
 
-def kept_texts(docs: DataFrame, n: int = WINDOW) -> DataFrame:
-    """doc_id, text (without repeated passages; null stays null), n_removed."""
+def without_repeats(docs: DataFrame, n: int = WINDOW, id_col: str = "doc_id", text_col: str = "text", chars_col: str | None = "n_chars") -> DataFrame:
+    """The rows of docs, all their columns, the text without repeated passages (null stays null; texts without any stay byte for byte), chars_col its new length."""
+    others = [c for c in docs.columns if c not in (id_col, text_col)]
+    schema = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"), *others).schema
 
-    def emit(page: Page, gone: np.ndarray) -> pa.RecordBatch:
-        texts, out_n = [], []
+    def emit(page: Page, gone: np.ndarray, rest: bytes) -> pa.RecordBatch:
+        texts, sizes = [], []
         for at, w, t in zip(page.begin.tolist(), page.sizes.tolist(), page.texts(), strict=True):
             mask = gone[at : at + w]
-            out_n.append(int(mask.sum()))
-            kept = cut(t, mask) if out_n[-1] else t
+            kept = cut(t, mask) if mask.any() else t
             texts.append(None if kept is None else kept.decode("utf-8", "surrogatepass"))
-        return pa.RecordBatch.from_arrays([pa.array(page.ids, pa.int64()), pa.array(texts, pa.string()), pa.array(out_n, pa.int64())], names=["doc_id", "text", "n_removed"])
-
-    return repeated_words(docs, emit, "doc_id long, text string, n_removed long", n)
+            sizes.append(len(texts[-1]) if mask.any() else None)
+        columns = [pa.array(page.ids, pa.int64()), pa.array(texts, pa.string())]
+        if rest:
+            extra = pa.ipc.open_stream(rest).read_all().combine_chunks()
+            for name in others:
+                x = extra.column(name).combine_chunks() if extra.column(name).num_chunks != 1 else extra.column(name).chunk(0)
+                columns.append(pa.array([old if new is None else new for old, new in zip(x.to_pylist(), sizes, strict=True)], x.type) if name == chars_col else x)
+        return pa.RecordBatch.from_arrays(columns, names=[id_col, text_col, *others])
+
+    return repeated_words(docs, emit, schema, n, id_col, text_col, others).select(docs.columns)

@@ -204,11 +204,14 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFr
     return rows.withColumn("key", F.xxhash64("text")).orderBy("key", "doc_id").limit(max_rows)
 
 
+def fitted(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Chain:
+    sample = labelled_sample(docs, labels, max_rows).select("key", "low_quality", "toxic", "text").toPandas()
+    return fit_chain(sample["text"].tolist(), [int(k) & 0x7FFFFFFF for k in sample["key"]], sample[list(CATEGORIES)].to_numpy(np.float64))
+
+
 def classify(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, train_docs: DataFrame | None = None) -> DataFrame:
     """One row a document: doc_id, p_<category> for each category, and rejected (the last category's log-odds pass their cut)."""
-    sample = labelled_sample(docs if train_docs is None else train_docs, labels, max_rows).select("key", "low_quality", "toxic", "text").toPandas()
-    chain = fit_chain(sample["text"].tolist(), [int(k) & 0x7FFFFFFF for k in sample["key"]], sample[list(CATEGORIES)].to_numpy(np.float64))
-    return score(docs, chain)
+    return score(docs, fitted(docs if train_docs is None else train_docs, labels, max_rows))
 
 
 def score(docs: DataFrame, chain: Chain) -> DataFrame:
@@ -224,3 +227,15 @@ def score(docs: DataFrame, chain: Chain) -> DataFrame:
 
     schema = "doc_id long, " + "".join(f"p_{c} double, " for c in chain.categories) + "rejected boolean"
     return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, schema)
+
+
+def without_toxic(docs: DataFrame, labels: DataFrame, text_col: str = "text", max_rows: int = MAX_ROWS) -> DataFrame:
+    """The rows of docs, all their columns, that the chain does not reject."""
+    held, at = docs.sparkSession.sparkContext.broadcast(fitted(docs, labels, max_rows)), docs.columns.index(text_col)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        model, cache = held.value, Features()
+        for b in batches:
+            yield b.filter(pa.array([model.logits(t, cache)[-1] <= model.thresholds[-1] for t in b.column(at).to_pylist()], pa.bool_()))
+
+    return docs.mapInArrow(run, docs.schema)
