@@ -174,7 +174,7 @@ def page_rows(batches: Iterator[pa.RecordBatch], base: int | None) -> Iterator[p
                 for x in others:
                     out.write_batch(x)
         rest = sink.getvalue().to_pybytes()
-        number = base + made if base is not None else xxhash.xxh3_64_intdigest(head + body) - (1 << 63)
+        number = base + made if base is not None else (xxhash.xxh3_64_intdigest(head + body) >> 1)
         return pa.RecordBatch.from_pydict({"page": pa.array([number], pa.int64()), "ids": pa.array([head], pa.binary()), "body": pa.array([body], pa.binary()), "n_words": pa.array([n], pa.int64()), "rest": pa.array([rest], pa.binary())})
 
     for b in batches:

@@ -42,6 +42,44 @@ META = "▁"
 HEAD_UNITS, LONG_UNIT = 262_144, 200
 #: Distinct units that a task remembers having sent.
 REMEMBERED = 1_500_000
+#: Page number of rows that offer units of the table rather than ask.
+OFFER = -(1 << 63)
+
+
+class Spans:
+    """Tells of two neighbouring characters whether some piece can span them where they stand: a piece of the two, or a longer piece that holds three in a row around them."""
+
+    def __init__(self, pieces: list[str]):
+        chars = sorted({c for p in pieces for c in p})
+        number = {c: i + 1 for i, c in enumerate(chars)}
+        self.width = k = len(chars) + 1
+        self.cls = np.zeros(0x110000, np.uint16)  # 0: in no piece of two or more
+        self.cls[[ord(c) for c in chars]] = np.arange(1, k)
+        self.two, self.three = np.zeros((k, k), bool), np.zeros(k**3 // 8 + 1, np.uint8) if k <= 2048 else None
+        for p in pieces:
+            n = [number[c] for c in p]
+            if len(n) == 2 or self.three is None:
+                for x, y in zip(n[:-1], n[1:], strict=True):
+                    self.two[x, y] = True
+            else:
+                for x, y, z in zip(n[:-2], n[1:-1], n[2:], strict=True):
+                    key = (x * k + y) * k + z
+                    self.three[key >> 3] |= 1 << (key & 7)
+
+    def cuts(self, code: np.ndarray) -> np.ndarray:
+        """For each place before, between and after the characters: no piece spans it."""
+        cut = np.ones(len(code) + 1, bool)
+        if len(code) > 1:
+            c = self.cls[code]
+            spanned = self.two[c[:-1], c[1:]]
+            if self.three is not None and len(code) > 2:
+                w = c.astype(np.int64)
+                key = (w[:-2] * self.width + w[1:-1]) * self.width + w[2:]
+                held = ((self.three[key >> 3] >> (key & 7).astype(np.uint8)) & 1).astype(bool)
+                spanned[1:] |= held
+                spanned[:-1] |= held
+            cut[1:-1] = ~spanned
+        return cut
 
 
 @dataclass
@@ -68,18 +106,8 @@ class Model:
     def longest(self) -> int:
         return max(len(p) for p, x in zip(self.pieces, self.normal, strict=True) if x)
 
-    def spans(self) -> tuple[np.ndarray, np.ndarray]:
-        """Class of each character (0: in no longer piece), and for two classes whether some piece has such characters in a row."""
-        inner = [p for p, x in zip(self.pieces, self.normal, strict=True) if x and len(p) > 1]
-        chars = sorted({c for p in inner for c in p})
-        number = {c: i + 1 for i, c in enumerate(chars)}
-        cls = np.zeros(0x110000, np.uint16)
-        cls[[ord(c) for c in chars]] = np.arange(1, len(chars) + 1)
-        joined = np.zeros((len(chars) + 1, len(chars) + 1), bool)
-        for p in inner:
-            for a, b in zip(p[:-1], p[1:], strict=True):
-                joined[number[a], number[b]] = True
-        return cls, joined
+    def spans(self) -> Spans:
+        return Spans([p for p, x in zip(self.pieces, self.normal, strict=True) if x and len(p) > 1])
 
     def bytes_table(self) -> tuple[np.ndarray, np.ndarray]:
         """Bytes of all pieces in a row, and where each starts."""
@@ -104,17 +132,14 @@ def normalised(text: str | None) -> str:
 class Units:
     """The units of a page's texts."""
 
-    def __init__(self, head: bytes, body: bytes, cls: np.ndarray, joined: np.ndarray):
+    def __init__(self, head: bytes, body: bytes, spans: Spans):
         self.ids, sizes, raw = unpack_rows(head, body)
         self.texts = [None if t is None else t.decode("utf-8", "surrogatepass") for t in text_of(sizes, raw)]
         parts = [normalised(t) for t in self.texts]
         self.all = "".join(parts)
         code = np.frombuffer(self.all.encode("utf-32-le", "surrogatepass"), np.uint32)
-        c = cls[code]
         self.doc_start = np.cumsum([0, *map(len, parts)])
-        cut = np.ones(len(code) + 1, bool)
-        if len(code):
-            cut[1:-1] = ~joined[c[:-1], c[1:]]
+        cut = spans.cuts(code)
         cut[self.doc_start] = True
         edge = np.nonzero(cut)[0]
         self.starts, self.ends = (edge[:-1], edge[1:]) if len(code) else (edge[:0], edge[:0])
@@ -195,8 +220,8 @@ def encode_units(units: DataFrame, model: Model) -> DataFrame:
         raise ValueError("a piece table of over a million rows is not broadcast")
     pieces = spark.createDataFrame(pd.DataFrame(rows, columns=["piece", "id", "score"]), "piece string, id int, score double")
     short = units.where(F.length("unit") <= LONG_UNIT)
-    spans = short.withColumn("start", F.explode(F.sequence(F.lit(1), F.length("unit")))).withColumn("size", F.explode(F.expr(f"sequence(1, least({longest}, length(unit) - start + 1))")))
-    edges = spans.join(F.broadcast(pieces), F.expr("substring(unit, start, size)") == F.col("piece"), "left")
+    substrings = short.withColumn("start", F.explode(F.sequence(F.lit(1), F.length("unit")))).withColumn("size", F.explode(F.expr(f"sequence(1, least({longest}, length(unit) - start + 1))")))
+    edges = substrings.join(F.broadcast(pieces), F.expr("substring(unit, start, size)") == F.col("piece"), "left").where("id is not null or (start = 1 and size = 1)")  # a row for each unit at least
     grouped = edges.groupBy("unit", "hash", "n").agg(F.collect_list(F.when(F.col("id").isNotNull(), F.struct((F.col("start") + F.col("size") - 1).alias("stop"), (F.col("start") - 1).alias("start"), "id", "score"))).alias("edges"))
     folded = grouped.select("hash", "n", F.expr(_FOLD.format(unknown=f"cast({model.unknown_score!r} as double)")).alias("ids"))
     table = {p: (i, s) for p, i, s in rows}
@@ -216,11 +241,11 @@ def distinct_units(packed: DataFrame, model: Model) -> DataFrame:
     """(unit, hash, n): each distinct unit of all texts; n weighs how often it is met."""
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cls, joined = model.spans()
+        spans = model.spans()
         sent = np.zeros(0, np.uint64)
         for b in batches:
             for head, body in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                u = Units(head, body, cls, joined)
+                u = Units(head, body, spans)
                 keys, at, n = np.unique(u.hash, return_index=True, return_counts=True)
                 if len(sent):
                     j = np.searchsorted(sent, keys)
@@ -252,12 +277,12 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
     buckets = buckets_for(n_units)
 
     def ask(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cls, joined = model.spans()
+        spans = model.spans()
         own = head.value[0]
         tables = probe_tables(own)
         for b in batches:
             for number, h, body in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                hashes = Units(h, body, cls, joined).hash
+                hashes = Units(h, body, spans).hash
                 tail = np.unique(hashes[probe(hashes, own, tables) < 0])
                 yield pa.RecordBatch.from_pylist(requests(number, tail[:, None], np.zeros(len(tail), np.int64)[:0], buckets) or [{"page": number, "bucket": 0, "keys": b"", "vals": b""}], REQUEST_ARROW)
 
@@ -273,11 +298,11 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
             for k, (i, j) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)):
                 if j > i:
                     mine = [lists[x] for x in order[i:j].tolist()]
-                    rows.append({"page": None, "bucket": k, "keys": keys[order[i:j]].tobytes(), "vals": np.array([len(x) for x in mine], np.int32).tobytes() + np.concatenate(mine).tobytes()})
+                    rows.append({"page": OFFER, "bucket": k, "keys": keys[order[i:j]].tobytes(), "vals": np.array([len(x) for x in mine], np.int32).tobytes() + np.concatenate(mine).tobytes()})
             yield pa.RecordBatch.from_pylist(rows, REQUEST_ARROW)
 
     def look_up(pdf: pd.DataFrame) -> pd.DataFrame:
-        table, asked = pdf[pdf["page"].isna()], pdf[pdf["page"].notna()].drop_duplicates("page")
+        table, asked = pdf[pdf["page"] == OFFER], pdf[pdf["page"] != OFFER].drop_duplicates("page")
         keys, sizes, flat = [np.zeros(0, np.uint64)], [np.zeros(0, np.int32)], [np.zeros(0, np.int32)]
         for k, v in zip(table["keys"], table["vals"], strict=True):
             k, v = np.frombuffer(k, np.uint64), np.frombuffer(v, np.int32)
@@ -290,7 +315,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
         for k in asked["keys"]:
             at = order[np.searchsorted(keys[order], np.frombuffer(k, np.uint64))] if len(k) else np.zeros(0, np.int64)
             said.append(sizes[at].astype(np.uint16).tobytes() + ragged(flat, begins[at], sizes[at]).astype(np.int32).tobytes())
-        return pd.DataFrame({"page": asked["page"].astype(np.int64), "bucket": asked["bucket"], "said": [np.int64(len(k) // 8).tobytes() + x for k, x in zip(asked["keys"], said, strict=True)]})
+        return pd.DataFrame({"page": asked["page"], "bucket": asked["bucket"], "said": [np.int64(len(k) // 8).tobytes() + x for k, x in zip(asked["keys"], said, strict=True)]})
 
     asked = packed.select("page", "ids", "body").mapInArrow(ask, REQUEST_SCHEMA)
     # The head is at every task already; only the others are offered.
@@ -299,7 +324,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
     replies = answers(asked.unionByName(offered).groupBy("bucket").applyInPandas(look_up, "page long, bucket int, said binary"))
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cls, joined = model.spans()
+        spans = model.spans()
         own, own_at, own_n, own_ids = head.value
         tables = probe_tables(own)
         raw, raw_at = model.bytes_table()
@@ -307,7 +332,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
             for h, body, said in zip(*(c.to_pylist() for c in b.columns), strict=True):
                 if said is None:
                     raise RuntimeError("a page was cut otherwise when the texts were read again")
-                u = Units(h, body, cls, joined)
+                u = Units(h, body, spans)
                 place = probe(u.hash, own, tables)
                 tail = np.unique(u.hash[place < 0])
                 sizes, flat = [own_n], [own_ids]
