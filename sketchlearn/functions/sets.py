@@ -21,8 +21,13 @@ def tokens(text: Column) -> Column:
     return F.filter(F.split(F.lower(F.coalesce(text, F.lit(""))), r"[^\p{L}\p{N}]+"), lambda w: w != "")
 
 
+def let(col: Column, fn) -> Column:
+    """fn of a value computed once: inside a lambda an expression would be computed anew for each element."""
+    return F.transform(F.array(col), fn)[0]
+
+
 def ngrams(words: Column, n: int) -> Column:
-    """Runs of n words, joined by a blank; none if there are fewer words."""
+    """Runs of n words, joined by a blank; none if there are fewer words. words: a column or a bound value, see let()."""
     if n == 1:
         return words
     runs = F.transform(F.sequence(F.lit(1), F.size(words) - (n - 1)), lambda i: F.array_join(F.slice(words, i, n), " "))
@@ -31,8 +36,7 @@ def ngrams(words: Column, n: int) -> Column:
 
 def shingles(text: Column, sizes: tuple[int, ...] = (1, 2, 3)) -> Column:
     """Distinct n-grams of the given sizes."""
-    words = tokens(text)
-    return F.array_distinct(F.concat(*(ngrams(words, n) for n in sizes)))
+    return let(tokens(text), lambda words: F.array_distinct(F.concat(*(ngrams(words, n) for n in sizes))))
 
 
 def hash_items(items: Column, modulus: int = RANGE) -> Column:
