@@ -161,7 +161,7 @@ class Page:
         return text_of(self.chars, self.body)
 
 
-def page_rows(batches: Iterator[pa.RecordBatch], base: int | None) -> Iterator[pa.RecordBatch]:
+def page_rows(batches: Iterator[pa.RecordBatch], base: int | None, page_chars: int = PAGE_CHARS) -> Iterator[pa.RecordBatch]:
     """Pages of rows of id, text and other columns, numbered from base, or, without base, by a hash of what they hold. The other columns go along as an Arrow stream."""
     made, ids, texts, chars, others = 0, [], [], 0, []
 
@@ -177,13 +177,13 @@ def page_rows(batches: Iterator[pa.RecordBatch], base: int | None) -> Iterator[p
         number = base + made if base is not None else (xxhash.xxh3_64_intdigest(head + body) >> 1)
         return pa.RecordBatch.from_pydict({"page": pa.array([number], pa.int64()), "ids": pa.array([head], pa.binary()), "body": pa.array([body], pa.binary()), "n_words": pa.array([n], pa.int64()), "rest": pa.array([rest], pa.binary())})
 
-    for b in batches:
+    for b in (whole.slice(i, 500) for whole in batches for i in range(0, whole.num_rows, 500)):  # few rows at a time as Python strings
         extra, done = b.select(b.schema.names[2:]) if b.num_columns > 2 else None, 0
         for k, (i, t) in enumerate(zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True), 1):
             ids.append(i)
             texts.append(t)
             chars += len(t or "")
-            if chars >= PAGE_CHARS or len(ids) >= 50_000:
+            if chars >= page_chars or len(ids) >= 50_000:
                 if extra is not None:
                     others.append(extra.slice(done, k - done))
                     done = k
@@ -195,17 +195,10 @@ def page_rows(batches: Iterator[pa.RecordBatch], base: int | None) -> Iterator[p
         yield page()
 
 
-def pages(docs: DataFrame, id_col: str, text_col: str, keep: bool = True, others: list[str] | None = None) -> DataFrame:
-    """Documents in pages of about 2 MB of text each, whole texts: rows (page, ids, body, n_words).
-
-    Kept pages are written to the shared folder and numbered. Others are made
-    anew wherever they are used and named by what they hold, so a page that a
-    second reading cuts otherwise is missed loudly, never answered wrongly.
-    """
+def pages(docs: DataFrame, id_col: str, text_col: str, others: list[str] | None = None) -> DataFrame:
+    """Documents in pages of about 2 MB of text each, whole texts, written to the shared folder: rows (page, ids, body, n_words, rest)."""
     rows = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"), *(others or []))
-    if keep:
-        return written(rows.mapInArrow(lambda batches: page_rows(batches, task_partition() << 32), PAGE_SCHEMA))
-    return rows.mapInArrow(lambda batches: page_rows(batches, None), PAGE_SCHEMA)
+    return written(rows.mapInArrow(lambda batches: page_rows(batches, task_partition() << 32), PAGE_SCHEMA))
 
 
 # ---------------------------------------------------------------- key exchange

@@ -35,13 +35,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import REQUEST_ARROW, REQUEST_SCHEMA, answers, buckets_for, pages, requests, span_hashes, text_of, unpack_rows, written
+from .common import REQUEST_ARROW, REQUEST_SCHEMA, answers, buckets_for, page_rows, requests, span_hashes, text_of, unpack_rows, written
 
 META = "▁"
 #: Units in the head that goes to every task; characters up to which a unit's lattice is relational (longer ones, which no language has, are folded by the same rule in Python).
 HEAD_UNITS, LONG_UNIT = 262_144, 200
 #: Distinct units that a task remembers having sent.
 REMEMBERED = 1_500_000
+#: Characters of a page: its arrays are many times as large.
+PAGE_CHARS = 1_000_000
 #: Page number of rows that offer units of the table rather than ask.
 OFFER = -(1 << 63)
 
@@ -199,7 +201,7 @@ def viterbi(unit: str, pieces: dict[str, tuple[int, float]], longest: int, unkno
 
 #: Edges in the order of their ends: the score of each prefix grows by the best edge that ends there; then the back pointers are followed from the end.
 _FOLD = """aggregate(
-  array_sort(concat(edges, transform(filter(sequence(1, length(unit)), i -> not exists(edges, e -> e.stop = i and e.start = i - 1)),
+  sort_array(concat(edges, transform(array_except(sequence(1, length(unit)), transform(filter(edges, e -> e.stop - e.start = 1), e -> e.stop)),
     i -> named_struct('stop', i, 'start', i - 1, 'id', -ascii(substring(unit, i, 1)), 'score', {unknown})))),
   array(named_struct('score', cast(0 as double), 'start', -1, 'id', 0)),
   (best, e) -> if(size(best) <= e.stop,
@@ -219,32 +221,45 @@ def encode_units(units: DataFrame, model: Model) -> DataFrame:
     if len(rows) > 1_000_000:
         raise ValueError("a piece table of over a million rows is not broadcast")
     pieces = spark.createDataFrame(pd.DataFrame(rows, columns=["piece", "id", "score"]), "piece string, id int, score double")
-    short = units.where(F.length("unit") <= LONG_UNIT)
-    substrings = short.withColumn("start", F.explode(F.sequence(F.lit(1), F.length("unit")))).withColumn("size", F.explode(F.expr(f"sequence(1, least({longest}, length(unit) - start + 1))")))
+    # A long unit has one row here and no lattice; both kinds come out of one reading of the texts.
+    fits = F.length("unit") <= LONG_UNIT
+    substrings = units.withColumn("start", F.explode(F.when(fits, F.sequence(F.lit(1), F.length("unit"))).otherwise(F.array(F.lit(1))))).withColumn("size", F.explode(F.when(fits, F.expr(f"sequence(1, least({longest}, length(unit) - start + 1))")).otherwise(F.array(F.lit(1)))))
     edges = substrings.join(F.broadcast(pieces), F.expr("substring(unit, start, size)") == F.col("piece"), "left").where("id is not null or (start = 1 and size = 1)")  # a row for each unit at least
     grouped = edges.groupBy("unit", "hash", "n").agg(F.collect_list(F.when(F.col("id").isNotNull(), F.struct((F.col("start") + F.col("size") - 1).alias("stop"), (F.col("start") - 1).alias("start"), "id", "score"))).alias("edges"))
-    folded = grouped.select("hash", "n", F.expr(_FOLD.format(unknown=f"cast({model.unknown_score!r} as double)")).alias("ids"))
+    folded = grouped.select("hash", "n", F.when(~fits, F.col("unit")).alias("long"), F.when(fits, F.expr(_FOLD.format(unknown=f"cast({model.unknown_score!r} as double)"))).alias("ids"))
     table = {p: (i, s) for p, i, s in rows}
 
     def fold(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            ids = [viterbi(u, table, longest, model.unknown_score) for u in b.column(2).to_pylist()]
-            yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(ids, pa.list_(pa.int32()))], names=["hash", "n", "ids"])
+            if b.column(2).null_count < b.num_rows:
+                ids = [viterbi(u, table, longest, model.unknown_score) if u is not None else x for u, x in zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)]
+                b = pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(ids, pa.list_(pa.int32()))], names=["hash", "n", "long", "ids"])
+            yield b.select(["hash", "n", "ids"])
 
-    return folded.unionByName(units.where(F.length("unit") > LONG_UNIT).select("hash", "n", "unit").mapInArrow(fold, "hash long, n long, ids array<int>"))
+    return folded.mapInArrow(fold, "hash long, n long, ids array<int>")
 
 
 # ---------------------------------------------------------------- Spark
 
 
-def distinct_units(packed: DataFrame, model: Model) -> DataFrame:
+class Paged:
+    """Texts cut into pages wherever they are read, in the Python worker that uses the pages. A page is named by what it holds: one that a second reading cuts otherwise is missed loudly, never answered wrongly."""
+
+    def __init__(self, docs: DataFrame, id_col: str, text_col: str):
+        self.rows = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"))
+
+    def map(self, fn, schema: str) -> DataFrame:
+        return self.rows.mapInArrow(lambda batches: fn(page_rows(batches, None, PAGE_CHARS)), schema)
+
+
+def distinct_units(packed: Paged, model: Model) -> DataFrame:
     """(unit, hash, n): each distinct unit of all texts; n weighs how often it is met."""
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         spans = model.spans()
         sent = np.zeros(0, np.uint64)
         for b in batches:
-            for head, body in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+            for head, body in zip(b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
                 u = Units(head, body, spans)
                 keys, at, n = np.unique(u.hash, return_index=True, return_counts=True)
                 if len(sent):
@@ -256,7 +271,7 @@ def distinct_units(packed: DataFrame, model: Model) -> DataFrame:
                 text, s, e = u.all, u.starts[at].tolist(), u.ends[at].tolist()
                 yield pa.RecordBatch.from_arrays([pa.array([text[x:y] for x, y in zip(s, e, strict=True)], pa.string()), pa.array(keys.view(np.int64)), pa.array(n.astype(np.int64))], names=["unit", "hash", "n"])
 
-    return packed.select("ids", "body").mapInArrow(send, "unit string, hash long, n long").groupBy("unit", "hash").agg(F.sum("n").alias("n"))
+    return packed.map(send, "unit string, hash long, n long").groupBy("unit", "hash").agg(F.sum("n").alias("n"))
 
 
 RESULT = "doc_id long, n_tokens long, ids array<int>, round_trip boolean"
@@ -266,7 +281,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
     """doc_id, n_tokens, ids, round_trip (the ids decode to the text)."""
     spark = docs.sparkSession
     model = Model.load(model_path)
-    packed = pages(docs, id_col, text_col, keep=False)
+    packed = Paged(docs, id_col, text_col)
     coded = written(encode_units(distinct_units(packed, model), model), spark)
     n_units = coded.count()
     top = coded.orderBy(F.desc("n"), "hash").limit(HEAD_UNITS).select("hash", "ids").toArrow()  # a fixed number of units
@@ -281,7 +296,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
         own = head.value[0]
         tables = probe_tables(own)
         for b in batches:
-            for number, h, body in zip(*(c.to_pylist() for c in b.columns), strict=True):
+            for number, h, body in zip(*(b.column(i).to_pylist() for i in range(3)), strict=True):
                 hashes = Units(h, body, spans).hash
                 tail = np.unique(hashes[probe(hashes, own, tables) < 0])
                 yield pa.RecordBatch.from_pylist(requests(number, tail[:, None], np.zeros(len(tail), np.int64)[:0], buckets) or [{"page": number, "bucket": 0, "keys": b"", "vals": b""}], REQUEST_ARROW)
@@ -317,7 +332,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
             said.append(sizes[at].astype(np.uint16).tobytes() + ragged(flat, begins[at], sizes[at]).astype(np.int32).tobytes())
         return pd.DataFrame({"page": asked["page"], "bucket": asked["bucket"], "said": [np.int64(len(k) // 8).tobytes() + x for k, x in zip(asked["keys"], said, strict=True)]})
 
-    asked = packed.select("page", "ids", "body").mapInArrow(ask, REQUEST_SCHEMA)
+    asked = packed.map(ask, REQUEST_SCHEMA)
     # The head is at every task already; only the others are offered.
     beyond = coded.join(F.broadcast(spark.createDataFrame(pd.DataFrame({"hash": keys.view(np.int64)}), "hash long")), "hash", "left_anti")
     offered = beyond.select("hash", "ids").mapInArrow(offer, REQUEST_SCHEMA)
@@ -350,7 +365,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
                 same = [(t is None or META not in t) if whole else decode_ids(ids[x:y], raw, raw_at) == (t or "") for t, x, y in zip(u.texts, upto[:-1].tolist(), upto[1:].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(u.ids, pa.int64()), pa.array(np.diff(upto)), pa.ListArray.from_arrays(pa.array(upto, pa.int32()), pa.array(ids, pa.int32())), pa.array(same)], names=["doc_id", "n_tokens", "ids", "round_trip"])
 
-    return packed.join(replies, "page", "left").select("ids", "body", "said").mapInArrow(finish, RESULT)
+    return packed.map(lambda batches: (b.select(["page", "ids", "body"]) for b in batches), "page long, ids binary, body binary").join(replies, "page", "left").select("ids", "body", "said").mapInArrow(finish, RESULT)
 
 
 def decode_ids(ids: np.ndarray, raw: np.ndarray, raw_at: np.ndarray) -> str:
