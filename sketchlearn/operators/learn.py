@@ -106,13 +106,14 @@ def sgd(x: SparseRows, y: np.ndarray, c: float, loss: str = "hinge", epochs: int
     return w * scale
 
 
-def fit_cells(rows: DataFrame, cells: DataFrame, train: Callable[[pd.DataFrame, pd.Series], dict], schema: str) -> DataFrame:
-    """One model a grid cell, each in a task of its own: rows (bounded: a labelled sample of codes) go to every cell of `cells`."""
+def fit_cells(rows: DataFrame, cells: list[dict], train: Callable[[pd.DataFrame, pd.Series], dict], schema: str) -> DataFrame:
+    """One model a grid cell, each in a task of its own: rows (bounded: a labelled sample of codes) go to every cell."""
+    grid = F.array(*(F.struct(F.lit(i).alias("cell"), *(F.lit(v).alias(k) for k, v in c.items())) for i, c in enumerate(cells)))
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
         return pd.DataFrame([train(pdf, pdf.iloc[0])])
 
-    return rows.crossJoin(F.broadcast(cells)).groupBy("cell").applyInPandas(run, schema)
+    return rows.select("*", F.explode(grid).alias("grid")).select(*rows.columns, "grid.*").groupBy("cell").applyInPandas(run, schema)
 
 
 # ---------------------------------------------------------------- distributed

@@ -87,7 +87,7 @@ def cell_result(pdf: pd.DataFrame, cell: pd.Series, loss: str) -> dict:
 
 def run_cells(spark, rows: DataFrame, cells: list[tuple], loss: str) -> DataFrame:
     """cells: (method, k, b, m, c)."""
-    grid = spark.createDataFrame([(i, *x) for i, x in enumerate(cells)], "cell int, method string, k int, b int, m int, c double")
+    grid = [dict(zip(("method", "k", "b", "m", "c"), x, strict=True)) for x in cells]
     return learn.fit_cells(rows, grid, lambda pdf, cell: cell_result(pdf, cell, loss), SCHEMA)
 
 

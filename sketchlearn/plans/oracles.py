@@ -115,7 +115,7 @@ def gd(loss: str, steps: int = 2, eta: float = 0.001) -> str:
     return sigq(f", {_LAB}, {', '.join(ctes)} select idx, round(w, 6) as w from {w}")
 
 
-_FW = "fw as (select i as idx, (i % 7 - 3) / 10 as w from range(256) t(i))"
+_FW = "fw as (select i as idx, (i % 7 - 3) / 8 as w from range(256) t(i))"
 _SCORE = "sc as (select id, y, sum(w) as score from act join fw using (idx) group by id, y)"
 
 
@@ -142,7 +142,7 @@ ORACLES = {
     "signature_k500_checksum": f"with {doc_cte((1,))}, {sig('doc', 500)} select j, sum(z)::BIGINT as z_sum from sig group by j",
     "merged_signature": f"with {CUST}, {sig('cust', 8)} select c_nationkey as nation, j, min(z) as z from sig join customer on c_custkey = id group by all",
     "bbit_codes": sigq(f", {CODE(4)} select id, j, v::INT as v from code"),
-    "packed_codes": sigq(f", {CODE(8)} select id, (j // 7)::INT as word_no, sum(v * pow(2, 8 * (j % 7)))::BIGINT as word from code group by id, j // 7"),
+    "packed_codes": sigq(f", {CODE(8)} select id, (j // 7)::INT as word_no, sum(v << (8 * (j % 7)))::BIGINT as word from code group by id, j // 7"),
     "packed_round_trip": sigq("select distinct id, 24::BIGINT as bytes, true as same from sig"),
     "expanded_codes": sigq(f", {CODE(4)} select id, (j * 16 + 15 - v)::BIGINT as idx from code"),
     "onehot_full": f"with {CUST}, {sig('cust', 8)} select id, j::BIGINT * {D30} + z as idx from sig",

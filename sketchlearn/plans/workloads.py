@@ -360,8 +360,8 @@ def svm_fixed_gd(spark, d):
 
 
 def fixed_weights(spark) -> DataFrame:
-    """Weights (idx mod 7 - 3) / 10 over all places."""
-    return spark.range(K_DOC << B_DOC).select(F.col("id").alias("idx"), ((F.col("id") % 7 - 3) / 10).alias("w"))
+    """Weights (idx mod 7 - 3) / 8 over all places: sums are exact."""
+    return spark.range(K_DOC << B_DOC).select(F.col("id").alias("idx"), ((F.col("id") % 7 - 3) / 8).alias("w"))
 
 
 def objective_at_fixed_w(spark, d):
