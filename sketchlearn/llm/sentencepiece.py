@@ -118,10 +118,10 @@ class Model:
         return np.frombuffer(b"".join(raw), np.uint8), np.concatenate([[0], np.cumsum([len(x) for x in raw])])
 
     def expand(self, ids: list[int]) -> list[int]:
-        """Unknown characters (minus their code point) as byte pieces."""
+        """Unknown characters (-1 minus their code point) as byte pieces."""
         if min(ids, default=0) >= 0:
             return ids
-        return [y for i in ids for y in ([i] if i >= 0 else [self.byte_of.get(b, 0) for b in chr(-i).encode("utf-8", "surrogatepass")])]
+        return [y for i in ids for y in ([i] if i >= 0 else [self.byte_of.get(b, 0) for b in chr(-1 - i).encode("utf-8", "surrogatepass")])]
 
 
 # ---------------------------------------------------------------- units
@@ -189,7 +189,7 @@ def viterbi(unit: str, pieces: dict[str, tuple[int, float]], longest: int, unkno
         for start in range(max(0, end - longest), end):
             hit = pieces.get(unit[start:end])
             if hit is None and end - start == 1:
-                hit = (-ord(unit[start]), unknown)
+                hit = (-1 - ord(unit[start]), unknown)
             if hit is not None and best[start] is not None and (best[end] is None or best[start] + hit[1] > best[end]):
                 best[end], back[end] = best[start] + hit[1], (start, hit[0])
     ids, at = [], n
@@ -202,7 +202,7 @@ def viterbi(unit: str, pieces: dict[str, tuple[int, float]], longest: int, unkno
 #: Edges in the order of their ends: the score of each prefix grows by the best edge that ends there; then the back pointers are followed from the end.
 _FOLD = """aggregate(
   sort_array(concat(edges, transform(array_except(sequence(1, length(unit)), transform(filter(edges, e -> e.stop - e.start = 1), e -> e.stop)),
-    i -> named_struct('stop', i, 'start', i - 1, 'id', -ascii(substring(unit, i, 1)), 'score', {unknown})))),
+    i -> named_struct('stop', i, 'start', i - 1, 'id', -1 - ascii(substring(unit, i, 1)), 'score', {unknown})))),
   array(named_struct('score', cast(0 as double), 'start', -1, 'id', 0)),
   (best, e) -> if(size(best) <= e.stop,
     array_append(best, named_struct('score', best[e.start].score + e.score, 'start', e.start, 'id', e.id)),
@@ -215,7 +215,7 @@ _FOLD = """aggregate(
 
 
 def encode_units(units: DataFrame, model: Model) -> DataFrame:
-    """units: (hash, unit, ...) with distinct units. Adds ids array<int>; unknown characters are minus their code point."""
+    """units: (hash, unit, ...) with distinct units. Adds ids array<int>; unknown characters are -1 minus their code point."""
     spark, longest = units.sparkSession, model.longest()
     rows = [(p, i, float(s)) for i, (p, s, x) in enumerate(zip(model.pieces, model.scores, model.normal, strict=True)) if x]
     if len(rows) > 1_000_000:
