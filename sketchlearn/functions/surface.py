@@ -41,7 +41,7 @@ class BBitEncoder(Transformer, HasInputCol, HasOutputCol, DefaultParamsReadable,
     @keyword_only
     def __init__(self, *, inputCol="items", outputCol="features", k=64, b=8, seed=7):
         super().__init__()
-        self._setDefault(k=64, b=8, seed=7)
+        self._setDefault(inputCol="items", outputCol="features", k=64, b=8, seed=7)
         self._set(**self._input_kwargs)
 
     def _transform(self, df: DataFrame) -> DataFrame:

@@ -71,8 +71,8 @@ def equal_codes_within(left: DataFrame, right: DataFrame, within: str = "1 hour"
     return a.join(b, F.expr(f"code1 = code2 and at2 >= at1 and at2 <= at1 + interval {within}"))
 
 
-def growing_signature(items: DataFrame, k: int = 8, ttl_ms: int = 3_600_000) -> DataFrame:
-    """Own state: a user's signature over all items so far, sent whenever it changes, dropped after ttl_ms without items. items: (id, t)."""
+def growing_signature(items: DataFrame, k: int = 8, ttl_ms: int | None = None) -> DataFrame:
+    """Own state: a user's signature over all items so far, sent whenever it changes, dropped after ttl_ms (processing time) without items; None keeps it. items: (id, t)."""
     family = TwoUniversal(k)
     c1, c2 = (np.array(x, np.int64) for x in zip(*family.numbers(), strict=True))
 
@@ -88,9 +88,10 @@ def growing_signature(items: DataFrame, k: int = 8, ttl_ms: int = 3_600_000) ->
         if new is not None and (old is None or (new != old).any()):
             state.update((new.tolist(),))
             yield pd.DataFrame({"id": [key[0]], "sig": [new.tolist()]})
-        state.setTimeoutDuration(ttl_ms)
+        if ttl_ms:
+            state.setTimeoutDuration(ttl_ms)
 
-    return items.groupBy("id").applyInPandasWithState(grow, "id long, sig array<long>", "sig array<long>", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return items.groupBy("id").applyInPandasWithState(grow, "id long, sig array<long>", "sig array<long>", "append", GroupStateTimeout.ProcessingTimeTimeout if ttl_ms else GroupStateTimeout.NoTimeout)
 
 
 class OnlineLearner:
