@@ -149,7 +149,7 @@ ORACLES = {
     "nested_code_slices": sigq("select k::INT as k, b::INT as b, sum(z & ((1 << b) - 1))::BIGINT as code_sum from sig, (values (4), (8), (16)) a(k), (values (1), (2), (4), (8), (12), (16)) c(b) where j < k group by k, b"),
     "resemblance_pairs": f"with {PAIRS} select id1, id2, f1, f2, a, round(r, 6) as r from pairs",
     "minwise_estimate_pairs": f"with {PAIRS}, {sig('supp', 64)}, m as (select x.id as id1, y.id as id2, count(*) as matches from sig x join sig y on x.j = y.j and x.z = y.z and x.id < y.id group by all) select id1, id2, coalesce(matches, 0) as matches, round(coalesce(matches, 0) / 64, 6) as r_hat, round(r * (1 - r) / 64, 6) as var_theory from pairs left join m using (id1, id2)",
-    "bbit_estimate_pairs": f"with {PAIRS}, {PERM(32)}, sig as (select id, j, min(image) as z from supp join perm using (t) group by id, j) " + union(f"select id1, id2, {b}::INT as b, matches, round(matches / 32, 6) as p_hat, round((matches / 32 - c1) / (1 - c2), 6) as r_hat_general, round((matches / 32 - 1.0 / {1 << b}) / (1 - 1.0 / {1 << b}), 6) as r_hat_sparse, round((c1 + (1 - c2) * r) * (1 - c1 - (1 - c2) * r) / (32 * (1 - c2) * (1 - c2)), 6) as var_theory from {c_of(b)} join (select x.id as id1, y.id as id2, count_if((x.z & {(1 << b) - 1}) = (y.z & {(1 << b) - 1}))::BIGINT as matches from sig x join sig y on x.j = y.j and x.id < y.id group by all) using (id1, id2)" for b in (1, 2, 4, 8)),
+    "bbit_estimate_pairs": f"with {PAIRS}, {PERM(32)}, sig as (select id, j, min(image) as z from supp join perm using (t) group by id, j) " + union(f"select id1, id2, {b}::INT as b, matches, round(matches / 32, 6) as p_hat, round((matches / 32 - c1) / (1 - c2) + 1e-9, 6) as r_hat_general, round((matches / 32 - 1.0 / {1 << b}) / (1 - 1.0 / {1 << b}) + 1e-9, 6) as r_hat_sparse, round((c1 + (1 - c2) * r) * (1 - c1 - (1 - c2) * r) / (32 * (1 - c2) * (1 - c2)), 6) as var_theory from {c_of(b)} join (select x.id as id1, y.id as id2, count_if((x.z & {(1 << b) - 1}) = (y.z & {(1 << b) - 1}))::BIGINT as matches from sig x join sig y on x.j = y.j and x.id < y.id group by all) using (id1, id2)" for b in (1, 2, 4, 8)),
     "theorem_constants": f"with {PAIRS} " + union(f"select id1, id2, {b}::INT as b, round(a1, 6) as a1, round(a2, 6) as a2, round(c1, 6) as c1, round(c2, 6) as c2, round(c1 + (1 - c2) * r, 6) as p_b from {c_of(b)}" for b in (1, 2, 4)),
     "sparse_limit_gap": f"with {PAIRS} " + union(f"select id1, id2, {b}::INT as b, round(abs(c1 + (1 - c2) * r - {_P2(b)}), 6) as gap, round((f1 + f2)::DOUBLE / (select count(*) from part), 6) as r1_plus_r2 from {c_of(b)}" for b in (1, 2, 4)),
     "bbit_variance_theory": f"with {CPAIRS} " + union(f"select id1, id2, {b}::INT as b, round(r * (1 - r) / 100, 8) as var_full, round({_P2(b)} * (1 - {_P2(b)}) / (100 * (1 - 1.0 / {1 << b}) * (1 - 1.0 / {1 << b})), 8) as var_bbit from cpairs" for b in (1, 2, 4, 8)),

@@ -181,13 +181,14 @@ def _supplier_permuted(spark, d, k: int) -> DataFrame:
 
 
 def bbit_estimate_pairs(spark, d, k: int = 32):
+    """The 1e-9 keeps exact halves of the last digit, which these fractions often are, on one side in every engine."""
     pairs, parts = similarity.resemblance_pairs(supplier_long(spark, d)), n_parts(spark, d)
     both = _pair_signatures(pairs, _supplier_permuted(spark, d, k))
     out = None
     for b in (1, 2, 4, 8):
         m = similarity.matches(bbit.truncate(F.col("s1"), b), bbit.truncate(F.col("s2"), b)).cast("long")
         f1, f2 = F.col("f1").cast("double"), F.col("f2").cast("double")
-        one = both.withColumn("matches", m).select("id1", "id2", F.lit(b).alias("b"), "matches", r6(F.col("matches") / k, "p_hat"), r6(similarity.estimate_bbit(F.col("matches") / k, f1, f2, parts, b), "r_hat_general"), r6(similarity.estimate_bbit(F.col("matches") / k, f1, f2, parts, b, "sparse"), "r_hat_sparse"), r6(similarity.var_bbit(F.col("r"), f1, f2, parts, b, k), "var_theory"))
+        one = both.withColumn("matches", m).select("id1", "id2", F.lit(b).alias("b"), "matches", r6(F.col("matches") / k, "p_hat"), r6(similarity.estimate_bbit(F.col("matches") / k, f1, f2, parts, b) + 1e-9, "r_hat_general"), r6(similarity.estimate_bbit(F.col("matches") / k, f1, f2, parts, b, "sparse") + 1e-9, "r_hat_sparse"), r6(similarity.var_bbit(F.col("r"), f1, f2, parts, b, k), "var_theory"))
         out = one if out is None else out.unionByName(one)
     return out
 
