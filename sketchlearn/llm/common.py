@@ -10,6 +10,8 @@ one entry a batch, and no bucket grows with the copies of a key.
 
 from __future__ import annotations
 
+import contextlib
+import ctypes
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -104,6 +106,42 @@ def task_partition() -> int:
     return TaskContext.get().partitionId()
 
 
+def few_rows_a_batch(spark, most: int = 1000) -> None:
+    """Arrow batches of whole texts: at most so many rows in one, so that long texts take bounded memory on both sides of the pipe (a session setting; a lower one is kept)."""
+    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(key)) <= most:
+        spark.conf.set(key, str(most))
+
+
+def give_back() -> None:
+    """Returns freed memory to the system. Python workers serve one stage after the other; without this each keeps the most that any stage needed."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
+
+
+def frugal(fn: Callable) -> Callable:
+    """A function for mapInArrow that gives memory back when its task ends."""
+
+    def run(batches):
+        yield from fn(batches)
+        give_back()
+
+    return run
+
+
+def frugal_group(fn: Callable) -> Callable:
+    """A function for applyInPandas that gives memory back after each group: groups here are large and few."""
+
+    def run(pdf):
+        out = fn(pdf)
+        give_back()
+        return out
+
+    run.__annotations__ = {}
+    return run
+
+
 # ---------------------------------------------------------------- pages of documents
 
 PAGE_SCHEMA = "page long, ids binary, body binary, n_words long, rest binary"
@@ -197,8 +235,9 @@ def page_rows(batches: Iterator[pa.RecordBatch], base: int | None, page_chars: i
 
 def pages(docs: DataFrame, id_col: str, text_col: str, others: list[str] | None = None) -> DataFrame:
     """Documents in pages of about 2 MB of text each, whole texts, written to the shared folder: rows (page, ids, body, n_words, rest)."""
+    few_rows_a_batch(docs.sparkSession)
     rows = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"), *(others or []))
-    return written(rows.mapInArrow(lambda batches: page_rows(batches, task_partition() << 32), PAGE_SCHEMA))
+    return written(rows.mapInArrow(frugal(lambda batches: page_rows(batches, task_partition() << 32)), PAGE_SCHEMA))
 
 
 # ---------------------------------------------------------------- key exchange
@@ -262,7 +301,7 @@ def exchange_rows(asked: DataFrame, lanes: int, answer: Callable[[np.ndarray, np
             out = pd.concat([out, pd.DataFrame({"page": [-1], "bucket": pdf["bucket"].iloc[:1], "said": [note(keys, group, vals)]})], ignore_index=True)
         return out
 
-    return asked.groupBy("bucket").applyInPandas(reduce, "page long, bucket int, said binary")
+    return asked.groupBy("bucket").applyInPandas(frugal_group(reduce), "page long, bucket int, said binary")
 
 
 def sum_by(group: np.ndarray, vals: np.ndarray) -> np.ndarray:

@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import alnum_words
+from .common import alnum_words, few_rows_a_batch, frugal
 
 #: The same words in a text whose capitals still stand.
 WORD = re.compile(r"[^\x00-\x2F\x3A-\x40\x5B-\x60\x7B-\x7F]+")
@@ -93,6 +93,7 @@ def bench_items(bench: DataFrame, item_col: str = "item_id", item_text_col: str
 
 def without_contaminated(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text") -> DataFrame:
     """The rows of docs, all their columns, in which no window of an item stands."""
+    few_rows_a_batch(docs.sparkSession)
     at, out = docs.columns.index(text_col), docs
     for block in _blocks(bench_items(bench), n):
 
@@ -102,7 +103,7 @@ def without_contaminated(docs: DataFrame, bench: DataFrame, n: int = 10, text_co
             for b in batches:
                 yield b.filter(pa.array([not (block and (w := alnum_words(t)) and scan(w, vocabulary, found, shortest)[0]) for t in b.column(at).to_pylist()], pa.bool_()))
 
-        out = out.mapInArrow(run, docs.schema)
+        out = out.mapInArrow(frugal(run), docs.schema)
     return out
 
 
@@ -114,6 +115,7 @@ def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 10, id_col: str =
     one automaton stays bounded, and the texts pass through the blocks one
     after the other.
     """
+    few_rows_a_batch(docs.sparkSession)
     blocks = _blocks(bench_items(bench, item_col, item_text_col), n)
 
     def pass_over(block: list[tuple[int, list[bytes]]], last: bool):
@@ -142,8 +144,8 @@ def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 10, id_col: str =
 
     df = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.lit(None).cast("array<long>").alias("items"), F.lit(None).cast("array<struct<start:int,stop:int>>").alias("runs"))
     for block in blocks[:-1]:
-        df = df.mapInArrow(pass_over(block, False), df.schema)
-    return df.mapInArrow(pass_over(blocks[-1], True), RESULT)
+        df = df.mapInArrow(frugal(pass_over(block, False)), df.schema)
+    return df.mapInArrow(frugal(pass_over(blocks[-1], True)), RESULT)
 
 
 def merged(a: list[tuple[int, int]], b: list[tuple[int, int]]) -> list[tuple[int, int]]:

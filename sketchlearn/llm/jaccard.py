@@ -38,7 +38,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.graph import connected_components
-from .common import LOWER_TABLE, REQUEST_ARROW, REQUEST_SCHEMA, Page, buckets_for, exchange, mix64, pages, requests, written
+from .common import LOWER_TABLE, REQUEST_ARROW, REQUEST_SCHEMA, Page, buckets_for, exchange, frugal, frugal_group, mix64, pages, requests, written
 from .substring import distinct
 
 #: Sets in a group of the matrix and in a block of a family, and bytes of sets that a task solves together.
@@ -187,7 +187,7 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
                 sets = shingle_sets(page, n)
                 yield pa.RecordBatch.from_arrays([pa.array(np.full(len(sets), number)), pa.array(np.arange(len(sets))), pa.array(page.ids, pa.int64()), pa.array([len(s) for s in sets], pa.int64()), pa.array([fingerprint(s) if len(s) else None for s in sets], pa.binary())], names=["page", "nth", "doc_id", "n_shingles", "fp"])
 
-    described = written(packed.select("page", "ids", "body").mapInArrow(describe, "page long, nth long, doc_id long, n_shingles long, fp binary"), spark)
+    described = written(packed.select("page", "ids", "body").mapInArrow(frugal(describe), "page long, nth long, doc_id long, n_shingles long, fp binary"), spark)
     # Where each distinct set stands first: only there it is sent on.
     firsts = described.where("fp is not null").groupBy("fp").agg(F.min(F.struct("page", "nth")).alias("at")).groupBy("at.page").agg(F.collect_list("at.nth").alias("firsts"))
 
@@ -209,7 +209,7 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
                 keys, count, _ = page_tokens(page_sets(head, body)[1])
                 yield pa.RecordBatch.from_pylist(requests(number, keys, count, buckets), REQUEST_ARROW)
 
-    said = exchange(packed.select("page", "ids", "body").mapInArrow(ask, REQUEST_SCHEMA), 1, how_many)
+    said = exchange(packed.select("page", "ids", "body").mapInArrow(frugal(ask), REQUEST_SCHEMA), 1, how_many)
 
     def candidates(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -229,7 +229,7 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
                         rows.append({"fp": (f := fingerprint(s)), "id": int(np.frombuffer(f, np.int64)[0]), "g": int(toks[:1].view(np.int64)[0]), "rare": rare.view(np.int64).tolist(), "held": s.tobytes()})
                 yield pa.RecordBatch.from_pylist(rows, pa.schema([("fp", pa.binary()), ("id", pa.int64()), ("g", pa.int64()), ("rare", pa.list_(pa.int64())), ("held", pa.binary())]))
 
-    cand = written(packed.join(said.join(firsts, "page", "left"), "page", "left").select("ids", "body", "said", "firsts").mapInArrow(candidates, "fp binary, id long, g long, rare array<long>, held binary"), spark)
+    cand = written(packed.join(said.join(firsts, "page", "left"), "page", "left").select("ids", "body", "said", "firsts").mapInArrow(frugal(candidates), "fp binary, id long, g long, rare array<long>, held binary"), spark)
     # Families: each set is tied to the smallest set of each of its rare tokens. 64 bits name a set here; equal names would only join two families.
     tied = cand.select("id", F.explode("rare").alias("token"))
     stars = tied.groupBy("token").agg(F.min("id").alias("low"), F.max("id").alias("high")).where("low < high").select("token", "low")
@@ -261,7 +261,7 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
         return pd.DataFrame({"src": src, "dst": dst})
 
     dealt = tasks.withColumn("task", F.pmod(F.xxhash64("family", "i", "j"), F.lit(max(16, bytes_held // TASK_BYTES))))
-    links = written(dealt.groupBy("task").applyInPandas(solve, "src binary, dst binary"), spark)
+    links = written(dealt.groupBy("task").applyInPandas(frugal_group(solve), "src binary, dst binary"), spark)
     return _named(described, links)
 
 

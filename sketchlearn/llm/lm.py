@@ -36,7 +36,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import LOWER_TABLE, REQUEST_ARROW, REQUEST_SCHEMA, Page, answers, buckets_for, exchange_rows, pages, requests, written
+from .common import LOWER_TABLE, REQUEST_ARROW, REQUEST_SCHEMA, Page, answers, buckets_for, exchange_rows, frugal, pages, requests, written
 
 #: Words of the network's vocabulary in CLASSES classes of CLASS_SIZE; one further class holds the KINDS of other words.
 CLASSES, CLASS_SIZE, KINDS = 64, 64, 64
@@ -377,7 +377,8 @@ def unnoted(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def vocabulary(notes: DataFrame) -> Vocabulary:
     rows = written(notes.select("said").mapInArrow(unnoted, "what byte, key long, n long, kind long, words long"))
-    head = rows.where("what = 0").orderBy(F.desc("n"), "key").limit(HEAD).collect()
+    # Partial results meet on an executor; the driver gets the head alone.
+    head = written(rows.where("what = 0").orderBy(F.desc("n"), "key").limit(HEAD)).collect()
     tail = rows.where("what = 1").groupBy("kind").agg(F.sum("n").alias("n"), F.sum("words").alias("words")).collect()
     tokens, words = np.zeros(KINDS, np.int64), np.zeros(KINDS, np.int64)
     for r in tail:
@@ -413,7 +414,7 @@ def train(packed: DataFrame, vocab: Vocabulary, rounds: int = ROUNDS) -> Network
                 yield pa.RecordBatch.from_arrays([pa.array([seen], pa.int64()), pa.array([own.net.blob()], pa.binary())], names=["n", "blob"])
 
         part = packed.where(F.pmod(F.xxhash64("page"), F.lit(rounds)) == r) if rounds > 1 else packed
-        net = averaged(part.select("ids", "body").mapInArrow(work, "n long, blob binary")) or net
+        net = averaged(part.select("ids", "body").mapInArrow(frugal(work), "n long, blob binary")) or net
     return net
 
 
@@ -467,7 +468,7 @@ def scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
                 keys, vals, _ = distinct_tokens(Tokens(head, body))
                 yield pa.RecordBatch.from_pylist(requests(number, keys[:, None], vals, buckets), REQUEST_ARROW)
 
-    raw = written(exchange_rows(packed.select("page", "ids", "body").mapInArrow(ask, REQUEST_SCHEMA), 1, count_all, note))
+    raw = written(exchange_rows(packed.select("page", "ids", "body").mapInArrow(frugal(ask), REQUEST_SCHEMA), 1, count_all, note))
     vocab = vocabulary(raw.where("page < 0"))
     net = train(packed, vocab).blob()
     counted = packed.join(answers(raw.where("page >= 0")), "page", "left").select("ids", "body", "said")
@@ -492,7 +493,7 @@ def scores(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> D
                 pa.array(np.add.reduceat(base, begins)), pa.array(np.add.reduceat(logp, begins) / np.log(10)),
             ], names=["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
-    return counted.mapInArrow(finish, RESULT)
+    return counted.mapInArrow(frugal(finish), RESULT)
 
 
 def count_all(group: np.ndarray, vals: np.ndarray) -> np.ndarray:

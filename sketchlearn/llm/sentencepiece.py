@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import REQUEST_ARROW, REQUEST_SCHEMA, answers, buckets_for, page_rows, requests, span_hashes, text_of, unpack_rows, written
+from .common import REQUEST_ARROW, REQUEST_SCHEMA, answers, buckets_for, few_rows_a_batch, frugal, frugal_group, page_rows, requests, span_hashes, text_of, unpack_rows, written
 
 META = "▁"
 #: Units in the head that goes to every task; characters up to which a unit's lattice is relational (longer ones, which no language has, are folded by the same rule in Python).
@@ -236,7 +236,7 @@ def encode_units(units: DataFrame, model: Model) -> DataFrame:
                 b = pa.RecordBatch.from_arrays([b.column(0), b.column(1), b.column(2), pa.array(ids, pa.list_(pa.int32()))], names=["hash", "n", "long", "ids"])
             yield b.select(["hash", "n", "ids"])
 
-    return folded.mapInArrow(fold, "hash long, n long, ids array<int>")
+    return folded.mapInArrow(frugal(fold), "hash long, n long, ids array<int>")
 
 
 # ---------------------------------------------------------------- Spark
@@ -246,10 +246,11 @@ class Paged:
     """Texts cut into pages wherever they are read, in the Python worker that uses the pages. A page is named by what it holds: one that a second reading cuts otherwise is missed loudly, never answered wrongly."""
 
     def __init__(self, docs: DataFrame, id_col: str, text_col: str):
+        few_rows_a_batch(docs.sparkSession)
         self.rows = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"))
 
     def map(self, fn, schema: str) -> DataFrame:
-        return self.rows.mapInArrow(lambda batches: fn(page_rows(batches, None, PAGE_CHARS)), schema)
+        return self.rows.mapInArrow(frugal(lambda batches: fn(page_rows(batches, None, PAGE_CHARS))), schema)
 
 
 def distinct_units(packed: Paged, model: Model) -> DataFrame:
@@ -335,8 +336,8 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
     asked = packed.map(ask, REQUEST_SCHEMA)
     # The head is at every task already; only the others are offered.
     beyond = coded.join(F.broadcast(spark.createDataFrame(pd.DataFrame({"hash": keys.view(np.int64)}), "hash long")), "hash", "left_anti")
-    offered = beyond.select("hash", "ids").mapInArrow(offer, REQUEST_SCHEMA)
-    replies = answers(asked.unionByName(offered).groupBy("bucket").applyInPandas(look_up, "page long, bucket int, said binary"))
+    offered = beyond.select("hash", "ids").mapInArrow(frugal(offer), REQUEST_SCHEMA)
+    replies = answers(asked.unionByName(offered).groupBy("bucket").applyInPandas(frugal_group(look_up), "page long, bucket int, said binary"))
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         spans = model.spans()
@@ -365,7 +366,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
                 same = [(t is None or META not in t) if whole else decode_ids(ids[x:y], raw, raw_at) == (t or "") for t, x, y in zip(u.texts, upto[:-1].tolist(), upto[1:].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(u.ids, pa.int64()), pa.array(np.diff(upto)), pa.ListArray.from_arrays(pa.array(upto, pa.int32()), pa.array(ids, pa.int32())), pa.array(same)], names=["doc_id", "n_tokens", "ids", "round_trip"])
 
-    return packed.map(lambda batches: (b.select(["page", "ids", "body"]) for b in batches), "page long, ids binary, body binary").join(replies, "page", "left").select("ids", "body", "said").mapInArrow(finish, RESULT)
+    return packed.map(lambda batches: (b.select(["page", "ids", "body"]) for b in batches), "page long, ids binary, body binary").join(replies, "page", "left").select("ids", "body", "said").mapInArrow(frugal(finish), RESULT)
 
 
 def decode_ids(ids: np.ndarray, raw: np.ndarray, raw_at: np.ndarray) -> str:
@@ -383,7 +384,7 @@ def decode(encoded: DataFrame, model_path: str, id_col: str = "doc_id", ids_col:
         for b in batches:
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array([None if x is None else decode_ids(x, raw, raw_at) for x in b.column(1).to_pylist()], pa.string())], names=["doc_id", "text"])
 
-    return encoded.select(F.col(id_col).alias("doc_id"), F.col(ids_col).alias("ids")).mapInArrow(run, "doc_id long, text string")
+    return encoded.select(F.col(id_col).alias("doc_id"), F.col(ids_col).alias("ids")).mapInArrow(frugal(run), "doc_id long, text string")
 
 
 def default_model(spark: SparkSession) -> str:

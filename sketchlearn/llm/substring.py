@@ -32,7 +32,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import REQUEST_ARROW, REQUEST_SCHEMA, Page, buckets_for, exchange, mix64, pages, requests, sum_by, written
+from .common import REQUEST_ARROW, REQUEST_SCHEMA, Page, buckets_for, exchange, frugal, mix64, pages, requests, sum_by, written
 
 WINDOW = 35
 _M1, _M2 = np.uint64(0x9E3779B97F4A7C15), np.uint64(0xC2B2AE3D27D4EB4F)
@@ -162,7 +162,7 @@ def repeated_words(docs: DataFrame, emit: Callable[[Page, np.ndarray, bytes], pa
                 keys, count, _ = distinct(key[new][:, None])
                 yield pa.RecordBatch.from_pylist(requests(number, keys, np.minimum(count, 2), some), REQUEST_ARROW)
 
-    first = written(exchange(packed.select("page", "ids", "body").mapInArrow(ask_anchors, REQUEST_SCHEMA), 1, occurs_twice), spark)
+    first = written(exchange(packed.select("page", "ids", "body").mapInArrow(frugal(ask_anchors), REQUEST_SCHEMA), 1, occurs_twice), spark)
 
     def candidates(page: Page, said: list[bytes] | None) -> np.ndarray:
         starts, key, new = anchors(page, n)
@@ -179,7 +179,7 @@ def repeated_words(docs: DataFrame, emit: Callable[[Page, np.ndarray, bytes], pa
                 yield pa.RecordBatch.from_pylist(requests(number, keys, np.minimum(count, 2), most), REQUEST_ARROW)
 
     with_first = packed.join(first, "page", "left").select("page", "ids", "body", "said")
-    second = exchange(with_first.mapInArrow(ask_prints, REQUEST_SCHEMA), 2, occurs_twice).withColumnRenamed("said", "said2")
+    second = exchange(with_first.mapInArrow(frugal(ask_prints), REQUEST_SCHEMA), 2, occurs_twice).withColumnRenamed("said", "said2")
 
     def finish(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -190,7 +190,7 @@ def repeated_words(docs: DataFrame, emit: Callable[[Page, np.ndarray, bytes], pa
                 hit = starts[shared(said2)[where]] if len(starts) else starts
                 yield emit(page, covered(page, hit, n), rest)
 
-    return packed.join(first.join(second, "page", "left"), "page", "left").select("ids", "body", "rest", "said", "said2").mapInArrow(finish, schema)
+    return packed.join(first.join(second, "page", "left"), "page", "left").select("ids", "body", "rest", "said", "said2").mapInArrow(frugal(finish), schema)
 
 
 DIGEST = "doc_id long, n_words long, n_removed long, kept_sha256 string"

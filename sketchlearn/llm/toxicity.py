@@ -27,14 +27,14 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import alnum_words
+from .common import alnum_words, few_rows_a_batch, frugal
 
 #: Order of the chain; each is a column of `labels` turned into 0/1 by LABELS.
 CATEGORIES = ("low_quality", "toxic")
 BITS, PREFIXES, FOLDS, MAX_ROWS = 18, (4, 5, 6, 7), 3, 6_000
 #: A feature tells something if it is in so many rows at least and its chi-square is so high.
 MIN_ROWS, MIN_CHI = 4, 18.0
-CACHE = 200_000
+CACHE = 100_000
 
 
 class Features(dict):
@@ -205,6 +205,7 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFr
 
 
 def fitted(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Chain:
+    few_rows_a_batch(docs.sparkSession)
     sample = labelled_sample(docs, labels, max_rows).select("key", "low_quality", "toxic", "text").toPandas()
     return fit_chain(sample["text"].tolist(), [int(k) & 0x7FFFFFFF for k in sample["key"]], sample[list(CATEGORIES)].to_numpy(np.float64))
 
@@ -226,7 +227,7 @@ def score(docs: DataFrame, chain: Chain) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b.column(0), *(pa.array(p[:, j]) for j in range(p.shape[1])), pa.array(z[:, -1] > model.thresholds[-1])], names=names)
 
     schema = "doc_id long, " + "".join(f"p_{c} double, " for c in chain.categories) + "rejected boolean"
-    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(run, schema)
+    return docs.select(F.col("doc_id").cast("long"), F.col("text").cast("string")).mapInArrow(frugal(run), schema)
 
 
 def without_toxic(docs: DataFrame, labels: DataFrame, text_col: str = "text", max_rows: int = MAX_ROWS) -> DataFrame:
@@ -238,4 +239,4 @@ def without_toxic(docs: DataFrame, labels: DataFrame, text_col: str = "text", ma
         for b in batches:
             yield b.filter(pa.array([model.logits(t, cache)[-1] <= model.thresholds[-1] for t in b.column(at).to_pylist()], pa.bool_()))
 
-    return docs.mapInArrow(run, docs.schema)
+    return docs.mapInArrow(frugal(run), docs.schema)
