@@ -2,12 +2,22 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions.similarity import matches, resemblance
+from ..sources.shared import written
 from .graph import connected_components
 
+#: Bits of a set's parity, distinct sets in a block of a bucket, rows of bands in a task.
+PARITY, BLOCK, TASK_ROWS = 512, 1024, 100_000
+_STEP = np.uint64(0x9E3779B97F4A7C15)
+
 
 def exact_groups(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
     """(id, group_id, copies): equal texts; one aggregate by md5, so a frequent text is summed before the shuffle."""
@@ -16,20 +26,112 @@ def exact_groups(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
     return df.select(F.col(id_col).alias("id"), key.alias("h")).join(groups, "h").select("id", "group_id", "copies")
 
 
-def band_candidates(signed: DataFrame, bands: int, rows: int) -> DataFrame:
-    """(id1, id2): sets that share a band, each tied to the smallest id of its band (a star, not all pairs of a bucket)."""
-    sliced = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda i: F.struct(i.alias("band"), F.md5(F.array_join(F.transform(F.slice("sig", i * rows + 1, F.lit(rows)), lambda z: z.cast("string")), ",")).alias("h")))
-    long = signed.where("sig is not null").select("id", F.explode(sliced).alias("x")).select("id", "x.band", "x.h")
-    least = long.groupBy("band", "h").agg(F.min("id").alias("low"), F.count(F.lit(1)).alias("n")).where("n > 1")
-    return long.join(least, ["band", "h"]).where("id <> low").select(F.col("low").alias("id1"), F.col("id").alias("id2")).distinct()
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+    x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+    return x ^ (x >> np.uint64(31))
+
+
+def described(signed: DataFrame, bands: int, rows: int) -> DataFrame:
+    """(id, fp, f, parity, bands, items, sig): a 128-bit fingerprint of the set, its size, a parity bit for each of PARITY buckets of items, and the bands' minima as bytes, 8 * rows a band."""
+    names = ["id", "fp", "f", "parity", "bands", "items", "sig"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            fp, f, parity, keys = [], [], [], []
+            for items, sig in zip(b.column(1), b.column(2), strict=True):
+                x = np.unique(items.values.to_numpy(zero_copy_only=False)).view(np.uint64)
+                m = _mixed(x + _STEP)
+                fp.append(np.array([m.sum(dtype=np.uint64), _mixed(m ^ _STEP).sum(dtype=np.uint64)]).tobytes())
+                f.append(len(x))
+                parity.append(np.packbits(np.bincount((m % np.uint64(PARITY)).astype(np.int64), minlength=PARITY).astype(np.uint8) & 1).tobytes())
+                keys.append(sig.values.to_numpy(zero_copy_only=False)[: bands * rows].tobytes())
+            yield pa.RecordBatch.from_arrays([b.column(0).cast(pa.int64()), pa.array(fp, pa.binary()), pa.array(f, pa.int64()), pa.array(parity, pa.binary()), pa.array(keys, pa.binary()), b.column(1).cast(pa.list_(pa.int64())), b.column(2)], names=names)
+
+    return signed.where("sig is not null").select("id", "items", "sig").mapInArrow(run, "id long, fp binary, f long, parity binary, bands binary, items array<long>, sig array<long>")
+
+
+def alike(f1: np.ndarray, p1: np.ndarray, f2: np.ndarray, p2: np.ndarray, tau: float) -> tuple[np.ndarray, np.ndarray]:
+    """Places of all pairs whose resemblance can reach tau. Each item that only one of two sets has turns one parity bit, so that
+    the bits that differ are at most the items that do, and these are at most (f1 + f2)(1 - tau)/(1 + tau) at resemblance tau: no pair of tau is lost."""
+    differ = np.zeros((len(f1), len(f2)), np.uint16)
+    for w in range(p1.shape[1]):
+        differ += np.bitwise_count(p1[:, w, None] ^ p2[None, :, w])
+    low, high = np.minimum(f1[:, None], f2), np.maximum(f1[:, None], f2)
+    return np.nonzero((differ <= (low + high) * ((1 - tau) / (1 + tau)) + 1e-6) & (low >= tau * high - 1e-6))
+
+
+def band_candidates(reps: DataFrame, bands: int, rows: int, tau: float) -> DataFrame:
+    """(id1, id2): all pairs of distinct sets that share a band and can reach tau, each once. A bucket of more than BLOCK sets is cut into blocks, each pair of blocks a task."""
+    width = 8 * rows
+    sliced = F.transform(F.sequence(F.lit(0), F.lit(bands - 1)), lambda i: F.struct(i.alias("band"), F.substring("bands", i * width + 1, F.lit(width)).alias("h")))
+    long = reps.select("id", "f", "parity", "bands", F.explode(sliced).alias("x")).select("id", "f", "parity", "bands", "x.band", "x.h")
+    sizes = long.groupBy("band", "h").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    large = sizes.where(F.col("n") > BLOCK).select("band", "h", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
+    dealt = long.join(F.broadcast(large), ["band", "h"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1)))
+    dealt = dealt.withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    dealt = dealt.withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")})
+    tasks = max(16, -(-reps.count() * bands // TASK_ROWS))
+
+    def solve(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["band", "h", "i", "j"], ignore_index=True)
+        ids, f, own, band = (pdf[c].to_numpy() for c in ("id", "f", "own", "band"))
+        parity = np.frombuffer(b"".join(pdf["parity"]), np.uint64).reshape(len(pdf), -1)
+        minima = np.frombuffer(b"".join(pdf["bands"]), np.int64).reshape(len(pdf), bands, rows)
+        i, j, h = pdf["i"].to_numpy(), pdf["j"].to_numpy(), pdf["h"].to_numpy()
+        new = (band[1:] != band[:-1]) | (h[1:] != h[:-1]) | (i[1:] != i[:-1]) | (j[1:] != j[:-1])
+        cuts = np.concatenate([[0], np.nonzero(new)[0] + 1, [len(pdf)]])
+        left, right = [], []
+        for begin, end in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+            if end - begin < 2:
+                continue
+            at = np.arange(begin, end)
+            a, b = (at, at) if i[begin] == j[begin] else (at[own[at] == i[begin]], at[own[at] == j[begin]])
+            x, y = alike(f[a], parity[a], f[b], parity[b], tau)
+            x, y = a[x], b[y]
+            once = ids[x] < ids[y] if a is b else np.ones(len(x), bool)
+            x, y = x[once], y[once]
+            # The first band that both share makes the pair, no other.
+            first = (minima[x] == minima[y]).all(2).argmax(1) == band[begin]
+            left.append(ids[x[first]])
+            right.append(ids[y[first]])
+        l, r = (np.concatenate([np.zeros(0, np.int64), *side]) for side in (left, right))
+        return pd.DataFrame({"id1": np.minimum(l, r), "id2": np.maximum(l, r)})
+
+    grouped = dealt.select("id", "f", "parity", "bands", "band", "h", "i", "j", "own").groupBy(F.pmod(F.xxhash64("band", "h", "i", "j"), F.lit(tasks)))
+    return grouped.applyInPandas(solve, "id1 long, id2 long")
+
+
+def distinct_links(signed: DataFrame, bands: int, rows: int, tau: float) -> tuple[DataFrame, DataFrame]:
+    """(id1, id2, matches, r) of all pairs of distinct sets that share a band and reach tau, each set by the smallest id that has it; and (id, rep, k), the smallest id of each id's set and the signature's length."""
+    every = written(described(signed, bands, rows))
+    reps = written(every.groupBy("fp").agg(F.min(F.struct("id", "f", "parity", "bands", "sig")).alias("x")).select("fp", "x.*"))
+    member = every.select("id", "fp", F.size("sig").alias("k")).join(reps.select("fp", F.col("id").alias("rep")), "fp").select("id", "rep", "k").distinct()
+    pairs = written(band_candidates(reps, bands, rows, tau))
+    # Items were written once, with the fingerprints; only those of sets in a pair are read again.
+    needed = pairs.select(F.explode(F.array("id1", "id2")).alias("id")).distinct()
+    held = written(every.join(needed, "id", "left_semi").dropDuplicates(["id"]).select("id", "items", "sig"))
+    side = lambda n: held.select(F.col("id").alias(f"id{n}"), F.col("items").alias(f"items{n}"), F.col("sig").alias(f"sig{n}"))
+    both = pairs.join(side(1), "id1").join(side(2), "id2")
+    found = both.select("id1", "id2", matches(F.col("sig1"), F.col("sig2")).cast("long").alias("matches"), resemblance(F.col("items1"), F.col("items2")).alias("r")).where(F.col("r") >= tau)
+    return found, member
 
 
 def near_pairs(signed: DataFrame, bands: int, rows: int, tau: float) -> DataFrame:
-    """(id1, id2, matches, r): band candidates whose exact resemblance reaches tau."""
-    pairs = band_candidates(signed, bands, rows)
-    side = lambda n: signed.select(F.col("id").alias(f"id{n}"), F.col("items").alias(f"items{n}"), F.col("sig").alias(f"sig{n}"))
-    both = pairs.join(side(1), "id1").join(side(2), "id2")
-    return both.select("id1", "id2", matches(F.col("sig1"), F.col("sig2")).cast("long").alias("matches"), resemblance(F.col("items1"), F.col("items2")).alias("r")).where(F.col("r") >= tau)
+    """(id1, id2, matches, r): all pairs that share a band and whose exact resemblance reaches tau. Equal sets are compared once and written out as pairs at the end, so that the rows made are those of the result."""
+    found, member = distinct_links(signed, bands, rows, tau)
+    member = written(member)
+    side = lambda n: member.select(F.col("rep").alias(f"r{n}"), F.col("id").alias(f"m{n}"))
+    ends = lambda df, *more: df.select(F.least("m1", "m2").alias("id1"), F.greatest("m1", "m2").alias("id2"), *more)
+    across = ends(found.withColumnsRenamed({"id1": "r1", "id2": "r2"}).join(side(1), "r1").join(side(2), "r2"), "matches", "r")
+    copies = member.select(F.col("rep").alias("r1"), F.col("id").alias("m1"), "k").join(side(2), F.col("r1") == F.col("r2")).where("m1 < m2")
+    return across.unionByName(ends(copies, F.col("k").cast("long").alias("matches"), F.lit(1.0).alias("r")))
+
+
+def near_links(signed: DataFrame, bands: int, rows: int, tau: float) -> DataFrame:
+    """(id1, id2): links with the components of near_pairs; copies are tied to the smallest id of their set, not to one another."""
+    found, member = distinct_links(signed, bands, rows, tau)
+    return found.select("id1", "id2").unionByName(member.where("id <> rep").select(F.col("rep").alias("id1"), F.col("id").alias("id2")))
 
 
 def clusters(pairs: DataFrame) -> DataFrame:

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from sketchlearn.functions import bbit, minwise, sets, similarity, surface
 from sketchlearn.functions.hashing import Affine, MersenneTwoUniversal, MultiplyShift, StoredPermutations, TwoUniversal, WideTwoUniversal
-from sketchlearn.operators import cost, evaluate, expand, graph, learn, projections
+from sketchlearn.operators import cost, evaluate, expand, graph, learn, neighbors, projections
 from sketchlearn.sources import tables
 
 SF = "/root/testdata/sf0.001"
@@ -237,3 +237,26 @@ def test_sql_surface(spark):
     assert [x.idx for x in spark.sql("select * from explode_code(array(1, 0, 3), 2)").collect()] == [2, 7, 8]
     out = surface.BBitEncoder(k=4, b=2).transform(spark.createDataFrame([(1, [3, 4])], "id long, items array<bigint>")).first()
     assert out.features.size == 16 and out.features.values.sum() == 4
+
+
+@pytest.mark.parametrize("block", [1024, 3])
+def test_near_pairs_are_all_pairs_of_a_bucket(spark, block, monkeypatch):
+    monkeypatch.setattr(neighbors, "BLOCK", block)
+    rng = np.random.default_rng(5)
+    base = [sorted(rng.choice(5000, 40, replace=False).tolist()) for _ in range(6)]
+    sets_ = {1: sorted(rng.choice(5000, 30, replace=False).tolist())}  # like none
+    for i, b in enumerate(base):
+        for c in range(5):
+            sets_[10 * i + c + 2] = sorted({*b[c % 3 :], 6000 + c % 3})
+    # A signature is a function of the set; of few values, so that unlike sets share bands and the smallest id of a bucket is no copy.
+    sig = {i: [(sum(x) >> j) % 2 for j in range(16)] for i, x in sets_.items()}
+    df = spark.createDataFrame([(i, x, sig[i]) for i, x in sets_.items()] + [(99, [], None)], "id long, items array<long>, sig array<long>")
+    shares = lambda a, b: any(sig[a][2 * k : 2 * k + 2] == sig[b][2 * k : 2 * k + 2] for k in range(8))
+    r = lambda a, b: len({*sets_[a]} & {*sets_[b]}) / len({*sets_[a]} | {*sets_[b]})
+    want = sorted((a, b, sum(x == y for x, y in zip(sig[a], sig[b], strict=True)), round(r(a, b), 9)) for a, b in itertools.combinations(sorted(sets_), 2) if r(a, b) >= 0.8 and shares(a, b))
+    got = sorted((x.id1, x.id2, x.matches, round(x.r, 9)) for x in neighbors.near_pairs(df, 8, 2, 0.8).collect())
+    assert got == want and len(want) > 10
+    root = {}
+    for x in neighbors.clusters(neighbors.near_links(df, 8, 2, 0.8)).collect():
+        root[x.id] = x.cluster_id
+    assert root == {x.node: x.root for x in graph.connected_components(spark.createDataFrame([w[:2] for w in want], "src long, dst long")).collect()}
