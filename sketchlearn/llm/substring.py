@@ -58,14 +58,14 @@ def levels(page: Page, n: int) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndar
         yield mix64(sym[own] + np.uint64(level * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF)), first[own], last[own]
         level += 1
         if level % 3 == 1:
-            # Runs, in every third round. A symbol depends on its neighbours: they differ from it.
+            # Runs, in every third round. A symbol depends on the next symbol on either side: it differs from it. How long a run that symbol is in does not matter.
             same = (sym[1:] == sym[:-1]) & ~end[1:] & ~end[:-1]
             lead = np.nonzero(np.concatenate([[True], ~same]))[0]
             length = np.diff(np.append(lead, len(sym)))
             tail = lead + length - 1
             f, z = first[lead], last[tail]
-            first = np.minimum(f, np.concatenate([f[:1], f[:-1]]))
-            last = np.maximum(z, np.concatenate([z[1:], z[-1:]]))
+            first = np.minimum(f, np.concatenate([f[:1], first[tail[:-1]]]))
+            last = np.maximum(z, np.concatenate([last[lead[1:]], z[-1:]]))
             sym, end = sym[lead], end[lead]
             many = length > 1
             sym = np.where(many, mix64(sym * _M2 + length.astype(np.uint64)), sym)

@@ -374,3 +374,19 @@ def test_decontamination_equals_brute_force(spark, monkeypatch):
         for r in got:
             assert sum(len(common.alnum_words(texts[r.doc_id][s.start : s.stop])) for s in r.spans) == r.n_hit
         assert [r.doc_id for r in decontam.without_contaminated(docs, b).orderBy("doc_id").collect()] == [3, 4, 5]
+
+
+def test_repeats_that_begin_or_end_in_runs_equal_brute_force(spark):
+    rng, rows = np.random.default_rng(11), []
+    for k in range(12):
+        mid, outer = [f"s{k}_{i}" for i in range(15)], [[f"o{k}_{j}_{i}" for i in range(30)] for j in range(4)]
+        one, other = int(rng.integers(20, 30)), int(rng.integers(60, 90))
+        for j, run in enumerate((one, other)):
+            row = [f"-{k}"] * run + mid if k % 2 else mid + [f"-{k}"] * run
+            rows.append((2 * k + j, " ".join(outer[j] + row + outer[2 + j])))
+    n = substring.WINDOW
+    words = {i: t.split() for i, t in rows}
+    count = Counter(tuple(w[s : s + n]) for w in words.values() for s in range(len(w) - n + 1))
+    want = {i: len({p for s in range(len(w) - n + 1) if count[tuple(w[s : s + n])] > 1 for p in range(s, s + n)}) for i, w in words.items()}
+    got = {r.doc_id: r.n_removed for r in substring.removed_digest(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want and min(want.values()) >= n
