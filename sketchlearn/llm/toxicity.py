@@ -105,8 +105,8 @@ def telling(rows: Rows, y: np.ndarray) -> np.ndarray:
     return (df >= MIN_ROWS) & (np.nan_to_num(chi, posinf=0) >= MIN_CHI)
 
 
-def fit_linear(rows: Rows, earlier: np.ndarray, y: np.ndarray, steps: int = 150, l2: float = 1e-3) -> Linear:
-    """Logistic regression over the telling features, classes weighted 1 to the root of their ratio, by Nesterov's accelerated gradient with the step that the features' norms allow."""
+def fit_linear(rows: Rows, earlier: np.ndarray, y: np.ndarray, steps: int = 150, l2: float = 1e-3, each: np.ndarray | None = None) -> Linear:
+    """Logistic regression over the telling features, classes weighted 1 to the root of their ratio, by Nesterov's accelerated gradient with the step that the features' norms allow. each: how many rows of the table a row stands for."""
     n, k = len(y), earlier.shape[1]
     ones = int(y.sum())
     if ones in (0, n):
@@ -117,7 +117,8 @@ def fit_linear(rows: Rows, earlier: np.ndarray, y: np.ndarray, steps: int = 150,
     slot = np.cumsum(held) - 1
     row, col, val, width = rows.row[kept], slot[rows.ids[kept]], rows.vals[kept].astype(float), int(held.sum())
     side = np.concatenate([earlier / 10, np.ones((n, 1))], axis=1)
-    c = np.where(y == 1, np.sqrt((n - ones) / ones), 1.0) / n
+    each = np.ones(n) if each is None else each
+    c = each * np.where(y == 1, np.sqrt((each @ (1 - y)) / (each @ y)), 1.0) / each.sum()
     # The largest eigenvalue of the weighted Gram matrix, by power iteration, bounds the step.
     a, b = np.ones(width), np.ones(k + 1)
     norm = 1.0
@@ -155,12 +156,13 @@ class Chain:
         return out
 
 
-def fit_chain(texts: list[str | None], keys: list[int], y: np.ndarray, categories: tuple[str, ...] = CATEGORIES) -> Chain:
+def fit_chain(texts: list[str | None], keys: list[int], y: np.ndarray, categories: tuple[str, ...] = CATEGORIES, each: np.ndarray | None = None) -> Chain:
     """y: rows x categories of 0/1. Rows of the same key (a hash of the text) fall into one fold, so a copy never predicts its twin.
 
-    Thresholds: of the out-of-fold log-odds, the cut with the highest F1.
+    each: how many labelled rows a row stands for. Thresholds: of the out-of-fold log-odds, the cut with the highest F1 over all rows that the sample stands for.
     """
     cache = Features()
+    each = np.ones(len(texts)) if each is None else each
     vectors = [vector(t, cache) for t in texts]
     fold = np.array([k % FOLDS for k in keys], np.int64)
     everything, earlier = Rows(vectors), np.zeros((len(texts), 0))
@@ -170,21 +172,22 @@ def fit_chain(texts: list[str | None], keys: list[int], y: np.ndarray, categorie
         for f in range(FOLDS):
             a, b = np.nonzero(fold != f)[0], np.nonzero(fold == f)[0]
             if len(b):
-                part = fit_linear(Rows([vectors[i] for i in a]), earlier[a], y[a, j])
+                part = fit_linear(Rows([vectors[i] for i in a]), earlier[a], y[a, j], each=each[a])
                 out[b] = np.clip(Rows([vectors[i] for i in b]).times(part.w) + earlier[b] @ part.chain + part.bias, -30, 30)
-        models.append(fit_linear(everything, earlier, y[:, j]))
-        cuts.append(best_cut(out, y[:, j]))
+        models.append(fit_linear(everything, earlier, y[:, j], each=each))
+        cuts.append(best_cut(out, y[:, j], each))
         earlier = np.concatenate([earlier, out[:, None]], axis=1)
     return Chain(categories, models, cuts)
 
 
-def best_cut(score: np.ndarray, y: np.ndarray) -> float:
+def best_cut(score: np.ndarray, y: np.ndarray, each: np.ndarray | None = None) -> float:
     """Midway between the neighbours at which F1 is highest; nothing is positive if there are no ones."""
     if not y.sum():
         return float("inf")
     order = np.argsort(-score, kind="stable")
-    hit = np.cumsum(y[order])
-    f1 = 2 * hit / (np.arange(1, len(y) + 1) + y.sum())
+    each = np.ones(len(y)) if each is None else each
+    hit = np.cumsum((each * y)[order])
+    f1 = 2 * hit / (np.cumsum(each[order]) + each @ y)
     last = np.append(score[order][1:] != score[order][:-1], True)  # equal scores fall on one side
     at = int(np.argmax(np.where(last, f1, -1)))
     s = score[order]
@@ -192,22 +195,23 @@ def best_cut(score: np.ndarray, y: np.ndarray) -> float:
 
 
 def labelled_sample(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFrame:
-    """At most max_rows labelled rows, by a hash of the id, toxic ones first up to half of them.
+    """At most max_rows labelled rows, by a hash of the id, toxic ones first up to half of them; each: how many labelled rows of its class a row stands for, so that the sample's make-up does not follow the table's size.
 
     The sample is drawn from the labels alone, so that only its ids (max_rows at
     most, which bounds the broadcast) meet the documents and no text is shuffled.
     """
     said = labels.groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max(1 - F.col("quality")).alias("low_quality"), F.max("toxic").alias("toxic")).where("doc_id is not null and low_quality is not null and toxic is not null")
-    by_hash = lambda part, n: part.orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)
-    chosen = by_hash(said.where("toxic = 1"), max_rows // 2).unionByName(by_hash(said.where("toxic = 0"), max_rows - max_rows // 2))
+    total = {r.toxic: r["count"] for r in said.where("toxic in (0, 1)").groupBy("toxic").count().collect()}
+    by_hash = lambda toxic, n: said.where(F.col("toxic") == toxic).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).withColumn("each", F.lit(max(1.0, total.get(toxic, 0) / max(n, 1))))
+    chosen = by_hash(1, max_rows // 2).unionByName(by_hash(0, max_rows - max_rows // 2))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
     return rows.withColumn("key", F.xxhash64("text")).orderBy("key", "doc_id").limit(max_rows)
 
 
 def fitted(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Chain:
     few_rows_a_batch(docs.sparkSession)
-    sample = labelled_sample(docs, labels, max_rows).select("key", "low_quality", "toxic", "text").toPandas()
-    return fit_chain(sample["text"].tolist(), [int(k) & 0x7FFFFFFF for k in sample["key"]], sample[list(CATEGORIES)].to_numpy(np.float64))
+    sample = labelled_sample(docs, labels, max_rows).select("key", "low_quality", "toxic", "text", "each").toPandas()
+    return fit_chain(sample["text"].tolist(), [int(k) & 0x7FFFFFFF for k in sample["key"]], sample[list(CATEGORIES)].to_numpy(np.float64), each=sample["each"].to_numpy(np.float64))
 
 
 def classify(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, train_docs: DataFrame | None = None) -> DataFrame:

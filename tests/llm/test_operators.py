@@ -390,3 +390,24 @@ def test_repeats_that_begin_or_end_in_runs_equal_brute_force(spark):
     want = {i: len({p for s in range(len(w) - n + 1) if count[tuple(w[s : s + n])] > 1 for p in range(s, s + n)}) for i, w in words.items()}
     got = {r.doc_id: r.n_removed for r in substring.removed_digest(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
     assert got == want and min(want.values()) >= n
+
+
+def test_cut_does_not_follow_the_sample(spark):
+    rng = np.random.default_rng(4)
+    y = (rng.random(3000) < 0.1).astype(int)
+    filler, rows = [f"f{i}" for i in range(50)], []
+    for i, toxic in enumerate(y.tolist()):
+        words = rng.choice(filler, 12).tolist()
+        for name, hot, cold in (("gray", 0.7, 0.25), ("dark", 0.5, 0.08), ("night", 0.4, 0.05)):
+            words += [name] * int(rng.random() < (hot if toxic else cold))
+        rows.append((i, " ".join(words), 1, toxic))
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, q, t) for i, _, q, t in rows], "doc_id long, quality int, toxic int")
+    whole, half = (toxicity.fitted(docs, labels, m) for m in (6000, 500))
+    cache = toxicity.Features()
+    share = [np.mean([c.logits(t, cache)[-1] > c.thresholds[-1] for _, t, _, _ in rows]) for c in (whole, half)]
+    assert abs(share[0] - share[1]) < 0.06
+    each = [r.each for r in toxicity.labelled_sample(docs, labels, 500).where("toxic = 0").collect()]
+    assert abs(sum(each) - (1 - y).sum()) < 1e-6
+    score, label, times = rng.normal(size=40), rng.integers(0, 2, 40), rng.integers(1, 5, 40)
+    assert toxicity.best_cut(score, label, times.astype(float)) == toxicity.best_cut(np.repeat(score, times), np.repeat(label, times))
