@@ -43,8 +43,8 @@ CLASSES, CLASS_SIZE, KINDS = 64, 64, 64
 HEAD = CLASSES * CLASS_SIZE
 START, OUTPUTS = HEAD + KINDS, CLASSES + 1
 HIDDEN, STEPS, WINDOW_TOKENS, LANES, ROUNDS, RATE = 16, 16, 8192, 512, 2, 0.05
-#: Pages that one pass lays into lanes together, and tokens below which a task passes over its pages more often.
-GROUP, FEW_TOKENS = 4, 1_500_000
+#: Pages that the pass lays into lanes together.
+GROUP = 4
 
 
 def held_out(doc_id: int | None) -> bool:
@@ -406,9 +406,7 @@ def train(packed: DataFrame, vocab: Vocabulary, rounds: int = ROUNDS) -> Network
                 n = int(sizes.sum())
                 width = int(np.clip(n // (STEPS * 150), 8, LANES))
                 if n:
-                    lanes = lay(sizes, begins, width)
-                    for _ in range(int(np.clip(FEW_TOKENS // n, 1, 4)) if seen == 0 and n < FEW_TOKENS // 2 else 1):
-                        own.learn(lanes, numbers)
+                    own.learn(lay(sizes, begins, width), numbers)
                 seen += n
             if seen:
                 yield pa.RecordBatch.from_arrays([pa.array([seen], pa.int64()), pa.array([own.net.blob()], pa.binary())], names=["n", "blob"])

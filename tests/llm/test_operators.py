@@ -411,3 +411,16 @@ def test_cut_does_not_follow_the_sample(spark):
     assert abs(sum(each) - (1 - y).sum()) < 1e-6
     score, label, times = rng.normal(size=40), rng.integers(0, 2, 40), rng.integers(1, 5, 40)
     assert toxicity.best_cut(score, label, times.astype(float)) == toxicity.best_cut(np.repeat(score, times), np.repeat(label, times))
+
+
+def test_small_tables_are_passed_over_once(spark):
+    df, _ = corpus(spark)
+    packed = lm.pages(df.coalesce(1), "doc_id", "text")
+    (row,) = packed.select("ids", "body").collect()
+    vocab = lm.Vocabulary(np.arange(1, 11, dtype=np.uint64), np.full(10, 5), np.full(lm.KINDS, 2), np.full(lm.KINDS, 1), 100, 74)
+    t, own = lm.Tokens(row.ids, row.body), lm.Trainer(lm.Network(vocab))
+    begins, sizes = (np.cumsum(t.sizes) - t.sizes)[~t.held], t.sizes[~t.held]
+    width = int(np.clip(int(sizes.sum()) // (lm.STEPS * 150), 8, lm.LANES))
+    own.learn(lm.lay(sizes, begins, width), vocab.numbers(t.hash, t.kind, vocab.table()))
+    trained = lm.train(packed, vocab, rounds=1)
+    assert all(np.allclose(trained.p[k], own.net.p[k], atol=1e-6) for k in own.net.p)
