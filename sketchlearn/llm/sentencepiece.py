@@ -330,7 +330,7 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
         said = []
         for k in asked["keys"]:
             at = order[np.searchsorted(keys[order], np.frombuffer(k, np.uint64))] if len(k) else np.zeros(0, np.int64)
-            said.append(sizes[at].astype(np.uint16).tobytes() + ragged(flat, begins[at], sizes[at]).astype(np.int32).tobytes())
+            said.append(sizes[at].astype(np.int32).tobytes() + ragged(flat, begins[at], sizes[at]).astype(np.int32).tobytes())
         return pd.DataFrame({"page": asked["page"], "bucket": asked["bucket"], "said": [np.int64(len(k) // 8).tobytes() + x for k, x in zip(asked["keys"], said, strict=True)]})
 
     asked = packed.map(ask, REQUEST_SCHEMA)
@@ -354,8 +354,8 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
                 sizes, flat = [own_n], [own_ids]
                 for part in said:
                     k = int(np.frombuffer(part, np.int64, 1)[0])
-                    sizes.append(np.frombuffer(part, np.uint16, k, 8).astype(np.int64))
-                    flat.append(np.frombuffer(part, np.int32, -1, 8 + 2 * k))
+                    sizes.append(np.frombuffer(part, np.int32, k, 8).astype(np.int64))
+                    flat.append(np.frombuffer(part, np.int32, -1, 8 + 4 * k))
                 sizes, flat = np.concatenate(sizes), np.concatenate(flat)
                 place[place < 0] = len(own) + np.searchsorted(tail, u.hash[place < 0])
                 n = sizes[place]

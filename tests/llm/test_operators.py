@@ -424,3 +424,15 @@ def test_small_tables_are_passed_over_once(spark):
     own.learn(lm.lay(sizes, begins, width), vocab.numbers(t.hash, t.kind, vocab.table()))
     trained = lm.train(packed, vocab, rounds=1)
     assert all(np.allclose(trained.p[k], own.net.p[k], atol=1e-6) for k in own.net.p)
+
+
+def test_units_of_many_ids_beyond_the_head(spark, monkeypatch):
+    monkeypatch.setattr(sentencepiece, "HEAD_UNITS", 0)
+    texts = {1: "before", 2: "".join(np.random.default_rng(2).choice(list("acgt"), 240_000)), 3: "other words come after it"}
+    got = {r.doc_id: r for r in sentencepiece.encode(spark.createDataFrame(list(texts.items()), "doc_id long, text string"), MODEL).collect()}
+    m = sentencepiece.Model.load(MODEL)
+    table = {p: (i, s) for i, (p, s, x) in enumerate(zip(m.pieces, m.scores, m.normal)) if x}
+    for i, t in texts.items():
+        want = m.expand(sentencepiece.viterbi(sentencepiece.normalised(t), table, m.longest(), m.unknown_score))
+        assert list(got[i].ids) == want and got[i].round_trip
+    assert got[2].n_tokens > 65_535
