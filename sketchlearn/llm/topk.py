@@ -87,9 +87,12 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 10, scale: int = 1024,
 
     placed = written(rows.mapInArrow(assign, "vec_id long, asks boolean, v binary, d int, cell int, dist double"), spark)
     # The nearest k+1 distances of each cell, its count, radius and number of queries: bounded by pivots * (k + 1).
-    near = placed.groupBy("d", "cell", F.pmod(F.xxhash64("vec_id"), F.lit(64)).alias("salt")).agg(F.slice(F.sort_array(F.collect_list("dist")), 1, k + 1).alias("near"), F.count(F.lit(1)).alias("n"), F.max("dist").alias("far"), F.count_if("asks").alias("queries"))
-    summary = near.groupBy("d", "cell").agg(F.slice(F.sort_array(F.flatten(F.collect_list("near"))), 1, k + 1).alias("near"), F.sum("n").alias("n"), F.max("far").alias("far"), F.sum("queries").alias("queries")).collect()
-    cells = {(r.d, r.cell): (np.array(r.near), r.n, r.far, r.queries) for r in summary}
+    # An id gives one distance to one cell only, however many rows it has: of k+1 bounds one at most is the query's own.
+    once = placed.groupBy("d", "vec_id").agg(F.min(F.struct("dist", "cell")).alias("x")).select("d", "vec_id", "x.*")
+    near = once.groupBy("d", "cell", F.pmod(F.xxhash64("vec_id"), F.lit(64)).alias("salt")).agg(F.slice(F.sort_array(F.collect_list("dist")), 1, k + 1).alias("near"))
+    nearest = near.groupBy("d", "cell").agg(F.slice(F.sort_array(F.flatten(F.collect_list("near"))), 1, k + 1).alias("near"))
+    summary = placed.groupBy("d", "cell").agg(F.count(F.lit(1)).alias("n"), F.max("dist").alias("far"), F.count_if("asks").alias("queries")).join(nearest, ["d", "cell"], "left").collect()
+    cells = {(r.d, r.cell): (np.array(r.near or [], np.float64), r.n, r.far, r.queries) for r in summary}
     if not cells:
         return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
 

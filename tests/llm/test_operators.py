@@ -436,3 +436,15 @@ def test_units_of_many_ids_beyond_the_head(spark, monkeypatch):
         want = m.expand(sentencepiece.viterbi(sentencepiece.normalised(t), table, m.longest(), m.unknown_score))
         assert list(got[i].ids) == want and got[i].round_trip
     assert got[2].n_tokens > 65_535
+
+
+@pytest.mark.parametrize("times", [2, 5])
+def test_top_k_of_a_repeated_query_row(spark, times):
+    rng = np.random.default_rng(6)
+    vecs = [(i, rng.normal(size=4).round(2).tolist()) for i in range(60)]
+    vecs += [(0, [9.0, 9.0, 9.0, 9.0])] * times
+    df = spark.createDataFrame(vecs, "vec_id long, embedding array<float>")
+    whole = [(i, [math.floor(1024 * float(np.float32(x))) for x in v]) for i, v in vecs]
+    got = topk.top_k(df.where("vec_id > 0 or embedding[0] = 9"), F.col("vec_id") == 0).collect()
+    ranked = sorted((-sum(x * 9216 for x in b), i) for i, b in whole if i != 0)[:10]
+    assert sorted(map(tuple, got)) == [(0, k + 1, i, -s) for k, (s, i) in enumerate(ranked)]
