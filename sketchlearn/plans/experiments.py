@@ -2,8 +2,8 @@
 
 Training is on a bounded sample of labelled rows (MAX_ROWS, by a hash of the id:
 a documented bound): codes of so many rows fit a task, and each grid cell is a
-task. Hashing runs over all labelled rows once, at the widest setting; each cell
-is a slice of it.
+task. Hashing runs over the sample once, at the widest setting; each cell is a
+slice of it. The sample is drawn before the split: test rows are a part of it.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ from ..sources.tables import load_table
 MAX_ROWS, K_MAX, TEST = 6_000, 200, 0.2
 SCHEMA = "method string, solver string, k int, b int, c double, n_train bigint, n_test bigint, accuracy double, auc double, train_s double, bits_per_row bigint"
 
-#: Cells of the queries (the full grid of the experiments is in GRID; bench.py times it).
+#: The full grid of the experiments; no query or bench runs it yet (_GRID and _VERSUS below are the queries' cells).
 GRID = {"k": (30, 50, 100, 200, 300, 500), "b": (1, 2, 4, 8, 12, 16), "c": learn.PENALTIES}
 
 
