@@ -19,6 +19,22 @@ def seeded(seed: int, role: str, j: int) -> int:
     return int(hashlib.md5(f"{seed}|{role}|{j}".encode()).hexdigest()[:13], 16)
 
 
+def mersenne_values(t: np.ndarray, c1: np.ndarray, c2: np.ndarray, width: int) -> np.ndarray:
+    """(c1 + c2 t) mod 2^31 - 1, then mod a power of two, without a division. Folding a positive number gives 1..p; one added before and taken off after gives 0..p - 1."""
+    x = c2 * t
+    x += c1 + 1
+    high = x >> 31
+    x &= PRIME
+    x += high  # below 2^32
+    x = x.astype(np.uint32)
+    high = x >> np.uint32(31)
+    x &= np.uint32(PRIME)
+    x += high
+    x -= np.uint32(1)
+    x &= np.uint32(width - 1)
+    return x
+
+
 @dataclass(frozen=True)
 class Affine:
     """h_j(t) = (c1_j + c2_j t) mod p, then mod the range."""
@@ -50,6 +66,8 @@ class Affine:
         return self.value(F.lit(a).cast("long"), F.lit(b).cast("long"), t)
 
     def numpy(self, t: np.ndarray, c1: np.ndarray, c2: np.ndarray) -> np.ndarray:
+        if self.p == PRIME and self.range & (self.range - 1) == 0:
+            return mersenne_values(t, c1, c2, self.range)
         return (c1 + c2 * t) % self.p % self.range
 
     def check(self, largest_set: int) -> None:
@@ -73,6 +91,8 @@ class MersenneTwoUniversal(Affine):
         return F.when(x == PRIME, F.lit(0).cast("long")).otherwise(x) % self.range
 
     def numpy(self, t, c1, c2):
+        if self.range & (self.range - 1) == 0:
+            return mersenne_values(t, c1, c2, self.range)
         x = c1 + c2 * t
         x = (x & PRIME) + (x >> 31)
         x = (x & PRIME) + (x >> 31)

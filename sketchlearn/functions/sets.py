@@ -2,13 +2,20 @@
 
 from __future__ import annotations
 
+import hashlib
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..sources.tables import load_table
+from ..sources.tables import load_table, spread
 
 #: Range of item numbers and of the default hash family: 2^30.
 RANGE = 1 << 30
+#: Words of a text that are cut into n-grams at a time: a long text takes bounded memory.
+WORDS_AT_ONCE = 100_000
 
 
 def md5_number(text: Column, modulus: int) -> Column:
@@ -44,6 +51,42 @@ def hash_items(items: Column, modulus: int = RANGE) -> Column:
     return F.array_distinct(F.transform(items, lambda g: md5_number(g, modulus)))
 
 
+def words_text(text: Column) -> Column:
+    """The words of tokens(), with one blank between them."""
+    return F.regexp_replace(F.lower(F.coalesce(text, F.lit(""))), r"[^\p{L}\p{N}]+", " ")
+
+
+def gram_numbers(text: bytes, sizes: tuple[int, ...] = (1, 2, 3), modulus: int = RANGE) -> np.ndarray:
+    """Sorted distinct numbers of the n-grams of a text of words_text(): those of hash_items(shingles(text))."""
+    words, parts, md5 = text.split(), [], hashlib.md5
+    for at in range(0, len(words), WORDS_AT_ONCE):
+        some, grams = words[at : at + WORDS_AT_ONCE + max(sizes) - 1], set()
+        for n in sizes:
+            own = some[: WORDS_AT_ONCE + n - 1]
+            grams.update(own if n == 1 else map(b" ".join, zip(*(own[i:] for i in range(n)), strict=False)))
+        # 13 hex digits are the upper 52 bits of a digest.
+        digests = np.frombuffer(b"".join([md5(g).digest() for g in grams]), ">u8")[::2]
+        parts.append(np.unique((digests >> np.uint64(12)).astype(np.int64) % modulus))
+    if len(parts) == 1:
+        return parts[0]
+    return np.unique(np.concatenate(parts)) if parts else np.zeros(0, np.int64)
+
+
+def text_items(df: DataFrame, text: str, sizes: tuple[int, ...] = (1, 2, 3), modulus: int = RANGE) -> DataFrame:
+    """df with the column text replaced by items array<bigint>, the numbers of its n-grams: one Arrow pass, no shuffle."""
+    others = [c for c in df.columns if c != text]
+    schema = df.select(*others, F.array().cast("array<bigint>").alias("items")).schema
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            found = [gram_numbers(t, sizes, modulus) for t in b.column(b.num_columns - 1).cast(pa.binary()).to_pylist()]
+            ends = np.cumsum([0, *map(len, found)])
+            flat = np.concatenate([np.zeros(0, np.int64), *found])
+            yield pa.RecordBatch.from_arrays([*b.columns[:-1], pa.ListArray.from_arrays(pa.array(ends, pa.int32()), pa.array(flat))], names=[*b.schema.names[:-1], "items"])
+
+    return spread(df).select(*others, words_text(F.col(text)).alias(text)).mapInArrow(run, schema)
+
+
 def signed_label(col: Column) -> Column:
     return 2 * col - 1
 
@@ -57,7 +100,7 @@ def binarise(df: DataFrame, value: str = "v", threshold: float = 0.0) -> DataFra
 
 def documents(spark: SparkSession, sf_dir: str, sizes: tuple[int, ...] = (1, 2, 3)) -> DataFrame:
     """DOC: (id, items) of hashed n-grams; empty sets are kept with no items."""
-    return load_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), hash_items(shingles(F.col("text"), sizes)).alias("items"))
+    return text_items(load_table(spark, sf_dir, "documents").select(F.col("doc_id").alias("id"), "text"), "text", sizes)
 
 
 def pages(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -29,9 +29,24 @@ def binary_report(df: DataFrame) -> DataFrame:
     return c.crossJoin(auc).select("tp", "fp", "fn", "tn", part("tp", "fp").alias("precision"), part("tp", "fn").alias("recall"), (2 * F.col("tp") / F.nullif(2 * F.col("tp") + F.col("fp") + F.col("fn"), F.lit(0))).alias("f1"), ((part("tp", "fn") + part("tn", "fp")) / 2).alias("balanced_accuracy"), "auc")
 
 
-def match_accuracy(results: DataFrame, target: float) -> DataFrame:
-    """For each method the smallest k that reaches the accuracy, and its bits a row."""
-    return results.where(F.col("accuracy") >= target).groupBy("method").agg(F.min(F.struct("k", "bits_per_row")).alias("m")).select("method", "m.k", "m.bits_per_row")
+def match_accuracy(results: DataFrame, target: float, *keys: str) -> DataFrame:
+    """For each method (or other keys) the smallest k that reaches the accuracy, and its bits a row."""
+    keys = keys or ("method",)
+    return results.where(F.col("accuracy") >= target).groupBy(*keys).agg(F.min(F.struct("k", "bits_per_row")).alias("x")).select(*keys, "x.k", "x.bits_per_row")
+
+
+def binned_report(bins: DataFrame, *keys: str) -> DataFrame:
+    """(keys, n_test, accuracy, auc) from counts of positive, negative and right rows by score bin. Counts are summed before
+    the shuffle and one key's bins are ranked in one task: as many as scores differ, not as there are rows. AUC: scores of a bin are ties."""
+    total = bins.groupBy(*keys, "bin").agg(F.sum("p").alias("p"), F.sum("n").alias("n"), F.sum("good").alias("good"))
+    ranked = total.withColumn("below", F.sum("n").over(Window.partitionBy(*keys).orderBy("bin")) - F.col("n"))
+    both = F.nullif(F.sum("p") * F.sum("n"), F.lit(0))
+    return ranked.groupBy(*keys).agg(F.sum(F.col("p") + F.col("n")).alias("n_test"), (F.sum("good") / F.sum(F.col("p") + F.col("n"))).alias("accuracy"), (F.sum(F.col("p") * (F.col("below") + F.col("n") / 2)) / both).alias("auc"))
+
+
+def mean_of_runs(runs: DataFrame, *keys: str) -> DataFrame:
+    """(keys, runs, accuracy, deviation) of rows (keys, run, accuracy)."""
+    return runs.groupBy(*keys).agg(F.count(F.lit(1)).alias("runs"), F.avg("accuracy").alias("accuracy"), F.stddev_samp("accuracy").alias("deviation"))
 
 
 def estimator_error(df: DataFrame, *keys: str) -> DataFrame:

@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..sources.shared import written
+from .skew import heavy_keys, spread_join
 
 
 def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst") -> DataFrame:
@@ -13,17 +14,20 @@ def connected_components(edges: DataFrame, src: str = "src", dst: str = "dst") -
 
     Each round a node takes the smallest root among its neighbours' and then its
     root's root, so long chains shorten at doubling speed. Rounds end when none
-    changes; each is a written table, so the plan doesn't grow. All steps are
-    aggregates and equi-joins; nothing is gathered on the driver but counts.
+    changes; each is a written table, so the plan doesn't grow. A node of very
+    many edges and a root of very many nodes are the rule here (a star is what
+    copies make): such keys are joined where their rows stand, see skew.
     """
     both = edges.select(F.col(src).alias("a"), F.col(dst).alias("b")).where("a is not null and b is not null")
     both = written(both.unionByName(both.select(F.col("b").alias("a"), F.col("a").alias("b"))).distinct())
+    hubs = written(heavy_keys(both, "b"))
     labels = written(both.groupBy("a").agg(F.min("b").alias("m")).select(F.col("a").alias("node"), F.least("a", "m").alias("root")))
+    n = labels.count()
     while True:
-        near = both.join(labels, both.b == labels.node).groupBy("a").agg(F.min("root").alias("m"))
-        step = labels.join(near, labels.node == near.a).select("node", F.col("root").alias("old"), F.least("root", "m").alias("root"))
-        jump = step.select(F.col("node").alias("n2"), F.col("root").alias("r2"))
-        new = written(step.join(jump, step.root == jump.n2, "left").select("node", "old", F.least("root", F.coalesce("r2", "root")).alias("root")))
+        near = spread_join(both, labels.withColumnRenamed("node", "b"), "b", "inner", heavy=hubs).groupBy("a").agg(F.min("root").alias("m"))
+        step = written(labels.join(near, labels.node == near.a).select("node", F.col("root").alias("old"), F.least("root", "m").alias("root")))
+        jump = step.select(F.col("node").alias("root"), F.col("root").alias("further"))
+        new = written(spread_join(step, jump, "root", "left", n).select("node", "old", F.least("root", F.coalesce("further", "root")).alias("root")))
         changed = new.where("root <> old").limit(1).count()
         labels = new.select("node", "root")
         if not changed:

@@ -9,7 +9,7 @@ that SQL can check it). Hashing is done before and is the same for all.
 
 from __future__ import annotations
 
-from collections.abc import Callable, Iterator
+from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
@@ -89,10 +89,57 @@ def dual_coordinate(x: SparseRows, y: np.ndarray, c: float, loss: str = "hinge",
     return w
 
 
-def sgd(x: SparseRows, y: np.ndarray, c: float, loss: str = "hinge", epochs: int = 5, step: float = 0.5, seed: int = 0, w: np.ndarray | None = None) -> np.ndarray:
-    """Plain stochastic subgradient over several epochs; the shrinkage is kept as a scale."""
+def dual_coordinate_all(x: SparseRows, y: np.ndarray, cs: np.ndarray, loss: str = "hinge", epochs: int = 20, seed: int = 0, tol: float = 1e-3) -> np.ndarray:
+    """dual_coordinate() for several penalties over the same rows: dims x penalties. The passes over the rows are shared; a penalty that has converged takes zero steps."""
     rng, n = np.random.default_rng(seed), len(y)
-    w, scale, t, lam = np.zeros(x.dims) if w is None else w.copy(), 1.0, 0, 1.0 / (c * n)
+    w, q = np.zeros((x.dims, len(cs))), np.array([v @ v for v in x.val])
+    ones = all((v == 1).all() for v in x.val)
+    alpha = np.zeros((n, len(cs)))
+    if loss != "hinge":
+        alpha += np.minimum(1e-3 * cs, 0.5 * cs)
+        for i in range(n):
+            w[x.idx[i]] += alpha[i] * y[i] * (1.0 if ones else x.val[i][:, None])
+    going = np.ones(len(cs), bool)
+    for _ in range(epochs):
+        most = np.zeros(len(cs))
+        for i in rng.permutation(n):
+            if q[i] == 0:
+                continue
+            at, v, old = x.idx[i], x.val[i], alpha[i]
+            m = y[i] * (w[at].sum(0) if ones else v @ w[at])
+            if loss == "hinge":
+                new = np.minimum(np.maximum(old - (m - 1) / q[i], 0.0), cs)
+            else:
+                new = _logistic_step(old, m, q[i], cs)
+            step = np.where(going, new - old, 0.0)
+            if step.any():
+                w[at] += step * y[i] if ones else np.outer(v, step * y[i])
+                alpha[i] = old + step
+                np.maximum(most, np.abs(step), out=most)
+        going &= most >= tol * cs
+        if not going.any():
+            break
+    return w
+
+
+def _logistic_step(old: np.ndarray, m: np.ndarray, q: float, cs: np.ndarray) -> np.ndarray:
+    """Guarded Newton steps on the one-variable dual problem of each penalty."""
+    new = old
+    for _ in range(6):
+        g = np.log(new / (cs - new)) + m + q * (new - old)
+        nxt = new - g / (cs / (new * (cs - new)) + q)
+        nxt = np.where(nxt <= 0, new / 2, np.where(nxt >= cs, (new + cs) / 2, nxt))
+        done = (np.abs(nxt - new) < 1e-6 * cs).all()
+        new = nxt
+        if done:
+            break
+    return new
+
+
+def sgd(x: SparseRows, y: np.ndarray, c: float, loss: str = "hinge", epochs: int = 5, step: float = 0.5, seed: int = 0, w: np.ndarray | None = None, total: int | None = None) -> np.ndarray:
+    """Plain stochastic subgradient over several epochs; the shrinkage is kept as a scale. total: rows of the whole part, where x is a piece of it."""
+    rng, n = np.random.default_rng(seed), len(y)
+    w, scale, t, lam = np.zeros(x.dims) if w is None else w.copy(), 1.0, 0, 1.0 / (c * (total or n))
     for _ in range(epochs):
         for i in rng.permutation(n):
             t += 1
@@ -106,34 +153,26 @@ def sgd(x: SparseRows, y: np.ndarray, c: float, loss: str = "hinge", epochs: int
     return w * scale
 
 
-def fit_cells(rows: DataFrame, cells: list[dict], train: Callable[[pd.DataFrame, pd.Series], dict], schema: str) -> DataFrame:
-    """One model a grid cell, each in a task of its own: rows (bounded: a labelled sample of codes) go to every cell."""
-    grid = F.array(*(F.struct(F.lit(i).alias("cell"), *(F.lit(v).alias(k) for k, v in c.items())) for i, c in enumerate(cells)))
-
-    def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame([train(pdf, pdf.iloc[0])])
-
-    return rows.select("*", F.explode(grid).alias("grid")).select(*rows.columns, "grid.*").groupBy("cell").applyInPandas(run, schema)
-
-
 # ---------------------------------------------------------------- distributed
 
 
 def averaged_sgd(rows: DataFrame, dims: int, c: float, loss: str = "hinge", epochs: int = 3, parts: int = 8) -> np.ndarray:
     """Epochs of local SGD in each partition, weights averaged after each; one pass and one small reduce an epoch. rows: id, y, active."""
     dealt = rows.select("y", "active").repartition(parts)
-    w = np.zeros(dims)
+    total, w = max(1, rows.count() // parts), np.zeros(dims)
     for e in range(epochs):
 
         def local(frames: Iterator[pd.DataFrame], w=w, e=e) -> Iterator[pd.DataFrame]:
-            held = pd.concat(list(frames), ignore_index=True)
-            if len(held):
-                own = sgd(SparseRows(held["active"].tolist(), None, dims), held["y"].to_numpy(float), c, loss, 1, seed=e, w=w)
-                yield pd.DataFrame({"n": [len(held)], "w": [own.tobytes()]})
+            own, n = w, 0
+            for held in frames:  # an Arrow batch at a time: a part of the corpus need not fit a task
+                own = sgd(SparseRows(held["active"].tolist(), None, dims), held["y"].to_numpy(float), c, loss, 1, seed=e, w=own, total=total)
+                n += len(held)
+            if n:
+                yield pd.DataFrame({"n": [n], "w": [own.tobytes()]})
 
         got = dealt.mapInPandas(local, "n long, w binary").collect()  # one row of the model's fixed size a partition
-        total = sum(r.n for r in got)
-        w = sum((np.frombuffer(r.w) * (r.n / total) for r in got), np.zeros(dims))
+        met = sum(r.n for r in got)
+        w = sum((np.frombuffer(r.w) * (r.n / met) for r in got), np.zeros(dims))
     return w
 
 

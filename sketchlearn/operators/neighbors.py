@@ -13,6 +13,7 @@ from pyspark.sql import functions as F
 from ..functions.similarity import matches, resemblance
 from ..sources.shared import written
 from .graph import connected_components
+from .skew import spread_join
 
 #: Bits of a set's parity, distinct sets in a block of a bucket, rows of bands in a task.
 PARITY, BLOCK, TASK_ROWS = 512, 1024, 100_000
@@ -20,10 +21,10 @@ _STEP = np.uint64(0x9E3779B97F4A7C15)
 
 
 def exact_groups(df: DataFrame, id_col: str, text_col: str) -> DataFrame:
-    """(id, group_id, copies): equal texts; one aggregate by md5, so a frequent text is summed before the shuffle."""
-    key = F.md5(F.coalesce(F.col(text_col), F.lit("")))
-    groups = df.groupBy(key.alias("h")).agg(F.min(id_col).alias("group_id"), F.count(F.lit(1)).alias("copies"))
-    return df.select(F.col(id_col).alias("id"), key.alias("h")).join(groups, "h").select("id", "group_id", "copies")
+    """(id, group_id, copies): equal texts; one aggregate by md5, so a frequent text is summed before the shuffle and joined back without one."""
+    hashed = written(df.select(F.col(id_col).alias("id"), F.md5(F.coalesce(F.col(text_col), F.lit(""))).alias("h")))
+    groups = hashed.groupBy("h").agg(F.min("id").alias("group_id"), F.count(F.lit(1)).alias("copies"))
+    return spread_join(hashed, groups, "h", "inner").select("id", "group_id", "copies")
 
 
 def _mixed(x: np.ndarray) -> np.ndarray:
@@ -128,6 +129,22 @@ def near_pairs(signed: DataFrame, bands: int, rows: int, tau: float) -> DataFram
     return across.unionByName(ends(copies, F.col("k").cast("long").alias("matches"), F.lit(1.0).alias("r")))
 
 
+def exact_pairs(reps: DataFrame, tau: float) -> DataFrame:
+    """(id1, id2, r): all pairs of resemblance tau among sets (id, items), as the standard that banding is measured by. Of two such sets the
+    f - ceil(tau f) + 1 rarest items of each have one in common: an equi-join on rare items, then the exact test."""
+    long = reps.select("id", F.size("items").alias("f"), F.explode("items").alias("t"))
+    often = long.groupBy("t").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
+    order = Window.partitionBy("id").orderBy("n", "t")
+    # An item of one set only is the rarest of all and meets nobody: it takes its place in the order, but not in the join.
+    ranked = long.join(often, "t", "left").withColumn("n", F.coalesce("n", F.lit(1))).withColumn("rank", F.row_number().over(order))
+    rare = written(ranked.where((F.col("rank") <= F.col("f") - F.ceil(tau * F.col("f") - 1e-9) + 1) & (F.col("n") > 1)).select("id", "f", "t"))
+    side = lambda n: rare.select(F.col("id").alias(f"id{n}"), F.col("f").alias(f"f{n}"), "t")
+    sized = (F.col("id1") < F.col("id2")) & (F.least("f1", "f2") >= tau * F.greatest("f1", "f2") - 1e-9)
+    pairs = side(1).join(side(2), "t").where(sized).select("id1", "id2").distinct()
+    items = lambda n: reps.select(F.col("id").alias(f"id{n}"), F.col("items").alias(f"items{n}"))
+    return pairs.join(items(1), "id1").join(items(2), "id2").select("id1", "id2", resemblance(F.col("items1"), F.col("items2")).alias("r")).where(F.col("r") >= tau)
+
+
 def near_links(signed: DataFrame, bands: int, rows: int, tau: float) -> DataFrame:
     """(id1, id2): links with the components of near_pairs; copies are tied to the smallest id of their set, not to one another."""
     found, member = distinct_links(signed, bands, rows, tau)

@@ -85,10 +85,9 @@ def union(parts) -> str:
 
 
 def bands(key: str) -> str:
-    """Star pairs of sets that share a band of two minima, verified."""
+    """All pairs of sets that share a band of two minima, verified."""
     return f"""bnd as (select id, (j // 2)::INT as band, string_agg(z::VARCHAR, ',' order by j) as h from sig group by id, j // 2),
-low as (select band, h, min(id) as low from bnd group by band, h having count(*) > 1),
-cand as (select distinct low as id1, id as id2 from bnd join low using (band, h) where id <> low),
+cand as (select distinct x.id as id1, y.id as id2 from bnd x join bnd y using (band, h) where x.id < y.id),
 fd as (select id, count(*) as f from {key} group by id),
 cm as (select id1, id2, count(*) as a from cand join {key} x on x.id = id1 join {key} y on y.id = id2 and x.t = y.t group by all),
 mt as (select id1, id2, count(*) as matches from cand join sig x on x.id = id1 join sig y on y.id = id2 and x.j = y.j and x.z = y.z group by all),
@@ -126,9 +125,14 @@ def storage() -> str:
     return f"select rows_of, method, k::INT as k, b::INT as b, bits_per_row, (n * bits_per_row // 8)::BIGINT as total_bytes from ({union(rows)}), ({union(cells)})"
 
 
+TRI = num("('7|tri|' || feature)", 30)
 _P2 = lambda b: f"(1.0 / {1 << b} + (1 - 1.0 / {1 << b}) * r)"
 
 ORACLES = {
+    "profile_expanded_baskets": f"with {CUST}, t3 as (select x.id, x.t || '|' || y.t || '|' || z.t as feature from cust x join cust y on x.id = y.id and x.t < y.t join cust z on z.id = y.id and y.t < z.t), n3 as (select id, count(*) as n from t3 where {TRI} = 0 group by id), f as (select id, count(*) as f from cust group by id), s as (select f + f * (f - 1) // 2 + coalesce(n, 0) as f from f left join n3 using (id)) select count(*) as n, round(median(f), 6) as nnz_median, round(avg(f), 6) as nnz_mean from s",
+    "profile_vectors": f"with {EMB}, c as (select id, count(*) as f from u where v > 0 group by id) select count(*) as n, (select max(i) + 1 from u where v > 0) as d, round(median(f), 6) as nnz_median, round(avg(f), 6) as nnz_mean from c",
+    "near_pairs_recall": "with " + f"{doc_cte()}, {sig('doc', 16)}, {bands('doc')}, ls as (select id, list(t order by t) as items, count(*) as f from doc group by id), rep as (select min(id) as id, any_value(f) as f from ls group by items), rd as (select doc.* from doc semi join rep using (id)), al as (select x.id as id1, y.id as id2, count(*) as a from rd x join rd y on x.t = y.t and x.id < y.id group by all), tr as (select id1, id2 from al join rep x on x.id = id1 join rep y on y.id = id2 where a / (x.f + y.f - a) >= 0.8) select count(*) as pairs, count(r) as found from tr left join (select * from near where r >= 0.8) using (id1, id2)",
+    "similarity_with_slack": f"with {PAIRS}, {sig('supp', 64)}, m as (select x.id as id1, y.id as id2, count(*) as matches from sig x join sig y on x.j = y.j and x.z = y.z and x.id < y.id group by all) select id1, id2, round(coalesce(matches, 0) / 64, 6) as r_hat from pairs left join m using (id1, id2) where round(coalesce(matches, 0) / 64, 6) >= 0.2 - 2 * sqrt(round(r * (1 - r) / 64, 6))",
     "worked_example": "select j::INT as j, z, (z & 3)::INT as v, (j * 4 + 3 - (z & 3))::BIGINT as slot from (values (0, 12013::BIGINT), (1, 25964), (2, 20191)) t(j, z)",
     "profile_documents": f"with {doc_cte()}, c as (select id, count(*) as f from doc group by id) select count(*) as n, (select max(t) + 1 from doc) as d, round(median(f), 6) as nnz_median, round(avg(f), 6) as nnz_mean from c",
     "profile_baskets": f"with {CUST}, c as (select id, count(*) as f from cust group by id) select count(*) as n, (select max(t) + 1 from cust) as d, round(median(f), 6) as nnz_median, round(avg(f), 6) as nnz_mean from c",
@@ -139,7 +143,7 @@ ORACLES = {
     "two_universal_signature": sigq("select id, j, z from sig"),
     "affine_bijection_signature": f"with {SUPP}, {sig('supp', 8, d=P)} select id, j, z from sig",
     "permutation_signature": f"with {CUST}, {PERM(8)} select id, j, min(image) as z from cust join perm using (t) group by id, j",
-    "signature_k500_checksum": f"with {doc_cte((1,))}, {sig('doc', 500)} select j, sum(z)::BIGINT as z_sum from sig group by j",
+    "signature_k500_checksum": f"with {doc_cte()}, {sig('doc', 500)} select j, sum(z)::BIGINT as z_sum from sig group by j",
     "merged_signature": f"with {CUST}, {sig('cust', 8)} select c_nationkey as nation, j, min(z) as z from sig join customer on c_custkey = id group by all",
     "bbit_codes": sigq(f", {CODE(4)} select id, j, v::INT as v from code"),
     "packed_codes": sigq(f", {CODE(8)} select id, (j // 7)::INT as word_no, sum(v << (8 * (j % 7)))::BIGINT as word from code group by id, j // 7"),
@@ -161,6 +165,7 @@ ORACLES = {
     "signed_bucket_estimate": f"with {QTY}, {MOM}, " + ", ".join(f"b{n} as (select id, {bucket('i', 64)} as bk, sum(v * {entry(kind, s, 'i')}) as v from u group by all), e{n} as (select id1, id2, sum(x.v * y.v) as dot from idp join b{n} x on x.id = id1 join b{n} y on y.id = id2 and y.bk = x.bk group by all)" for n, (kind, s) in enumerate((("sign", 1.0), ("sparse", 3.0)))) + " " + union(f"select mom.id1, mom.id2, 64::INT as k, {s}::DOUBLE as s, round(a, 4) as a_true, round(coalesce(dot, 0), 3) as a_hat, round(({s} - 1) * q + (m1 * m2 + a * a - 2 * q) / 64, 3) as var_theory from mom left join e{n} using (id1, id2)" for n, (kind, s) in enumerate((("sign", 1.0), ("sparse", 3.0)))),
     "projection_variance_theory": f"with {EMB}, {MOM} " + union(f"select id1, id2, {s}::DOUBLE as s, round((m1 * m2 + a * a + ({s} - 3) * q) / 64, 4) as var_rp, round(({s} - 1) * q + (m1 * m2 + a * a - 2 * q) / 64, 4) as var_signed from mom" for s in (1.0, 3.0)),
     "bucket_features": f"with {doc_cte()} select id, {bucket('t', 1024)}::INT as bucket, round(sum({entry('sign', 1.0, 't')}), 6) as val from doc group by all",
+    "bucket_features_long": f"with {QTY} select id, {bucket('i', 1024)}::INT as bucket, round(sum(v * {entry('sign', 1.0, 'i')}), 6) as val from u group by all",
     "stacked_code_features": sigq(f", {CODE(16)}, act as (select id, j::BIGINT * 65536 + 65535 - v as i from code) select id, {bucket('i', 4096)}::INT as bucket, round(sum({entry('sign', 1.0, 'i')}), 6) as val from act group by all"),
     "logistic_fixed_gd": gd("logistic"),
     "svm_fixed_gd": gd("hinge"),
@@ -180,6 +185,7 @@ ORACLES = {
     "benchmark_overlap": f"with {doc_cte((3,), 'benchmark', 'item_id', 'p')}, {doc_cte((3,))}, f as (select id, count(*) as f from p group by id), a as (select p.id as item_id, doc.id as doc_id, count(*) as a from p join doc using (t) group by all) select item_id, doc_id, a, f, round(a / f, 6) as share from a join f on f.id = item_id where a / f >= 0.1",
     "size_ratio_pairs": f"with {SUPP}, f as (select id, count(*) as f from supp group by id) select x.id as id1, y.id as id2, x.f as f1, y.f as f2 from f x join f y on x.id < y.id where x.f * 10 >= y.f * 9 and y.f * 10 >= x.f * 9",
 }
+ORACLES["hash_parameters_source"] = ORACLES["hash_parameters"]
 for same in ("two_universal_signature_in_row", "two_universal_signature_grouped", "fast_mersenne_signature"):
     ORACLES[same] = ORACLES["two_universal_signature"]
 ORACLES["bucket_bias"] = f"select 'plain' as method, round(avg(a_hat - a_true), 2) as bias from ({ORACLES['plain_bucket_estimate']}) union all select 'signed', round(avg(a_hat - a_true), 2) from ({ORACLES['signed_bucket_estimate']}) where s = 1"

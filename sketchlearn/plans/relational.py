@@ -178,7 +178,64 @@ def events_session_signature(spark, d):
     return sessions(_event_items(spark, d))
 
 
-NAMES = """filter_documents filter_pages customer_part_sets labelled_documents semi_labelled anti_labelled full_outer_labels
+def all_pairs(df: DataFrame, key: str, most_rows: int = 10_000) -> DataFrame:
+    """Nested loop over all pairs of a small table: refused beyond most_rows, counted first."""
+    n = df.limit(most_rows + 1).count()
+    if n > most_rows:
+        raise ValueError(f"more than {most_rows} rows: all pairs are for small tables")
+    return df.withColumnsRenamed({c: f"{c}1" for c in df.columns}).crossJoin(df.withColumnsRenamed({c: f"{c}2" for c in df.columns})).where(F.col(f"{key}1") < F.col(f"{key}2"))
+
+
+def nation_pairs(spark, d):
+    """All pairs of nations with the resemblance of the market segments' sets of their customers with a positive balance."""
+    c = load_table(spark, d, "customer").where("c_acctbal > 0")
+    sets_ = c.groupBy(F.col("c_nationkey").alias("id")).agg(F.collect_set(F.concat_ws("|", "c_mktsegment", F.floor(F.col("c_acctbal") / 1000).cast("string"))).alias("items"))
+    from ..functions.similarity import resemblance
+
+    return all_pairs(sets_, "id").select("id1", "id2", F.round(resemblance(F.col("items1"), F.col("items2")), 6).alias("r"))
+
+
+def bit_aggregates(spark, d):
+    """Bits of a supplier's part numbers: any, all, parity."""
+    lines = load_table(spark, d, "lineitem")
+    return lines.groupBy("l_suppkey").agg(F.bit_or("l_partkey").alias("any_bit"), F.bit_and("l_partkey").alias("all_bits"), F.bit_xor("l_partkey").alias("parity"))
+
+
+def sketch_distinct(spark, d):
+    """Distinct parts of a return flag: exact, and whether the library's three sketches come within a tenth."""
+    lines = load_table(spark, d, "lineitem")
+    near = lambda c: F.abs(c - F.col("n")) <= F.col("n") / 10
+    counted = lines.groupBy("l_returnflag").agg(F.countDistinct("l_partkey").alias("n"), F.approx_count_distinct("l_partkey", 0.02).alias("a"), F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey", F.lit(14))).alias("h"), F.theta_sketch_estimate(F.theta_sketch_agg("l_partkey")).alias("t"))
+    return counted.select("l_returnflag", "n", near(F.col("a")).alias("approximate_near"), near(F.col("h")).alias("hll_near"), near(F.col("t")).alias("theta_near"))
+
+
+def page_of_orders(spark, d, offset: int = 100, limit: int = 50):
+    """One page of the orders in the order of their keys."""
+    return load_table(spark, d, "orders").select("o_orderkey", "o_custkey").orderBy("o_orderkey").offset(offset).limit(limit)
+
+
+def event_type_maps(spark, d):
+    """Of each user's map from event type to count: its size, clicks, and the types met three times or more."""
+    n = load_table(spark, d, "events").groupBy("user_id", "event_type").agg(F.count(F.lit(1)).alias("n"))
+    kinds = n.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))
+    often = F.array_sort(F.map_keys(F.map_filter("m", lambda k, v: v >= 3)))
+    doubled = F.aggregate(F.map_values(F.transform_values("m", lambda k, v: v * 2)), F.lit(0).cast("long"), lambda t, v: t + v)
+    return kinds.select("user_id", F.size("m").alias("kinds"), F.coalesce(F.try_element_at("m", F.lit("click")), F.lit(0).cast("long")).alias("clicks"), F.array_join(often, ",").alias("often"), doubled.alias("twice_all"))
+
+
+def label_moments(spark, d):
+    """Means, deviations and the correlation of the two labels, by language."""
+    rows = load_table(spark, d, "documents").select("doc_id", "lang", "n_chars").join(load_table(spark, d, "labels"), "doc_id")
+    six = lambda c, name: F.round(c, 6).alias(name)
+    return rows.groupBy("lang").agg(six(F.avg("quality"), "mean"), six(F.var_samp("quality"), "variance"), six(F.stddev_samp("toxic"), "deviation"), six(F.covar_samp("quality", "toxic") / F.nullif(F.stddev_samp("quality") * F.stddev_samp("toxic"), F.lit(0.0)), "correlation"))
+
+
+def binarised_quantities(spark, d, threshold: float = 25.0):
+    """Customer and part with a summed quantity over the threshold, as 0/1 items."""
+    return sets.binarise(sets.basket_lines(spark, d), "v", threshold).groupBy("id").agg(F.count(F.lit(1)).alias("items"))
+
+
+NAMES = """nation_pairs bit_aggregates sketch_distinct page_of_orders event_type_maps label_moments binarised_quantities filter_documents filter_pages customer_part_sets labelled_documents semi_labelled anti_labelled full_outer_labels
 asof_event interval_events distinct_tokens rollup_documents cube_labels grouping_sets_orders pivot_labels rank_documents
 event_gaps running_signature range_window_events union_texts intersect_parts except_parts event_props profile_events
 events_tumbling_signature events_sliding_signature events_session_signature""".split()

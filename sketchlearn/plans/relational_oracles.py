@@ -9,6 +9,13 @@ _Z = ", ".join(f"min(h) filter (j = {j}) as z{j}" for j in range(8))
 _H = f"hs as (select id, ts, event_id, j, (c1 + c2 * t) % {P} % {D30} as h from evt, params)"
 
 ORACLES = {
+    "nation_pairs": "with s as (select distinct c_nationkey as id, c_mktsegment || '|' || floor(c_acctbal / 1000)::BIGINT as t from customer where c_acctbal > 0), f as (select id, count(*) as f from s group by id), a as (select x.id as i, y.id as j, count(*) as a from s x join s y on x.t = y.t and x.id < y.id group by all) select x.id as id1, y.id as id2, round(coalesce(a, 0) / (x.f + y.f - coalesce(a, 0)), 6) as r from f x join f y on x.id < y.id left join a on i = x.id and j = y.id",
+    "bit_aggregates": "select l_suppkey, bit_or(l_partkey) as any_bit, bit_and(l_partkey) as all_bits, bit_xor(l_partkey) as parity from lineitem group by l_suppkey",
+    "sketch_distinct": "select l_returnflag, count(distinct l_partkey) as n, true as approximate_near, true as hll_near, true as theta_near from lineitem group by l_returnflag",
+    "page_of_orders": "select o_orderkey, o_custkey from orders order by o_orderkey limit 50 offset 100",
+    "event_type_maps": "with n as (select user_id, event_type, count(*) as n from events group by all) select user_id, count(*)::INT as kinds, coalesce(sum(n) filter (event_type = 'click'), 0)::BIGINT as clicks, coalesce(string_agg(event_type, ',' order by event_type) filter (n >= 3), '') as often, (2 * sum(n))::BIGINT as twice_all from n group by user_id",
+    "label_moments": "select lang, round(avg(quality), 6) as mean, round(var_samp(quality), 6) as variance, round(stddev_samp(toxic), 6) as deviation, round(covar_samp(quality, toxic) / nullif(stddev_samp(quality) * stddev_samp(toxic), 0), 6) as correlation from documents join labels using (doc_id) group by lang",
+    "binarised_quantities": "select id, count(*) as items from (select o_custkey as id, l_partkey, sum(l_quantity) as v from lineitem join orders on l_orderkey = o_orderkey group by all) where v > 25 group by id",
     "filter_documents": "select doc_id, source, n_chars from documents where lang = 'en' and source in ('src1', 'src2', 'src3') and n_chars between 500 and 2000",
     "filter_pages": "select page_id, url from pages where url like 'https://%' and regexp_matches(url, '/(en|fr)/')",
     "customer_part_sets": f"with {CUST} select id, count(*) as parts, min(t) as least, max(t) as most from cust group by id",

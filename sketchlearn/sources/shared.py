@@ -9,11 +9,13 @@ from pyspark.sql import DataFrame, SparkSession
 
 
 def shared_dir(spark: SparkSession) -> str:
-    """A new folder below spark.checkpoint.dir. Only where that is unset (tests on one machine) a local one is set."""
+    """A new folder below spark.checkpoint.dir. Only where that is unset and Spark runs on one machine (tests) a local one is set."""
     top = spark.conf.get("spark.checkpoint.dir", None)
     if not top:
         jvm = spark.sparkContext._jsc.sc().getCheckpointDir()
         if jvm.isEmpty():
+            if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+                raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
             spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
             jvm = spark.sparkContext._jsc.sc().getCheckpointDir()
         top = jvm.get()

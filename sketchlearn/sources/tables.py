@@ -29,6 +29,15 @@ def load_table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.schema(SCHEMAS[name]).parquet(f"{sf_dir}/{name}.parquet")
 
 
+def spread(df: DataFrame, task_bytes: int = 32 << 20) -> DataFrame:
+    """df over all cores where its files are too few or small to give each core a task's worth (one row group is one task); larger inputs stay as they are scanned, without a shuffle. Rows are the same."""
+    if df.isStreaming:
+        return df
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    size = int(str(df._jdf.queryExecution().optimizedPlan().stats().sizeInBytes()))
+    return df.repartition(cores) if size < cores * task_bytes else df
+
+
 def read_any(spark: SparkSession, path: str, kind: str, schema: str | None = None, **options) -> DataFrame:
     reader = spark.read.format(kind).options(**options)
     return (reader.schema(schema) if schema else reader).load(path)

@@ -6,6 +6,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
+from pyspark.errors import AnalysisException
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import StreamingQuery
@@ -26,7 +27,7 @@ def read_table_stream(spark: SparkSession, path: str, name: str, files_per_trigg
 
 def signature_stream(documents: DataFrame, k: int = 16) -> DataFrame:
     """Map only: each document's signature as it arrives."""
-    items = documents.select(F.col("doc_id").alias("id"), sets.hash_items(sets.shingles(F.col("text"))).alias("items")).where(F.size("items") > 0)
+    items = sets.text_items(documents.select(F.col("doc_id").alias("id"), "text"), "text").where(F.size("items") > 0)
     return minwise.signature(items, TwoUniversal(k)).select("id", "sig")
 
 
@@ -95,24 +96,55 @@ def growing_signature(items: DataFrame, k: int = 8, ttl_ms: int | None = None) -
 
 
 class OnlineLearner:
-    """SGD over a stream of (y, active): each batch continues from the weights that the batch before left."""
-
-    def __init__(self, dims: int, c: float, loss: str = "hinge", parts: int = 4):
-        self.dims, self.c, self.loss, self.parts, self.w, self.seen = dims, c, loss, parts, np.zeros(dims), 0
+    """SGD over a stream of (y, active): each batch continues from the weights that the batch before left.
+
+    With a folder, the weights after each batch are a written table named by the
+    batch's number; a learner made anew on the folder goes on from the last one,
+    and a batch that is run again after a failure starts from the one before it.
+    """
+
+    def __init__(self, dims: int, c: float, loss: str = "hinge", parts: int = 4, folder: str | None = None, spark: SparkSession | None = None):
+        self.dims, self.c, self.loss, self.parts, self.folder, self.w, self.seen = dims, c, loss, parts, folder, np.zeros(dims), 0
+        self.batch = -1
+        if folder is not None:
+            self.restore(spark or SparkSession.active())
+
+    def restore(self, spark: SparkSession, before: int | None = None) -> None:
+        """The newest stored weights, or the newest of a batch before the given one."""
+        try:
+            stored = spark.read.schema("seen long, w binary, batch long").parquet(self.folder)
+            rows = stored if before is None else stored.where(F.col("batch") < before)
+            last = rows.orderBy(F.desc("batch")).limit(1).collect()
+        except AnalysisException:  # nothing was written yet
+            last = []
+        self.w, self.seen, self.batch = (np.frombuffer(last[0].w).copy(), last[0].seen, last[0].batch) if last else (np.zeros(self.dims), 0, -1)
 
     def __call__(self, batch: DataFrame, number: int) -> None:
+        if self.folder is not None and number <= self.batch:
+            self.restore(batch.sparkSession, number)
         w = self.w
 
         def local(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-            held = pd.concat(list(frames), ignore_index=True)
-            if len(held):
-                own = learn.sgd(learn.SparseRows(held["active"].tolist(), None, self.dims), held["y"].to_numpy(float), self.c, self.loss, 1, seed=number, w=w)
-                yield pd.DataFrame({"n": [len(held)], "w": [own.tobytes()]})
-
-        got = batch.select("y", "active").repartition(self.parts).mapInPandas(local, "n long, w binary").collect()
+            own, n = w, 0
+            for held in frames:  # an Arrow batch at a time: a task's rows need not fit it together
+                own = learn.sgd(learn.SparseRows(held["active"].tolist(), None, self.dims), held["y"].to_numpy(float), self.c, self.loss, 1, seed=number, w=own)
+                n += len(held)
+            if n:
+                yield pd.DataFrame({"n": [n], "w": [own.tobytes()]})
+
+        got = batch.select("y", "active").repartition(self.parts).mapInPandas(local, "n long, w binary").collect()  # one row of a fixed size a part
         if total := sum(r.n for r in got):
             self.w = sum(np.frombuffer(r.w) * (r.n / total) for r in got)
             self.seen += total
+        self.batch = number
+        if self.folder is not None:
+            row = batch.sparkSession.createDataFrame([(self.seen, bytearray(self.w.tobytes()))], "seen long, w binary")
+            row.write.mode("overwrite").parquet(f"{self.folder}/batch={number}")
+
+
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that came behind the watermark and were left out, summed over the batches that the query reports."""
+    return sum(int(op["numRowsDroppedByWatermark"]) for p in query.recentProgress for op in p["stateOperators"])
 
 
 def to_memory(df: DataFrame, name: str, mode: str = "append") -> StreamingQuery:

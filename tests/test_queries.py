@@ -1,11 +1,12 @@
 import pytest
 
 import __spark_entry__ as entry
-from sketchlearn.plans import oracles, relational, relational_oracles, workloads
+from sketchlearn.plans import oracles, relational, relational_oracles, variances, workloads
 
 from .oracle import compare
 
-QUERIES, SQL = workloads.QUERIES | relational.QUERIES, oracles.ORACLES | relational_oracles.ORACLES
+QUERIES = workloads.QUERIES | relational.QUERIES | variances.QUERIES
+SQL = oracles.ORACLES | relational_oracles.ORACLES | variances.ORACLES
 
 
 @pytest.mark.parametrize("name", sorted(SQL))
