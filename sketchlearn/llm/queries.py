@@ -79,8 +79,8 @@ with p as (select page_id, coalesce(html, '') as h from pages),
 q as (select page_id, octet_length(encode(h)) as payload_bytes, sha1(h) as payload_digest from p),
 m as (select payload_digest, max(page_id) as head from q where payload_bytes >= 1000 group by payload_digest)
 select q.page_id, cast(payload_bytes as bigint) as payload_bytes, q.payload_digest,
-       case when payload_bytes >= 1000 and page_id <> head then 'revisit' else 'response' end as record_type,
-       case when payload_bytes >= 1000 and page_id <> head then head end as refers_to
+       case when payload_bytes >= 1000 and head is not null and page_id is distinct from head then 'revisit' else 'response' end as record_type,
+       case when payload_bytes >= 1000 and page_id is distinct from head then head end as refers_to
 from q left join m using (payload_digest)""",
     "op5_top_k": """
 with v as (select vec_id, list_transform(embedding, lambda x: cast(floor(1024 * cast(x as double)) as bigint)) as e

@@ -40,6 +40,8 @@ VERSION_LINE = "WARC/1.1"
 
 #: Uncompressed bytes of records in one archive, bytes of its dictionary, and bytes of records (spread evenly over the archive) that the dictionary is built from.
 ARCHIVE_BYTES, DICTIONARY_BYTES, TRAINING_BYTES = 24_000_000, 65_536, 1_500_000
+#: Payloads that repeat, up to which they are broadcast (60 bytes each).
+MOST_BROADCAST = 200_000
 
 
 def file_system(uri: str) -> tuple[pafs.FileSystem, str]:
@@ -127,11 +129,21 @@ def frames(data: bytes) -> Iterator[bytes]:
 
 
 def with_revisits(pages: DataFrame, least_bytes: int) -> DataFrame:
-    """page_id, url, html, digest, refers_to. One partial aggregate over (digest, page id) finds the responses; the join is on the digest, so a frequent payload is split by the adaptive skew join."""
+    """page_id, url, html, digest, refers_to. One partial aggregate finds the responses of payloads that repeat; up to a counted bound they go to
+    every task and no page is shuffled. Beyond it, pages are joined by digest: those of the most frequent payloads where they stand, short ones not at all."""
+    size = F.octet_length("html")
     rows = pages.select(F.col("page_id").cast("long").alias("page_id"), F.col("url").cast("string").alias("url"), F.coalesce(F.col("html").cast("string"), F.lit("")).alias("html")).withColumn("digest", F.sha1(F.encode("html", "UTF-8")))
-    heads = rows.where(F.octet_length("html") >= least_bytes).groupBy("digest").agg(F.max("page_id").alias("head"), F.count(F.lit(1)).alias("n")).where("n > 1").select("digest", "head")
-    held = (F.octet_length("html") >= least_bytes) & F.col("head").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("head"))
-    return rows.join(heads, "digest", "left").select("page_id", "url", "html", "digest", F.when(held, F.col("head")).alias("refers_to"))
+    heads = rows.where(size >= least_bytes).groupBy("digest").agg(F.max("page_id").alias("head"), F.count(F.lit(1)).alias("n")).where("n > 1 and head is not null")
+    heads = written(heads)
+    if heads.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST:
+        joined = rows.join(F.broadcast(heads.drop("n")), "digest", "left")
+    else:
+        total = heads.agg(F.sum("n")).first()[0]
+        frequent = F.broadcast(heads.where(F.col("n") > total // MOST_BROADCAST).drop("n"))  # fewer than MOST_BROADCAST
+        long = rows.where(size >= least_bytes)
+        rare = long.join(frequent, "digest", "left_anti").join(heads.drop("n"), "digest", "left")
+        joined = rare.unionByName(long.join(frequent, "digest")).unionByName(rows.where(size < least_bytes), allowMissingColumns=True)
+    return joined.select("page_id", "url", "html", "digest", F.when(~F.col("page_id").eqNullSafe(F.col("head")), F.col("head")).alias("refers_to"))
 
 
 def write_archives(pages: DataFrame, folder: str, least_bytes: int = 1000, date: str = "2024-01-01T00:00:00Z", level: int = 6) -> DataFrame:
