@@ -15,6 +15,7 @@ once; repeated document rows are each answered; other columns pass unread.
 from __future__ import annotations
 
 import re
+import uuid
 from collections.abc import Iterator
 from itertools import repeat
 
@@ -75,33 +76,55 @@ def scan(words: list[bytes], vocabulary: dict[bytes, int], found: ahocorasick.Au
     return runs, items
 
 
-def _blocks(items: list[tuple[int, list[bytes]]], n: int) -> list[list[tuple[int, list[bytes]]]]:
-    out, held = [[]], 0
+def _blocks(items: Iterator[tuple[int, list[bytes]]], n: int) -> Iterator[list[tuple[int, list[bytes]]]]:
+    """Blocks of items with MOST_WINDOWS windows at most (an item of more is a block by itself); one empty block if there are none."""
+    block, held, any_ = [], 0, False
     for item in items:
         more = max(1, len(item[1]) - n + 1)
         if held and held + more > MOST_WINDOWS:
-            out, held = [*out, []], 0
-        out[-1].append(item)
+            yield block
+            block, held, any_ = [], 0, True
+        block.append(item)
         held += more
-    return out
+    if block or not any_:
+        yield block
+
+
+#: The automaton that this Python worker built last, by its block's name: one build a worker, not one a task.
+_built: dict[tuple[str, int], tuple] = {}
+
+
+def sent(spark, block: list[tuple[int, list[bytes]]]):
+    """A block's name and its broadcast."""
+    return uuid.uuid4().hex, spark.sparkContext.broadcast(block)
+
+
+def automaton(held, n: int) -> tuple[dict[bytes, int], ahocorasick.Automaton, int, bool]:
+    """Vocabulary, automaton, the shortest window and whether there is any, for a block that was sent."""
+    key = (held[0], n)
+    if key not in _built:
+        _built.clear()
+        block = held[1].value
+        _built[key] = (*build(block, n), min((min(len(w), n) for _, w in block), default=n), bool(block))
+    return _built[key]
 
 
-def bench_items(bench: DataFrame, item_col: str = "item_id", item_text_col: str = "text") -> list[tuple[int, list[bytes]]]:
+def bench_items(bench: DataFrame, item_col: str = "item_id", item_text_col: str = "text") -> Iterator[tuple[int, list[bytes]]]:
+    """Items with words, read in a stream: the driver holds a block at a time."""
     rows = bench.where(F.col(item_col).isNotNull() & F.col(item_text_col).isNotNull()).select(F.col(item_col).cast("long").alias("i"), F.col(item_text_col).cast("string").alias("t"))
-    return [(r.i, w) for r in rows.toLocalIterator() if (w := alnum_words(r.t))]
+    return ((r.i, w) for r in rows.toLocalIterator() if (w := alnum_words(r.t)))
 
 
 def without_contaminated(docs: DataFrame, bench: DataFrame, n: int = 10, text_col: str = "text") -> DataFrame:
     """The rows of docs, all their columns, in which no window of an item stands."""
     few_rows_a_batch(docs.sparkSession)
     at, out = docs.columns.index(text_col), docs
-    for block in _blocks(bench_items(bench), n):
+    for held in (sent(docs.sparkSession, block) for block in _blocks(bench_items(bench), n)):
 
-        def run(batches: Iterator[pa.RecordBatch], block=block) -> Iterator[pa.RecordBatch]:
-            vocabulary, found = build(block, n)
-            shortest = min((min(len(w), n) for _, w in block), default=n)
+        def run(batches: Iterator[pa.RecordBatch], held=held) -> Iterator[pa.RecordBatch]:
+            vocabulary, found, shortest, some = automaton(held, n)
             for b in batches:
-                yield b.filter(pa.array([not (block and (w := alnum_words(t)) and scan(w, vocabulary, found, shortest)[0]) for t in b.column(at).to_pylist()], pa.bool_()))
+                yield b.filter(pa.array([not (some and (w := alnum_words(t)) and scan(w, vocabulary, found, shortest)[0]) for t in b.column(at).to_pylist()], pa.bool_()))
 
         out = out.mapInArrow(frugal(run), docs.schema)
     return out
@@ -110,24 +133,23 @@ def without_contaminated(docs: DataFrame, bench: DataFrame, n: int = 10, text_co
 def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 10, id_col: str = "doc_id", text_col: str = "text", item_col: str = "item_id", item_text_col: str = "text") -> DataFrame:
     """One row a document: doc_id, n_words, n_hit (words inside any window's occurrence), items (sorted ids), spans (character offsets of the hit runs).
 
-    The item list goes to every worker. It is read to the driver in a stream,
-    and cut into blocks of MOST_WINDOWS windows: however large the benchmark,
-    one automaton stays bounded, and the texts pass through the blocks one
-    after the other.
+    The items are read to the driver in a stream and broadcast in blocks of
+    MOST_WINDOWS windows (some 100 MB as an automaton): however large the
+    benchmark, the driver holds one block and a worker one automaton, and the
+    texts pass through the blocks one after the other.
     """
     few_rows_a_batch(docs.sparkSession)
-    blocks = _blocks(bench_items(bench, item_col, item_text_col), n)
+    blocks = [sent(docs.sparkSession, block) for block in _blocks(bench_items(bench, item_col, item_text_col), n)]
 
-    def pass_over(block: list[tuple[int, list[bytes]]], last: bool):
+    def pass_over(held, last: bool):
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            vocabulary, found = build(block, n)
-            shortest = min((min(len(w), n) for _, w in block), default=n)
+            vocabulary, found, shortest, some = automaton(held, n)
             for b in batches:
                 out_n, out_hit, out_items, out_runs, out_spans = [], [], [], [], []
                 before = zip(b.column(2).to_pylist(), b.column(3).to_pylist(), strict=True)
                 for text, (had, was) in zip(b.column(1).to_pylist(), before, strict=True):
                     words = alnum_words(text)
-                    runs, who = scan(words, vocabulary, found, shortest) if block and words else ([], set())
+                    runs, who = scan(words, vocabulary, found, shortest) if some and words else ([], set())
                     who |= set(had or ())
                     runs = merged(runs, [(x["start"], x["stop"]) for x in was or ()])
                     out_n.append(len(words))
@@ -143,8 +165,8 @@ def decontaminate(docs: DataFrame, bench: DataFrame, n: int = 10, id_col: str =
         return run
 
     df = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"), F.lit(None).cast("array<long>").alias("items"), F.lit(None).cast("array<struct<start:int,stop:int>>").alias("runs"))
-    for block in blocks[:-1]:
-        df = df.mapInArrow(frugal(pass_over(block, False)), df.schema)
+    for held in blocks[:-1]:
+        df = df.mapInArrow(frugal(pass_over(held, False)), df.schema)
     return df.mapInArrow(frugal(pass_over(blocks[-1], True)), RESULT)
 
 
