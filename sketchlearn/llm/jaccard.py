@@ -38,6 +38,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.graph import connected_components
+from ..operators.skew import spread_join
 from .common import LOWER_TABLE, REQUEST_ARROW, REQUEST_SCHEMA, Page, buckets_for, exchange, frugal, frugal_group, mix64, pages, requests, written
 from .substring import distinct
 
@@ -276,6 +277,7 @@ def _named(described: DataFrame, links: DataFrame | None) -> DataFrame:
     named = smallest.select("fp", F.col("smallest").alias("component"))
     if links is not None and links.head(1):
         roots = connected_components(links).withColumnRenamed("node", "fp").join(smallest, "fp")
-        label = roots.join(roots.groupBy("root").agg(F.min("smallest").alias("label")), "root").select("fp", "label")
+        roots = written(roots)
+        label = spread_join(roots, roots.groupBy("root").agg(F.min("smallest").alias("label")), "root", "inner").select("fp", "label")
         named = smallest.join(label, "fp", "left").select("fp", F.coalesce("label", "smallest").alias("component"))
-    return described.join(named, "fp", "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+    return spread_join(described, named, "fp").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
