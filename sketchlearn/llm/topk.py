@@ -9,13 +9,17 @@ Blocks of queries meet just those blocks of data, are multiplied there, and the
 best k of each meeting go to one ranking by query.
 
 All groups are bounded: cells are cut into blocks by a hash of the id, queries
-likewise, so neither a frequent vector nor a full cell gathers in one task.
-
-Defined results: a vector that is null or holds null or non-finite components
-takes no part; vectors meet only vectors of the same length; of repeated ids
-each row counts as a candidate, and none is a candidate of its own id; a
-query row given twice asks once; ties go
-to the smaller id; fewer candidates than k give fewer rows.
+likewise, and a pair of blocks is dealt out by itself, so neither a frequent
+vector nor a full cell gathers in one task. How much the bounds leave out is up
+to the data: clustered vectors lose most of their cells (pruned() counts it),
+vectors spread evenly over many dimensions lose nearly none.
+
+Defined results: a vector that is null, empty or holds null or non-finite
+components takes no part, nor does a row without an id; vectors meet only
+vectors of the same length; of repeated ids each row counts as a candidate, and
+none is a candidate of its own id; a query row given twice asks once; ties go
+to the smaller id; fewer candidates than k give fewer rows; components and
+scores beyond 64 bits are the nearest 64-bit number.
 """
 
 from __future__ import annotations
@@ -43,10 +47,10 @@ def integer_vector(col: Column, scale: int = 1024) -> Column:
 
 def products(a: np.ndarray, b: np.ndarray) -> np.ndarray:
     """Exact integer products: in doubles where no sum can pass 2^53, else in Python's integers."""
-    top = float(np.abs(a).max(initial=0)) * float(np.abs(b).max(initial=0)) * max(1, a.shape[1])
-    if top < _RANK:
-        return (a.astype(np.float64) @ b.astype(np.float64).T).astype(np.int64)
-    return (a.astype(object) @ b.astype(object).T).astype(np.int64)
+    x, y = a.astype(np.float64), b.astype(np.float64)
+    if np.abs(x).max(initial=0) * np.abs(y).max(initial=0) * max(1, a.shape[1]) < _RANK:
+        return (x @ y.T).astype(np.int64)
+    return np.clip(a.astype(object) @ b.astype(object).T, -(1 << 63), (1 << 63) - 1).astype(np.int64)
 
 
 def best(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
@@ -59,10 +63,31 @@ def best(scores: np.ndarray, ids: np.ndarray, k: int) -> np.ndarray:
     return at[np.lexsort((ids[at], -scores[at]))[:k]]
 
 
+def pruned(vectors: DataFrame, is_query: Column, k: int = 10, **options) -> DataFrame:
+    """(query_blocks, meetings, all_meetings): how many of the meetings of a block of queries with a cell the bounds leave."""
+    asked, cells = _join(vectors, is_query, k, **options)[:2]
+    spark = vectors.sparkSession
+    if not cells:
+        return spark.createDataFrame([(0, 0, 0)], "query_blocks long, meetings long, all_meetings long")
+    of_length = spark.createDataFrame([(d, sum(1 for x, _ in cells if x == d)) for d in {d for d, _ in cells}], "d int, n long")
+    counted = asked.groupBy("d", F.md5("qids").alias("b")).agg(F.count(F.lit(1)).alias("met")).join(of_length, "d")
+    return counted.agg(F.count(F.lit(1)).alias("query_blocks"), F.coalesce(F.sum("met"), F.lit(0)).alias("meetings"), F.coalesce(F.sum("n"), F.lit(0)).alias("all_meetings"))
+
+
 def top_k(vectors: DataFrame, is_query: Column, k: int = 10, scale: int = 1024, id_col: str = "vec_id", vector_col: str = "embedding", pivots: int = MOST_PIVOTS) -> DataFrame:
     """(query_id, rank, vec_id, score) for every row of which is_query holds, against all other rows."""
+    _, cells, found = _join(vectors, is_query, k, scale, id_col, vector_col, pivots)
+    if not cells:
+        return vectors.sparkSession.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
+    ranked = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
+    return ranked.select("query_id", "rank", "vec_id", "score")
+
+
+def _join(vectors: DataFrame, is_query: Column, k: int = 10, scale: int = 1024, id_col: str = "vec_id", vector_col: str = "embedding", pivots: int = MOST_PIVOTS) -> tuple[DataFrame | None, dict, DataFrame | None]:
+    """What blocks of queries ask of the cells, the cells, and the best of each meeting (query_id, vec_id, score)."""
     spark = vectors.sparkSession
-    rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.coalesce(is_query, F.lit(False)).alias("asks"), integer_vector(F.col(vector_col), scale).alias("v")).where("v is not null and vec_id is not null")
+    rows = vectors.select(F.col(id_col).cast("long").alias("vec_id"), F.coalesce(is_query, F.lit(False)).alias("asks"), integer_vector(F.col(vector_col), scale).alias("v")).where("v is not null and size(v) > 0 and vec_id is not null")
     chosen: dict[int, np.ndarray] = {}
     # A fixed number of pivots, spread by a hash of their components; copies of a vector are one pivot.
     sample = rows.select("v", F.xxhash64("v").alias("h")).groupBy("h").agg(F.first("v").alias("v")).orderBy("h").limit(pivots).collect()
@@ -89,25 +114,31 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 10, scale: int = 1024,
     # The nearest k+1 distances of each cell, its count, radius and number of queries: bounded by pivots * (k + 1).
     # An id gives one distance to one cell only, however many rows it has: of k+1 bounds one at most is the query's own.
     once = placed.groupBy("d", "vec_id").agg(F.min(F.struct("dist", "cell")).alias("x")).select("d", "vec_id", "x.*")
-    near = once.groupBy("d", "cell", F.pmod(F.xxhash64("vec_id"), F.lit(64)).alias("salt")).agg(F.slice(F.sort_array(F.collect_list("dist")), 1, k + 1).alias("near"))
-    nearest = near.groupBy("d", "cell").agg(F.slice(F.sort_array(F.flatten(F.collect_list("near"))), 1, k + 1).alias("near"))
+    # The least of a part of a cell, then of the cell: what is gathered is k+1 numbers a part, however full the cell is.
+    least = lambda df, *keys: df.withColumn("nth", F.row_number().over(Window.partitionBy(*keys).orderBy("dist"))).where(F.col("nth") <= k + 1)
+    near = least(once.withColumn("salt", F.pmod(F.xxhash64("vec_id"), F.lit(64))), "d", "cell", "salt")
+    nearest = least(near, "d", "cell").groupBy("d", "cell").agg(F.sort_array(F.collect_list("dist")).alias("near"))
     summary = placed.groupBy("d", "cell").agg(F.count(F.lit(1)).alias("n"), F.max("dist").alias("far"), F.count_if("asks").alias("queries")).join(nearest, ["d", "cell"], "left").collect()
     cells = {(r.d, r.cell): (np.array(r.near or [], np.float64), r.n, r.far, r.queries) for r in summary}
     if not cells:
-        return spark.createDataFrame([], "query_id long, rank int, vec_id long, score long")
+        return None, cells, None
 
-    def salted(n: dict[tuple[int, int], int], block: int) -> Column:
-        """A block number below ceil(n / block), by a hash of the id and of the components' place."""
+    def blocks_of(n: dict[tuple[int, int], int], block: int) -> Column:
+        """ceil(n / block) of a row's cell."""
         parts = [(key, -(-v // block)) for key, v in n.items() if v > block]
         if not parts:
-            return F.lit(0)
+            return F.lit(1)
         count = F.create_map(*[x for (d, c), v in parts for x in (F.lit(d * MOST_PIVOTS + c), F.lit(v))])
-        return F.pmod(F.xxhash64("vec_id"), F.coalesce(F.element_at(count, F.col("d") * MOST_PIVOTS + F.col("cell")), F.lit(1))).cast("int")
+        return F.coalesce(F.try_element_at(count, F.col("d") * MOST_PIVOTS + F.col("cell")), F.lit(1))
+
+    in_data = blocks_of({key: v[1] for key, v in cells.items()}, DATA_BLOCK)
+    in_queries = blocks_of({key: v[3] for key, v in cells.items()}, QUERY_BLOCK)
+    own_block = lambda n: F.pmod(F.xxhash64("vec_id"), n).cast("int")
 
     def gather(pdf: pd.DataFrame) -> pd.DataFrame:
-        return pd.DataFrame({"d": pdf["d"].iloc[:1], "cell": pdf["cell"].iloc[:1], "far": [pdf["dist"].max()], "ids": [pdf["vec_id"].to_numpy(np.int64).tobytes()], "m": [b"".join(pdf["v"])], "dist": [pdf["dist"].to_numpy(np.float64).tobytes()]})
+        return pd.DataFrame({"d": pdf["d"].iloc[:1], "cell": pdf["cell"].iloc[:1], "far": [pdf["dist"].max()], "block": pdf["block"].iloc[:1], "ids": [pdf["vec_id"].to_numpy(np.int64).tobytes()], "m": [b"".join(pdf["v"])], "dist": [pdf["dist"].to_numpy(np.float64).tobytes()]})
 
-    data = placed.withColumn("block", salted({key: v[1] for key, v in cells.items()}, DATA_BLOCK)).groupBy("d", "cell", "block").applyInPandas(gather, "d int, cell int, far double, ids binary, m binary, dist binary")
+    data = placed.withColumn("block", own_block(in_data)).groupBy("d", "cell", "block").applyInPandas(gather, "d int, cell int, far double, block int, ids binary, m binary, dist binary")
 
     def plan(pdf: pd.DataFrame) -> pd.DataFrame:
         """For a block of queries: the cells it needs, each with the distance from its pivot from which vectors matter."""
@@ -125,7 +156,7 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 10, scale: int = 1024,
         ids = pdf["vec_id"].to_numpy(np.int64).tobytes()
         return pd.DataFrame({"d": d, "cell": [c for c, _ in held], "least": [t for _, t in held], "qids": ids, "q": b"".join(pdf["v"])})
 
-    asked = placed.where("asks").dropDuplicates(["vec_id", "v"]).withColumn("block", salted({key: v[3] for key, v in cells.items()}, QUERY_BLOCK)).groupBy("d", "cell", "block").applyInPandas(plan, "d int, cell int, least double, qids binary, q binary")
+    asked = placed.where("asks").dropDuplicates(["vec_id", "v"]).withColumn("block", own_block(in_queries)).groupBy("d", "cell", "block").applyInPandas(plan, "d int, cell int, least double, qids binary, q binary")
 
     def meet(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -145,8 +176,7 @@ def top_k(vectors: DataFrame, is_query: Column, k: int = 10, scale: int = 1024,
                     out_s.append(scores[i, top])
                 yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x).astype(np.int64)) for x in (out_q, out_v, out_s)], names=["query_id", "vec_id", "score"])
 
-    met = asked.join(data.withColumnsRenamed({"d": "dd", "cell": "c"}), (F.col("d") == F.col("dd")) & (F.col("cell") == F.col("c")) & (F.col("far") >= F.col("least")))
-    found = met.select("d", "least", "qids", "q", "ids", "m", "dist").mapInArrow(meet, "query_id long, vec_id long, score long")
-    order = Window.partitionBy("query_id").orderBy(F.desc("score"), "vec_id")
-    ranked = found.withColumn("rank", F.row_number().over(order)).where(F.col("rank") <= k)
-    return ranked.select("query_id", "rank", "vec_id", "score")
+    # Each pair of a block of queries and a block of a cell's data has a key of its own.
+    dealt = asked.withColumn("block", F.explode(F.sequence(F.lit(0), in_data.cast("int") - 1)))
+    met = dealt.join(data, ["d", "cell", "block"]).where(F.col("far") >= F.col("least"))
+    return asked, cells, met.select("d", "least", "qids", "q", "ids", "m", "dist").mapInArrow(meet, "query_id long, vec_id long, score long")
