@@ -1,12 +1,13 @@
 """License scan with a positional index of rare words. DataFrame functions only.
 
 Each template is a run of words with a mandatory key phrase. The template words
-are weighed by their document frequency over all texts; of each template, the
-rarest words that a file holds are looked up in the template's postings, which
-turns a place in the file into an offset of the template; offsets on which two
-words agree are kept, the key phrase is verified there, and the share of
-template words in their places is the score. Files without any key phrase can't
-pass the verification and skip the look-up.
+are weighed by their document frequency over all texts, and the rarest of each
+template make one positional index: word -> (template, place). A file is looked
+through once; each of its words that the index holds turns its own place into
+places where templates would begin. Beginnings on which two words agree are
+kept, the key phrase is verified there, and the share of template words in
+their places is the score. Files without any key phrase can't pass the
+verification and skip the look-up.
 
 Defined results: a null or empty text has no words, labels or places, and score
 0; a phrase counts at each place where it stands, overlaps included; repeated
@@ -50,9 +51,22 @@ TEMPLATES = (
     Template("mit", "released under the mit license", "mit license"),
     Template("mit", "permission is hereby granted free of charge to any person obtaining a copy of this software and associated documentation files to deal in the software without restriction", "permission is hereby granted free of charge"),
     Template("mpl-2", "this source code form is subject to the terms of the mozilla public license v 2 0", "mozilla public license v 2 0"),
+    Template("lgpl", "this library is free software you can redistribute it and or modify it under the terms of the gnu lesser general public license as published by the free software foundation", "gnu lesser general public license"),
+    Template("lgpl", "licensed under the gnu lesser general public license version 3", "gnu lesser general public license"),
+    Template("agpl-3", "it under the terms of the gnu affero general public license as published by the free software foundation either version 3 of the license", "gnu affero general public license"),
+    Template("agpl-3", "licensed under the gnu affero general public license version 3", "gnu affero general public license"),
+    Template("isc", "permission to use copy modify and or distribute this software for any purpose with or without fee is hereby granted provided that the above copyright notice and this permission notice appear in all copies", "permission to use copy modify and or distribute this software"),
+    Template("epl-2", "this program and the accompanying materials are made available under the terms of the eclipse public license 2 0", "eclipse public license"),
+    Template("cc0", "to the extent possible under law the author has waived all copyright and related or neighboring rights to this work", "waived all copyright and related or neighboring rights"),
+    Template("cc0", "licensed under cc0 1 0 universal", "cc0 1 0"),
+    Template("unlicense", "this is free and unencumbered software released into the public domain", "free and unencumbered software released into the public domain"),
+    Template("zlib", "this software is provided as is without any express or implied warranty in no event will the authors be held liable for any damages arising from the use of this software", "in no event will the authors be held liable"),
+    Template("bsl-1", "distributed under the boost software license version 1 0", "boost software license version 1 0"),
+    Template("mit", "the above copyright notice and this permission notice shall be included in all copies or substantial portions of the software", "shall be included in all copies or substantial portions of the software"),
+    Template("bsd", "neither the name of the copyright holder nor the names of its contributors may be used to endorse or promote products derived from this software", "may be used to endorse or promote products derived from this software"),
     Template("proprietary", "all rights reserved", "all rights reserved"),
 )
-#: Rare words of a template that are looked up, and the least share of words in place.
+#: Rarest words of a template that the index holds beside two of its key phrase, and the least share of words in place.
 RARE_WORDS, LEAST_SCORE = 4, 0.6
 
 _APART = "".join(chr(b) for b in range(128) if not (48 <= b <= 57 or 65 <= b <= 90 or 97 <= b <= 122))
@@ -74,30 +88,39 @@ def document_frequencies(rows: DataFrame, vocabulary: list[str]) -> dict[str, in
     return {r.w: r.n for r in rows.select(F.explode(held).alias("w")).groupBy("w").agg(F.count(F.lit(1)).alias("n")).collect()}
 
 
-def templates_sql(templates: tuple[Template, ...], df: dict[str, int]) -> str:
+def templates_sql(templates: tuple[Template, ...]) -> str:
     parts = []
     for t in templates:
         own, key = t.text.split(), t.key.split()
         at = next(i for i in range(len(own)) if own[i : i + len(key)] == key)
-        rare = sorted(set(own), key=lambda w: (df.get(w, 0), w))  # the highest IDF first
-        parts.append(f"named_struct('label', '{t.label}', 'own', {_array(own)}, 'rare', {_array(rare)}, 'key', {_array(key)}, 'at', {at})")
+        parts.append(f"named_struct('label', '{t.label}', 'own', {_array(own)}, 'key', {_array(key)}, 'at', {at})")
     return f"array({', '.join(parts)})"
 
 
-#: For one template t: offsets that the rarest words agree on, those where the key phrase stands, and the best share of words in place.
-_MATCH = f"""transform(templates, t -> named_struct('label', t.label, 'score',
-  array_max(transform(
-    filter(
-      aggregate(
-        array(array_sort(flatten(transform(
-          slice(filter(t.rare, r -> array_contains(words, r)), 1, {RARE_WORDS}),
-          r -> array_distinct(flatten(transform(
-            filter(sequence(0, size(words) - 1), i -> get(words, i) = r),
-            i -> transform(filter(sequence(0, size(t.own) - 1), p -> get(t.own, p) = r), p -> i - p)))))))),
-        cast(array() as array<int>),
-        (none, all) -> array_distinct(filter(all, (x, i) -> get(all, i - 1) = x))),
-      o -> o + t.at >= 0 and slice(words, greatest(o + t.at, 0) + 1, size(t.key)) = t.key),
-    o -> aggregate(sequence(0, size(t.own) - 1), 0, (n, p) -> n + if(get(words, o + p) = get(t.own, p), 1, 0)) / size(t.own)))))"""
+def postings(templates: tuple[Template, ...], df: dict[str, int]) -> dict[str, list[tuple[int, int]]]:
+    """Of the rarest words of each template (those of the highest IDF), where they stand: word -> (template, place).
+    The two rarest words of the key phrase are always among them: a verified place has their two votes, so none is missed."""
+    out: dict[str, list[tuple[int, int]]] = {}
+    for n, t in enumerate(templates):
+        own = t.text.split()
+        rarest = lambda some: sorted(set(some), key=lambda w: (df.get(w, 0), w))
+        rare = {*rarest(own)[:RARE_WORDS], *rarest(t.key.split())[:2]}
+        for place, w in enumerate(own):
+            if w in rare:
+                out.setdefault(w, []).append((n, place))
+    return out
+
+
+def _match(templates: tuple[Template, ...], index: dict[str, list[tuple[int, int]]]) -> str:
+    """Label and score of each beginning on which two indexed words agree and where the key phrase stands. A word is found in the index by a hash set first, so that most words of a file cost one probe."""
+    held = ", ".join(f"'{w}'" for w in sorted(index))
+    table = "map(" + ", ".join(f"'{w}', array(" + ", ".join(f"named_struct('t', {t}, 'at', {at})" for t, at in index[w]) + ")" for w in sorted(index)) + ")"
+    votes = f"""array_sort(flatten(transform(filter(sequence(0, size(words) - 1), i -> get(words, i) in ({held})),
+      i -> transform(element_at({table}, get(words, i)), p -> named_struct('t', p.t, 'o', i - p.at)))))"""
+    agreed = f"aggregate(array({votes}), cast(array() as array<struct<t:int,o:int>>), (none, all) -> array_distinct(filter(all, (x, i) -> get(all, i - 1) = x)))"
+    scored = """named_struct('label', c.m.label, 'score', if(c.o + c.m.at >= 0 and slice(words, greatest(c.o + c.m.at, 0) + 1, size(c.m.key)) = c.m.key,
+      aggregate(sequence(0, size(c.m.own) - 1), 0, (n, p) -> n + if(get(words, c.o + p) = get(c.m.own, p), 1, 0)) / size(c.m.own), null))"""
+    return f"transform(transform({agreed}, v -> named_struct('m', get({templates_sql(templates)}, v.t), 'o', v.o)), c -> {scored})"
 
 
 def scan(docs: DataFrame, templates: tuple[Template, ...] = TEMPLATES, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
@@ -115,7 +138,7 @@ def scan(docs: DataFrame, templates: tuple[Template, ...] = TEMPLATES, id_col: s
 
     gated = joined.select("doc_id", "words", F.expr("cast(size(words) as bigint)").alias("n_words"), F.expr("concat(" + ", ".join(places(*x) for x in BASE_PHRASES.items()) + ")").alias("places"), F.expr(any_key).alias("gate"))
     empty = "cast(array() as array<struct<label:string,score:double>>)"
-    match = _MATCH.replace("templates", templates_sql(templates, df), 1)
+    match = _match(templates, postings(templates, df))
     found = gated.select("doc_id", "n_words", "places", F.expr(f"if(gate, filter({match}, m -> m.score is not null), {empty})").alias("found"))
     base = F.array_sort(F.array_distinct(F.transform("places", lambda p: p.label)))
     own = F.transform(F.filter("found", lambda m: m.score >= LEAST_SCORE), lambda m: m.label)
