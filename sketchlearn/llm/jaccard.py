@@ -15,7 +15,8 @@ least num/den. The steps, none of which makes all pairs of a group:
    matrix gives for a query set its overlap with all unions at once, and only
    groups whose overlap can reach the least number are opened. A group whose
    members are all linked with the query already stays closed. Families too
-   large for a task are cut into blocks, and each pair of blocks is a task.
+   large for a task are cut into blocks by their first shared token, and each
+   pair of blocks that share a rare token is a task.
 4. Components of the links are the classes.
 
 Words are those between blanks, A-Z lower-cased. All texts, all shingles and all tokens take part; blocks bound a task, and
@@ -238,13 +239,16 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
     if not ties.head(1):
         return _named(described, None)
     families = connected_components(ties, "id", "low").withColumnsRenamed({"node": "id", "root": "family"})
-    # A family of many blocks sends each set to one task for each other block.
     large = families.groupBy("family").agg(F.count(F.lit(1)).alias("n")).where(F.col("n") > BLOCK).select("family", F.ceil(F.col("n") / BLOCK).cast("int").alias("blocks"))
     placed = written(families.join(large, "family", "left").withColumn("blocks", F.coalesce("blocks", F.lit(1))), spark)
+    small = placed.where("blocks = 1")
     if placed.count() <= MOST_BROADCAST:  # 20 bytes a row; beyond, the sets are shuffled to it
-        placed = F.broadcast(placed)
-    own = F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int")
-    tasks = cand.select("fp", "id", "g", "held").join(placed, "id").withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")})
+        small = F.broadcast(small)
+    wide = "fp", "family", "g", "held", "own", "i", "j"
+    one = F.lit(0).cast("long")
+    tasks = cand.join(small, "id").withColumns({"own": one, "i": one, "j": one}).select(*wide)
+    if large.limit(1).count():
+        tasks = tasks.unionByName(cand.join(_block_pairs(cand, tied.join(stars, "token").select("id", "token"), placed), ["id", "fp"]).select(*wide))
     bytes_held = cand.agg(F.sum(F.length("held"))).first()[0] or 0
 
     def solve(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -266,6 +270,25 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
     return _named(described, links)
 
 
+def _block_pairs(cand: DataFrame, tied: DataFrame, placed: DataFrame) -> DataFrame:
+    """(id, fp, family, own, i, j): the sets of families of more than BLOCK sets, dealt to pairs of blocks.
+
+    Sets of one first shared token, which similar sets mostly have in common, lie
+    in one block, or in several where they are too many. Two blocks meet only if
+    they share a rare token, as two similar sets do: a family that is a long
+    chain of small resemblances has as many pairs as neighbours, not the square
+    of its blocks.
+    """
+    sets = cand.select("id", "fp", "g").join(placed.where("blocks > 1"), "id").withColumn("bucket", F.pmod(F.xxhash64("g"), F.col("blocks")))
+    parts = sets.groupBy("family", "bucket").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("parts"))
+    own = F.col("bucket") * (1 << 32) + F.pmod(F.xxhash64("fp"), F.col("parts"))
+    blocked = written(sets.join(parts, ["family", "bucket"]).select("id", "fp", "family", own.alias("own")))
+    met = written(tied.join(blocked.select("id", "family", "own"), "id").select("family", "token", "own").distinct())
+    pairs = met.select("family", "token", F.col("own").alias("i")).join(met.select("family", "token", F.col("own").alias("j")), ["family", "token"]).where("i <= j").select("family", "i", "j").distinct()
+    sides = pairs.select("family", "i", "j", F.col("i").alias("own")).unionByName(pairs.where("i < j").select("family", "i", "j", F.col("j").alias("own")))
+    return blocked.join(sides, ["family", "own"])
+
+
 def how_many(group: np.ndarray, vals: np.ndarray) -> np.ndarray:
     """In how many of the pages' sets a token stands; beyond 65,535 all are alike in rarity."""
     return np.minimum(np.bincount(group, weights=vals)[group], 65535).astype(np.uint16)
