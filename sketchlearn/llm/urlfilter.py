@@ -155,7 +155,7 @@ def matched_urls(urls: DataFrame, rules: DataFrame) -> DataFrame:
     if rules.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST:
         met = asked.join(F.broadcast(rules), "key")
     else:
-        met = asked.withColumn("salt", F.pmod(F.xxhash64("url"), F.lit(SALTS))).join(rules.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).cast("long")), ["key", "salt"])
+        met = asked.withColumn("salt", F.pmod(F.xxhash64("url"), F.lit(SALTS))).join(rules.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)).cast("array<bigint>"))), ["key", "salt"])
     return met.where(F.forall("need", lambda part: F.arrays_overlap(part, F.col("tokens")))).groupBy("url").agg(F.max("confidence").alias("confidence"))
 
 
@@ -165,7 +165,7 @@ def with_match(own: DataFrame, matched: DataFrame) -> DataFrame:
     if matched.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST:
         return own.join(F.broadcast(matched), "url", "left")
     salted = own.withColumn("salt", F.pmod(F.xxhash64("page_id"), F.lit(SALTS)))
-    return salted.join(matched.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))).cast("long")), ["url", "salt"], "left").drop("salt")
+    return salted.join(matched.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1)).cast("array<bigint>"))), ["url", "salt"], "left").drop("salt")
 
 
 def judge(pages: DataFrame, labels: DataFrame, min_support: float = 0.002, min_confidence: float = 0.5) -> DataFrame:

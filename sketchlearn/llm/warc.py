@@ -139,7 +139,7 @@ def with_revisits(pages: DataFrame, least_bytes: int) -> DataFrame:
         joined = rows.join(F.broadcast(heads.drop("n")), "digest", "left")
     else:
         total = heads.agg(F.sum("n")).first()[0]
-        frequent = F.broadcast(heads.where(F.col("n") > total // MOST_BROADCAST).drop("n"))  # fewer than MOST_BROADCAST
+        frequent = F.broadcast(heads.where(F.col("n") > total // max(1, MOST_BROADCAST)).drop("n"))  # fewer than MOST_BROADCAST
         long = rows.where(size >= least_bytes)
         rare = long.join(frequent, "digest", "left_anti").join(heads.drop("n"), "digest", "left")
         joined = rare.unionByName(long.join(frequent, "digest")).unionByName(rows.where(size < least_bytes), allowMissingColumns=True)
