@@ -448,3 +448,81 @@ def test_top_k_of_a_repeated_query_row(spark, times):
     got = topk.top_k(df.where("vec_id > 0 or embedding[0] = 9"), F.col("vec_id") == 0).collect()
     ranked = sorted((-sum(x * 9216 for x in b), i) for i, b in whole if i != 0)[:10]
     assert sorted(map(tuple, got)) == [(0, k + 1, i, -s) for k, (s, i) in enumerate(ranked)]
+
+
+# ---------------------------------------------------------------- bounds and recovery
+
+
+def test_long_and_repeated_urls_end(spark):
+    words = [f"t{i}" for i in range(200)]
+    rows = [(0, "http://a.com/" + "/".join(words)), (1, "http://b.com/x"), (2, "http://b.com/y")] + [(10 + i, "http://c.com/" + "/".join(words[: 100 + i])) for i in range(40)]
+    pages = spark.createDataFrame(rows, "page_id long, url string")
+    labels = spark.createDataFrame([(i, int(i != 0 and i % 3 != 0), 0) for i, _ in rows], "doc_id long, quality int, toxic int")
+    got = {r.page_id: r.verdict for r in urlfilter.judge(pages, labels).collect()}
+    assert len(got) == len(rows) and got[0] == "block" and got[1] == "allow"
+
+
+def test_rules_grown_by_size_are_those_of_growth(spark, monkeypatch):
+    rng = np.random.default_rng(8)
+    rows = [(i, "http://" + ".".join(sorted(set(rng.choice(list("abcdefg"), 4)))) + ".de/", int(rng.random() < 0.5)) for i in range(300)]
+    labelled = spark.createDataFrame([(i, u) for i, u, _ in rows], "page_id long, url string").join(spark.createDataFrame([(i, bool(b)) for i, _, b in rows], "page_id long, rejected boolean"), "page_id").select(urlfilter.tokens(F.col("url")).alias("tokens"), "rejected")
+    held = lambda: {(str(r.need), r.key, round(r.confidence, 9)) for r in urlfilter.mine_rules(labelled).collect()}
+    grown = held()
+    monkeypatch.setattr(urlfilter, "LONG_BASKET", 1)
+    assert held() == grown and any(len(eval(need)) > 1 for need, _, _ in grown)
+
+
+def test_urls_beyond_the_broadcast_bound(spark, monkeypatch):
+    pages = spark.createDataFrame([(i, f"http://{'spam' if i % 3 else 'news'}.de/{i % 5}") for i in range(60)], "page_id long, url string")
+    labels = spark.createDataFrame([(i, int(i % 3 == 0), 0) for i in range(60)], "doc_id long, quality int, toxic int")
+    want = {r.page_id: r.verdict for r in urlfilter.judge(pages, labels).collect()}
+    monkeypatch.setattr(urlfilter, "MOST_BROADCAST", 0)
+    assert {r.page_id: r.verdict for r in urlfilter.judge(pages, labels).collect()} == want
+
+
+def test_words_of_a_thousand_letters_are_told_apart():
+    a = b"".join(b"b" if bin(i).count("1") % 2 else b"a" for i in range(2048))
+    data = np.frombuffer(a + b" " + a.translate(bytes.maketrans(b"ab", b"ba")), np.uint8)
+    x, y = common.span_hashes(data, *common.word_spans(data))
+    assert x != y
+
+
+def test_revisits_beyond_the_broadcast_bound(spark, monkeypatch):
+    long = "x" * 1200
+    pages = spark.createDataFrame([(i, "u", long if i % 2 else f"{i}" * 700 if i % 4 else "") for i in range(40)] + [(None, "u", long)], "page_id long, url string, html string")
+    key = lambda: sorted(str((r.page_id, r.digest, r.refers_to)) for r in warc.with_revisits(pages, 1000).collect())
+    want = key()
+    monkeypatch.setattr(warc, "MOST_BROADCAST", 0)
+    assert key() == want and sum("39)" in x for x in want) == 20
+
+
+def test_pages_cut_otherwise_are_encoded_where_they_are(spark, monkeypatch):
+    df, _ = corpus(spark)
+    want = sorted(str((r.doc_id, list(r.ids))) for r in sentencepiece.encode(df, MODEL).collect())
+    monkeypatch.setattr(sentencepiece, "HEAD_UNITS", 1)
+    monkeypatch.setattr(sentencepiece, "answers", lambda said: common.answers(said).where("page = 0"))  # no page finds its answers
+    assert sorted(str((r.doc_id, list(r.ids))) for r in sentencepiece.encode(df.repartition(3), MODEL).collect()) == want
+
+
+def test_large_families_are_split_by_tokens(spark, monkeypatch):
+    rng = np.random.default_rng(4)
+    base = prose(150, rng).split()
+    rows = []
+    for i in range(120):  # a chain: each text shares most of its words with the next
+        own = base[i : i + 60] + prose(8, rng).split()
+        rows.append((i, " ".join(own if i % 3 else rows[-1][1].split()[:-1] + ["z"]) if i else " ".join(own)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    want = {r.doc_id: r.component_id for r in jaccard.classes(df, 2, 60, 100).collect()}
+    monkeypatch.setattr(jaccard, "BLOCK", 8)
+    got = {r.doc_id: r.component_id for r in jaccard.classes(df, 2, 60, 100).collect()}
+    assert got == want and len(set(want.values())) < len(rows)
+
+
+def test_top_k_of_odd_vectors_and_pruning(spark):
+    big = [(100, [3e18, 1.0]), (101, [3e18, 1.0]), (200, []), (None, [1.0, 1.0]), (300, [1.0, 2.0])]
+    got = topk.top_k(spark.createDataFrame(big, "vec_id long, embedding array<double>"), F.col("vec_id") % 100 == 0, 3).collect()
+    assert {r.query_id for r in got} == {100, 300} and max(r.score for r in got) == 2**63 - 1
+    rng = np.random.default_rng(2)
+    rows = [(i, (rng.normal(size=8) * 0.01 + np.eye(8)[i % 8] * 4).tolist()) for i in range(800)]
+    kept = topk.pruned(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), F.col("vec_id") % 100 == 0).first()
+    assert 0 < kept.meetings < kept.all_meetings / 2
