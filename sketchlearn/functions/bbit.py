@@ -4,8 +4,11 @@ from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from ..sources.shared import shared_dir
 
 WIDTHS = (1, 2, 4, 8, 12, 16)
 
@@ -51,7 +54,7 @@ def pack(code: Column, b: int) -> Column:
 
     @F.pandas_udf("binary")
     def run(codes: pd.Series) -> pd.Series:
-        return codes.map(lambda v: None if v is None else pack_numpy(np.asarray(v, np.int64), b))
+        return pd.Series(by_length(codes, lambda m: pack_rows(m.astype(np.int64), b)))
 
     return run(code)
 
@@ -59,11 +62,32 @@ def pack(code: Column, b: int) -> Column:
 def unpack(packed: Column, b: int, k: int) -> Column:
     @F.pandas_udf("array<int>")
     def run(raw: pd.Series) -> pd.Series:
-        return raw.map(lambda x: None if x is None else unpack_numpy(x, b, k))
+        as_bytes = pd.Series([None if x is None else np.frombuffer(x, np.uint8) for x in raw])
+        return pd.Series(by_length(as_bytes, lambda m: list(unpack_rows(m, b, k))))
 
     return run(packed)
 
 
+def by_length(rows: pd.Series, fn) -> list:
+    """fn of the matrix of all rows of one length at a time; nulls stay."""
+    out, sizes = [None] * len(rows), np.array([-1 if x is None else len(x) for x in rows])
+    for n in np.unique(sizes[sizes >= 0]).tolist():
+        at = np.nonzero(sizes == n)[0].tolist()
+        for i, x in zip(at, fn(np.stack([np.asarray(rows.iloc[i]) for i in at])), strict=True):
+            out[i] = x
+    return out
+
+
+def pack_rows(codes: np.ndarray, b: int) -> list[bytes]:
+    bits = ((codes[:, :, None] >> np.arange(b)) & 1).astype(np.uint8).reshape(len(codes), -1)
+    return [x.tobytes() for x in np.packbits(bits, axis=1, bitorder="little")]
+
+
+def unpack_rows(raw: np.ndarray, b: int, k: int) -> np.ndarray:
+    bits = np.unpackbits(raw, axis=1, bitorder="little")[:, : b * k].reshape(len(raw), k, b)
+    return (bits.astype(np.int64) << np.arange(b)).sum(2).astype(np.int32)
+
+
 def pack_numpy(code: np.ndarray, b: int) -> bytes:
     bits = (code[:, None] >> np.arange(b)) & 1
     return np.packbits(bits.astype(np.uint8).ravel(), bitorder="little").tobytes()
@@ -74,8 +98,20 @@ def unpack_numpy(raw: bytes, b: int, k: int) -> np.ndarray:
     return (bits.astype(np.int64) << np.arange(b)).sum(1).astype(np.int32)
 
 
+def vector_table(df: DataFrame, active: Column, dims: int, out: str = "features") -> DataFrame:
+    """df with sparse 0/1 vectors for a solver that reads them many times: made by JVM expressions as the vectors' own fields, written once, and read back as vectors."""
+    from pyspark.ml.linalg import VectorUDT
+
+    places = F.array_sort(F.array_distinct(active.cast("array<int>")))
+    fields = F.struct(F.lit(0).cast("byte").alias("type"), F.lit(dims).alias("size"), places.alias("indices"), F.transform(places, lambda _: F.lit(1.0)).alias("values"))
+    path = shared_dir(df.sparkSession)
+    df.withColumn(out, fields).write.parquet(path)
+    schema = T.StructType([*(f for f in df.schema.fields if f.name != out), T.StructField(out, VectorUDT())])
+    return df.sparkSession.read.schema(schema).parquet(path)
+
+
 def to_vector(active: Column, dims: int) -> Column:
-    """Sparse 0/1 vectors for a solver; made in the last projection before fitting, never stored."""
+    """Sparse 0/1 vectors as a column, a row at a time, for lazy pipelines; see vector_table() for training."""
     from pyspark.ml.linalg import Vectors, VectorUDT
 
     return F.udf(lambda a: Vectors.sparse(dims, sorted(set(a)), [1.0] * len(set(a))), VectorUDT())(active)

@@ -215,6 +215,11 @@ def score_codes(rows: DataFrame, w: np.ndarray, active: str = "active") -> DataF
     def run(batches: Iterator[pd.Series]) -> Iterator[pd.Series]:
         own = held.value
         for a in batches:
-            yield a.map(lambda i: None if i is None else float(own[np.asarray(i)].sum()))
+            sizes = np.array([0 if x is None else len(x) for x in a])
+            flat = np.concatenate([np.zeros(0, np.int64), *(x for x in a if x is not None)]).astype(np.int64)
+            full, total = np.nonzero(sizes)[0], np.zeros(len(a))
+            if len(full):
+                total[full] = np.add.reduceat(own[flat], (np.cumsum(sizes) - sizes)[full])
+            yield pd.Series(total, dtype=float).where(pd.Series([x is not None for x in a]))
 
     return rows.withColumn("score", run(active))

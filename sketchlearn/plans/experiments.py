@@ -277,13 +277,14 @@ def _mllib_rows(spark, d, k: int, b: int) -> DataFrame:
     from ..functions import bbit
 
     rows = labelled_rows(spark, d)
-    return rows.select("id", "y", "part", ((F.col("y") + 1) / 2).alias("label"), bbit.to_vector(bbit.expand(bbit.sliced(F.col("sig"), k, b), b), k << b).alias("features"))
+    coded = rows.select("id", "y", "part", ((F.col("y") + 1) / 2).alias("label"), bbit.expand(bbit.sliced(F.col("sig"), k, b), b).alias("active"))
+    return bbit.vector_table(coded, F.col("active"), k << b).drop("active")
 
 
 def mllib_accuracy(spark, d):
     """MLlib's distributed solvers on 8-bit codes over all labelled rows."""
     vectors, out = _mllib_rows(spark, d, 64, 8), None
-    train, test = vectors.where("part = 'train'").cache(), vectors.where("part = 'test'")
+    train, test = vectors.where("part = 'train'"), vectors.where("part = 'test'")
     n = train.count()
     for loss in ("hinge", "logistic"):
         model = learn.fit_mllib(train, 0.1, loss, n, 50)
@@ -297,7 +298,7 @@ def language_one_vs_rest(spark, d):
     langs = ["de", "en", "es", "fr"]
     number = F.array_position(F.array(*map(F.lit, langs)), F.col("lang")) - 1
     vectors = _mllib_rows(spark, d, 64, 8).drop("label", "y").join(load_table(spark, d, "documents").select(F.col("doc_id").alias("id"), "lang"), "id").withColumn("label", number.cast("double"))
-    model = learn.one_vs_rest(vectors.where("part = 'train' and label >= 0").cache(), 0.1, 50)
+    model = learn.one_vs_rest(vectors.where("part = 'train' and label >= 0"), 0.1, 50)
     scored = model.transform(vectors.where("part = 'test' and label >= 0")).select("lang", F.col("label").alias("y"), F.col("prediction").alias("pred"))
     return evaluate.accuracy(scored, "lang")
 

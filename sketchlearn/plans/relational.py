@@ -90,9 +90,18 @@ def pivot_labels(spark, d):
 
 
 def rank_documents(spark, d):
-    """Rank, dense rank and quartile of length by language."""
+    """Rank, dense rank, percent rank and quartile of length by language. Four languages hold all rows, so ranks come from the counts of each length (a window over lengths, not over rows) and rows only meet those of their own length."""
+    docs = load_table(spark, d, "documents").select("doc_id", "lang", "n_chars")
     w = Window.partitionBy("lang").orderBy("n_chars")
-    return load_table(spark, d, "documents").select("doc_id", F.rank().over(w).alias("rank"), F.dense_rank().over(w).alias("dense"), F.round(F.percent_rank().over(w), 6).alias("share"), F.ntile(4).over(Window.partitionBy("lang").orderBy("n_chars", "doc_id")).alias("quartile"))
+    lengths = docs.groupBy("lang", "n_chars").agg(F.count(F.lit(1)).alias("c"))
+    lengths = lengths.select("lang", "n_chars", (F.sum("c").over(w) - F.col("c")).alias("below"), F.row_number().over(w).alias("dense"), F.sum("c").over(Window.partitionBy("lang")).alias("total"))
+    same = Window.partitionBy("lang", "n_chars").orderBy("doc_id")
+    rows = docs.withColumn("nth", F.row_number().over(same)).join(lengths, ["lang", "n_chars"]).withColumn("r", F.col("below") + F.col("nth") - 1)
+    q, m = F.floor(F.col("total") / 4), F.col("total") % 4
+    wide = m * (q + 1)  # rows of the quartiles that hold one more
+    quartile = F.when(F.col("r") < wide, F.floor(F.col("r") / (q + 1)) + 1).otherwise(m + F.floor((F.col("r") - wide) / F.greatest(q, F.lit(1))) + 1)
+    share = F.when(F.col("total") > 1, F.col("below") / F.nullif(F.col("total") - 1, F.lit(0))).otherwise(0.0)
+    return rows.select("doc_id", (F.col("below") + 1).cast("int").alias("rank"), F.col("dense").cast("int"), F.round(share, 6).alias("share"), quartile.cast("int").alias("quartile"))
 
 
 def event_gaps(spark, d):

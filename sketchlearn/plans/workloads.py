@@ -467,7 +467,7 @@ def duplicate_clusters(spark, d):
 
 def conversation_similarity(spark, d):
     """Near copies among turns."""
-    c = sets.text_items(load_table(spark, d, "conversations").select((F.col("conv_id") * 1000 + F.col("turn")).alias("id"), "text"), "text").where(F.size("items") > 0)
+    c = sets.text_items(load_table(spark, d, "conversations").select((F.col("conv_id") * 1_000_000 + F.col("turn")).alias("id"), "text"), "text").where(F.size("items") > 0)
     return neighbors.near_pairs(minwise.signature(c, TwoUniversal(K_DOC)), 8, 2, 0.8).select("id1", "id2", "matches", r6(F.col("r"), "r"))
 
 

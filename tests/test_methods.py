@@ -226,7 +226,8 @@ def test_files_round_trip(spark, tmp_path):
 
 
 def test_map_only_signature_has_no_exchange(spark):
-    plan = minwise.signature(sets.documents(spark, SF), TwoUniversal(16), shape="array")._jdf.queryExecution().executedPlan().toString()
+    docs = tables.load_table(spark, SF, "documents").select(F.col("doc_id").alias("id"), sets.hash_items(sets.shingles(F.col("text"))).alias("items"))
+    plan = minwise.signature(docs, TwoUniversal(16), shape="array")._jdf.queryExecution().executedPlan().toString()
     assert "Exchange" not in plan and "Python" not in plan
 
 
