@@ -5,9 +5,9 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 
-from ..sources.tables import drain
+from ..sources.tables import drain, read_libsvm
 
 
 def bits_minwise(n: int, k: int, width: int = 64) -> int:
@@ -54,3 +54,16 @@ def timed(fn: Callable[[], object]) -> tuple[object, float]:
 def time_plan(df: DataFrame) -> float:
     """Seconds to run a plan into the noop sink."""
     return timed(lambda: drain(df))[1]
+
+
+def time_load(spark: SparkSession, path: str, dims: int) -> float:
+    """Seconds to read interchange text into labelled sparse rows."""
+    return time_plan(read_libsvm(spark, path, dims))
+
+
+def time_preprocess(items: DataFrame, k: int, shape: str = "arrow") -> float:
+    """Seconds to make k minima of each set, vectorised ("arrow") or as a row expression ("array")."""
+    from ..functions.hashing import TwoUniversal
+    from ..functions.minwise import signature
+
+    return time_plan(signature(items, TwoUniversal(k), shape=shape).select("id", "sig"))

@@ -29,8 +29,8 @@ from ..sources.shared import shared_dir, written
 from ..sources.tables import load_table
 
 MAX_TRAIN, K_MAX, TEST = 6_000, 500, 0.2
-#: Bytes of models that go to every task, and bins to which scores are rounded for the AUC (1 / AUC_BINS wide).
-MOST_MODEL_BYTES, AUC_BINS = 1 << 30, 1000
+#: Bytes of models that go to every task at a time (one model has 12 bytes a place, of which the sample lights MAX_TRAIN k at most), and scores in a bin of the AUC (1 / AUC_BINS wide).
+MODEL_BYTES, AUC_BINS = 1 << 27, 1000
 RESULT = "method string, solver string, k int, b int, m int, c double, n_train bigint, n_test bigint, accuracy double, auc double, train_s double, bits_per_row bigint"
 #: The full grid of the accuracy experiments, and the penalties of the comparison with buckets.
 GRID = {"k": (30, 50, 100, 200, 300, 500), "b": (1, 2, 4, 8, 12, 16), "c": learn.PENALTIES}
@@ -168,15 +168,12 @@ def run_cells(spark, rows: DataFrame, cells: list[Cell], cs: tuple[float, ...],
             w = learn.dual_coordinate_all(data, x.y, np.array(cs), loss)
             took = (time.perf_counter() - began) / len(cs)
             lit = (w != 0).any(1)
-            yield pd.DataFrame({"cell": [i], "names": [names[lit].tobytes()], "w": [w[lit].tobytes()], "train_s": [took]})
+            yield pd.DataFrame({"cell": [i], "names": [names[lit].tobytes()], "w": [w[lit].astype(np.float32).tobytes()], "train_s": [took]})
 
-    tasks = spark.createDataFrame([(i,) for i in range(len(cells))], "cell int").repartition(len(cells), "cell")
+    tasks = spark.createDataFrame([(i,) for i in range(len(cells))], "cell int").repartitionByRange(len(cells), "cell")
     fitted = written(tasks.mapInPandas(fit, "cell int, names binary, w binary, train_s double"))
-    if fitted.agg(F.sum(F.length("names") + F.length("w"))).first()[0] > MOST_MODEL_BYTES:
-        raise ValueError("models too large to be sent out: run fewer cells at a time")
-    models = spark.sparkContext.broadcast([(r.cell, np.frombuffer(r.names, np.int64), np.frombuffer(r.w).reshape(-1, len(cs))) for r in fitted.select("cell", "names", "w").collect()])
 
-    def score(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    def score(models, batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashed, stacked = bucket_entries() if wants_buckets else None, bucket_entries()
         for b in (whole.slice(i, 500) for whole in batches for i in range(0, whole.num_rows, 500)):
             x = rows_of(b, hashed)
@@ -188,7 +185,18 @@ def run_cells(spark, rows: DataFrame, cells: list[Cell], cs: tuple[float, ...],
                     count = lambda hit, n=len(key), where=where: np.bincount(where, hit, n).astype(np.int64)
                     yield pa.RecordBatch.from_arrays([pa.array(np.full(len(key), i, np.int32)), pa.array(np.full(len(key), c, np.int32)), pa.array(key), pa.array(count(x.y > 0)), pa.array(count(x.y < 0)), pa.array(count(np.where(m[:, c] >= 0, 1, -1) == x.y))], names=["cell", "ci", "bin", "p", "n", "good"])
 
-    bins = rows.where("part = 'test'").select("y", "items", "sig").mapInArrow(score, "cell int, ci int, bin long, p long, n long, good long")
+    # Some models at a time go out and score all test rows; what comes back is counts.
+    chunks, held_bytes = [[]], 0
+    for r in fitted.select("cell", (F.length("names") + F.length("w")).alias("size")).orderBy("cell").collect():
+        if chunks[-1] and held_bytes + r["size"] > MODEL_BYTES:
+            chunks, held_bytes = [*chunks, []], 0
+        chunks[-1].append(r.cell)
+        held_bytes += r["size"]
+    bins = None
+    for chunk in chunks:
+        models = spark.sparkContext.broadcast([(r.cell, np.frombuffer(r.names, np.int64), np.frombuffer(r.w, np.float32).reshape(-1, len(cs))) for r in fitted.where(F.col("cell").isin(chunk)).select("cell", "names", "w").toLocalIterator()])
+        one = rows.where("part = 'test'").select("y", "items", "sig").mapInArrow(lambda batches, models=models: score(models, batches), "cell int, ci int, bin long, p long, n long, good long")
+        bins = one if bins is None else bins.unionByName(one)
     measured = evaluate.binned_report(bins, "cell", "ci")
     # The cells are a constant list; with their times they are joined to what was measured.
     named = spark.createDataFrame([(i, j, c.method, f"dual_{loss}", c.k, c.b, c.m, v, n_train, c.bits(mean_items)) for i, c in enumerate(cells) for j, v in enumerate(cs)], "cell int, ci int, method string, solver string, k int, b int, m int, c double, n_train bigint, bits_per_row bigint")
@@ -403,15 +411,14 @@ def loading_and_preprocessing(spark, d, k: int = 500):
     items = written(sets.documents(spark, d).where(F.size("items") > 0))  # as many files as cores, for all steps alike
     tables.write_libsvm(items.select(F.lit(1).alias("y"), F.col("items").alias("active")), f"{folder}/text")
     n_items = items.agg(F.sum(F.size("items"))).first()[0] or 0
-    family = TwoUniversal(k)
     steps = [
-        ("load_text", 0, lambda: tables.read_libsvm(spark, f"{folder}/text", sets.RANGE)),
-        ("load_parquet", 0, lambda: items),
-        ("items_from_documents", 0, lambda: sets.documents(spark, d)),
-        ("preprocess_vectorised", n_items * k, lambda: minwise.signature(items, family).select("id", "sig")),
-        ("preprocess_row_expression", n_items * k, lambda: minwise.signature(items, family, shape="array").select("id", "sig")),
+        ("load_text", 0, lambda: cost.time_load(spark, f"{folder}/text", sets.RANGE)),
+        ("load_parquet", 0, lambda: cost.time_plan(items)),
+        ("items_from_documents", 0, lambda: cost.time_plan(sets.documents(spark, d))),
+        ("preprocess_vectorised", n_items * k, lambda: cost.time_preprocess(items, k)),
+        ("preprocess_row_expression", n_items * k, lambda: cost.time_preprocess(items, k, "array")),
     ]
-    took = [(name, cost.time_plan(plan()), hashes) for name, hashes, plan in steps]
+    took = [(name, measure(), hashes) for name, hashes, measure in steps]
     text = took[0][1]
     return spark.createDataFrame([(name, t, h, h / t if h else None, t / text) for name, t, h in took], "step string, seconds double, hashes bigint, hashes_per_s double, ratio_to_text double")
 

@@ -61,6 +61,8 @@ def uniform(role: str, *parts: str) -> str:
 
 def entry(kind: str, s: float, *parts: str) -> str:
     u = uniform("r", *parts)
+    if kind == "normal":
+        return f"(sqrt(-2 * ln({u})) * cos(2 * pi() * {uniform('q', *parts)}))"
     if kind == "sign":
         return f"(case when {u} < 0.5 then -1.0::DOUBLE else 1.0::DOUBLE end)"
     return f"(case when {u} < {1 / (2 * s)!r} then -sqrt({s}) when {u} >= {1 - 1 / (2 * s)!r} then sqrt({s}) else 0.0::DOUBLE end)"
@@ -101,7 +103,8 @@ def sigq(body: str, k: int = 16, of: str | None = None) -> str:
 _LAB = f"lab as (select id, 2 * quality - 1 as y from labels join (select distinct id from sig) on id = doc_id), {CODE(4)}, act as (select id, y, j * 16 + 15 - v as idx from code join (select doc_id as id, 2 * quality - 1 as y from labels) using (id))"
 
 
-def gd(loss: str, steps: int = 2, eta: float = 0.001) -> str:
+def gd(loss: str, steps: int = 2, eta: float = 0.001, head: str | None = None) -> str:
+    """Full gradient steps over act (id, y, idx); head: the tables before it, those of the labelled documents by default."""
     ctes, w = [], "w0"
     ctes.append("w0 as (select distinct idx, 0.0::DOUBLE as w from act)")
     for s in range(steps):
@@ -111,9 +114,11 @@ def gd(loss: str, steps: int = 2, eta: float = 0.001) -> str:
         ctes.append(f"s{s} as (select idx, sum(g) as slope from act join g{s} using (id) group by idx)")
         ctes.append(f"w{s + 1} as (select idx, w - {eta} * (w + slope) as w from {w} join s{s} using (idx))")
         w = f"w{s + 1}"
-    return sigq(f", {_LAB}, {', '.join(ctes)} select idx, round(w, 6) as w from {w}")
+    body = f"{', '.join(ctes)} select idx, round(w, 6) as w from {w}"
+    return sigq(f", {_LAB}, {body}") if head is None else f"with {head}, {body}"
 
 
+_BASKET_ACT = "act as (select id, y, (j * 16 + 15 - (z & 15))::BIGINT as idx from sig join (select c_custkey as id, case when c_mktsegment = 'BUILDING' then 1 else -1 end as y from customer) using (id))"
 _FW = "fw as (select i as idx, (i % 7 - 3) / 8 as w from range(256) t(i))"
 _SCORE = "sc as (select id, y, sum(w) as score from act join fw using (idx) group by id, y)"
 
@@ -160,6 +165,8 @@ ORACLES = {
     "permutation_vs_universal_error": f"with {PAIRS}, {PERM(64)}, {sig('supp', 64, 'tu')}, ps as (select id, j, min(image) as z from supp join perm using (t) group by id, j), " + "e as (" + union(f"select '{n}' as family, coalesce(m, 0) / 64 - r as d from pairs left join (select x.id as id1, y.id as id2, count(*) as m from {t} x join {t} y on x.j = y.j and x.z = y.z and x.id < y.id group by all) using (id1, id2)" for n, t in (("permutation", "ps"), ("two_universal", "tu"))) + ") select family, round(avg(d), 6) as bias, round(avg(d * d), 6) as mse from e group by family",
     "resemblance3": f"with {CUST}, c as (select id, list(t) as s from cust group by id) select x.id as id1, x.id + 1 as id2, x.id + 2 as id3, round(len(list_intersect(list_intersect(x.s, y.s), z.s)) / len(list_distinct(list_concat(list_concat(x.s, y.s), z.s))), 6) as r3 from c x join c y on y.id = x.id + 1 join c z on z.id = x.id + 2",
     "projection_estimate": f"with {EMB}, {MOM}, " + ", ".join(f"v{n} as (select id, j, sum(v * {entry(kind, s, 'i', 'j')}) as v from u, range(16) r(j) group by id, j), e{n} as (select id1, id2, sum(x.v * y.v) as dot from idp join v{n} x on x.id = id1 join v{n} y on y.id = id2 and y.j = x.j group by all)" for n, (kind, s) in enumerate((("sign", 1.0), ("sparse", 3.0)))) + " " + union(f"select id1, id2, '{kind}' as entry, {s}::DOUBLE as s, round(a, 4) as a_true, round(dot / 16, 4) as a_hat, round((m1 * m2 + a * a + ({s} - 3) * q) / 16, 4) as var_theory from mom join e{n} using (id1, id2)" for n, (kind, s) in enumerate((("sign", 1.0), ("sparse", 3.0)))),
+    "projection_normal": f"with {EMB}, {MOM}, v as (select id, j, sum(v * {entry('normal', 3.0, 'i', 'j')}) as v from u, range(16) r(j) group by id, j), e as (select id1, id2, sum(x.v * y.v) as dot from idp join v x on x.id = id1 join v y on y.id = id2 and y.j = x.j group by all) select id1, id2, round(a, 4) as a_true, round(dot / 16, 4) as a_hat from mom join e using (id1, id2)",
+    "resemblance3_estimate": f"with {CUST}, {sig('cust', 64)} select x.id as id1, round(count_if(x.z = y.z and y.z = z.z) / 64, 6) as r3_hat from sig x join sig y on y.id = x.id + 1 and y.j = x.j join sig z on z.id = x.id + 2 and z.j = x.j group by x.id",
     "entry_moments": union(f"select '{kind}' as entry, {s}::DOUBLE as s, round(avg(r), 6) as m1, round(avg(r * r), 6) as m2, round(avg(r * r * r), 6) as m3, round(avg(r * r * r * r), 6) as m4 from (select {entry(kind, s, 'i', '0')} as r from range(20000) t(i))" for kind, s in (("sign", 1.0), ("sparse", 3.0), ("sparse", 16.0))),
     "plain_bucket_estimate": f"with {QTY}, {MOM}, b as (select id, {bucket('i', 64)} as bk, sum(v) as v from u group by all), e as (select id1, id2, sum(x.v * y.v) as dot from idp join b x on x.id = id1 join b y on y.id = id2 and y.bk = x.bk group by all) select mom.id1, mom.id2, 64::INT as k, round(a, 4) as a_true, round(coalesce(dot, 0), 4) as a_hat, round(a + (s1 * s2 - a) / 64, 4) as expected from mom left join e using (id1, id2)",
     "signed_bucket_estimate": f"with {QTY}, {MOM}, " + ", ".join(f"b{n} as (select id, {bucket('i', 64)} as bk, sum(v * {entry(kind, s, 'i')}) as v from u group by all), e{n} as (select id1, id2, sum(x.v * y.v) as dot from idp join b{n} x on x.id = id1 join b{n} y on y.id = id2 and y.bk = x.bk group by all)" for n, (kind, s) in enumerate((("sign", 1.0), ("sparse", 3.0)))) + " " + union(f"select mom.id1, mom.id2, 64::INT as k, {s}::DOUBLE as s, round(a, 4) as a_true, round(coalesce(dot, 0), 3) as a_hat, round(({s} - 1) * q + (m1 * m2 + a * a - 2 * q) / 64, 3) as var_theory from mom left join e{n} using (id1, id2)" for n, (kind, s) in enumerate((("sign", 1.0), ("sparse", 3.0)))),
@@ -169,6 +176,8 @@ ORACLES = {
     "stacked_code_features": sigq(f", {CODE(16)}, act as (select id, j::BIGINT * 65536 + 65535 - v as i from code) select id, {bucket('i', 4096)}::INT as bucket, round(sum({entry('sign', 1.0, 'i')}), 6) as val from act group by all"),
     "logistic_fixed_gd": gd("logistic"),
     "svm_fixed_gd": gd("hinge"),
+    "permutation_fixed_gd": gd("hinge", head=f"{CUST}, {PERM(8)}, sig as (select id, j, min(image) as z from cust join perm using (t) group by id, j), {_BASKET_ACT}"),
+    "universal_fixed_gd": gd("hinge", head=f"{CUST}, {sig('cust', 8)}, {_BASKET_ACT}"),
     "objective_at_fixed_w": sigq(f", {_LAB}, {_FW}, {_SCORE} " + union(f"select '{n}' as loss, 1.0::DOUBLE as c, round((select sum(w * w) / 2 from fw) + sum({e}), 6) as objective from sc" for n, e in (("hinge", "greatest(1 - y * score, 0)"), ("logistic", "ln(1 + exp(-abs(y * score))) + greatest(-y * score, 0)")))),
     "predict_fixed_w": sigq(f", {_LAB}, {_FW}, {_SCORE} select id, y, round(score, 6) as score, case when score >= 0 then 1 else -1 end as pred from sc"),
     "split_assignment": f"select doc_id as id, case when {num('''('7|split|' || doc_id)''', 1000)} < 200 then 'test' else 'train' end as part from documents",

@@ -151,7 +151,8 @@ def test_learner_goes_on_from_its_folder(spark, tmp_path):
 
 
 def test_late_rows_sessions_and_running_sums(spark, tmp_path):
-    rows = [(1, "2024-01-01 00:00:00"), (1, "2024-01-05 00:00:00")], [(1, "2024-01-01 01:00:00"), (2, "2024-01-06 00:00:00")], [(2, "2024-01-08 00:00:00")]
+    # A row is late by the watermark of the batch before last, so a batch on time stands between.
+    rows = [(1, "2024-01-01 00:00:00"), (1, "2024-01-05 00:00:00")], [(2, "2024-01-06 00:00:00")], [(1, "2024-01-01 01:00:00"), (2, "2024-01-08 00:00:00")]
     for part in rows:
         time.sleep(1.1)  # files are read in the order of their times
         spark.createDataFrame([(u, t, u) for u, t in part], "id long, ts string, t long").selectExpr("id", "cast(ts as timestamp) ts", "t").coalesce(1).write.mode("append").parquet(f"{tmp_path}/e")
