@@ -12,6 +12,8 @@ from pyspark.sql import functions as F
 
 #: The default prime 2^31 - 1 and range 2^30: c1 + c2 * t stays below 2^62.
 PRIME, RANGE = (1 << 31) - 1, 1 << 30
+#: Items of a stored permutation at most.
+MOST_STORED = 100_000_000
 
 
 def seeded(seed: int, role: str, j: int) -> int:
@@ -152,12 +154,16 @@ class WideTwoUniversal(Affine):
 
 @dataclass(frozen=True)
 class StoredPermutations:
-    """k permutations of 0..d-1, each the rank of its members by md5: exact, and k * d rows."""
+    """k permutations of 0..d-1, each the rank of its members by md5: exact, and k * d rows. A permutation is ranked in one task, so d has a bound: beyond it permutations are not a method but an obstacle."""
 
     k: int
     d: int
     seed: int = 7
 
+    def __post_init__(self):
+        if self.d > MOST_STORED:
+            raise ValueError(f"permutations of {self.d} items are not stored: {MOST_STORED} at most")
+
     def table(self, spark: SparkSession) -> DataFrame:
         """(j, t, image). Each j is a window of its own: d rows."""
         pairs = spark.range(self.k * self.d).select((F.col("id") / self.d).cast("long").alias("j0"), (F.col("id") % self.d).alias("t")).select(F.col("j0").cast("int").alias("j"), "t")

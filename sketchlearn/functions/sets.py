@@ -16,6 +16,8 @@ from ..sources.tables import load_table, spread
 RANGE = 1 << 30
 #: Words of a text that are cut into n-grams at a time: a long text takes bounded memory.
 WORDS_AT_ONCE = 100_000
+#: Texts in a batch of sets: a set is several times as large as its text.
+ROWS_AT_ONCE = 500
 
 
 def md5_number(text: Column, modulus: int) -> Column:
@@ -78,7 +80,7 @@ def text_items(df: DataFrame, text: str, sizes: tuple[int, ...] = (1, 2, 3), mod
     schema = df.select(*others, F.array().cast("array<bigint>").alias("items")).schema
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
+        for b in (whole.slice(i, ROWS_AT_ONCE) for whole in batches for i in range(0, whole.num_rows, ROWS_AT_ONCE)):
             found = [gram_numbers(t, sizes, modulus) for t in b.column(b.num_columns - 1).cast(pa.binary()).to_pylist()]
             ends = np.cumsum([0, *map(len, found)])
             flat = np.concatenate([np.zeros(0, np.int64), *found])

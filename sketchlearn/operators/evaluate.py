@@ -19,9 +19,15 @@ def accuracy(df: DataFrame, *keys: str) -> DataFrame:
 
 
 def binary_report(df: DataFrame) -> DataFrame:
-    """Confusion counts, precision, recall, F1, balanced accuracy, and AUC from mean ranks of tied scores."""
-    w = Window.orderBy("score")
-    ranked = df.groupBy("score").agg(F.count_if(F.col("y") == 1).alias("p"), F.count_if(F.col("y") == -1).alias("n")).withColumn("below", F.sum("n").over(w) - F.col("n"))
+    """Confusion counts, precision, recall, F1, balanced accuracy, and AUC from mean ranks of tied scores.
+
+    Ranks in two steps: the counts of 64ths of a point are summed up in one small
+    window, the scores inside each in a window of its own.
+    """
+    counted = df.groupBy("score").agg(F.count_if(F.col("y") == 1).alias("p"), F.count_if(F.col("y") == -1).alias("n")).withColumn("g", F.floor(F.col("score") * 64))
+    coarse = counted.groupBy("g").agg(F.sum("n").alias("gn")).withColumn("g_below", F.sum("gn").over(Window.orderBy("g")) - F.col("gn"))
+    inside = counted.withColumn("inside", F.sum("n").over(Window.partitionBy("g").orderBy("score")) - F.col("n"))
+    ranked = inside.join(coarse.select("g", "g_below"), "g").withColumn("below", F.col("g_below") + F.col("inside"))
     auc = ranked.agg((F.sum(F.col("p") * (F.col("below") + F.col("n") / 2)) / F.nullif(F.sum("p") * F.sum("n"), F.lit(0))).alias("auc"))
     hit = lambda y, p: F.count_if((F.col("y") == y) & (F.col("pred") == p))
     c = df.agg(hit(1, 1).alias("tp"), hit(-1, 1).alias("fp"), hit(1, -1).alias("fn"), hit(-1, -1).alias("tn"))

@@ -47,7 +47,8 @@ def supplier_long(spark, d) -> DataFrame:
 
 
 def n_parts(spark, d) -> int:
-    return load_table(spark, d, "part").count()
+    """Size of the universe of part numbers, which begin with 0."""
+    return (load_table(spark, d, "part").agg(F.max("p_partkey")).first()[0] or 0) + 1
 
 
 # ---------------------------------------------------------------- sets and hashing

@@ -7,6 +7,9 @@ import uuid
 
 from pyspark.sql import DataFrame, SparkSession
 
+#: Folders made by this process.
+_made: list[str] = []
+
 
 def shared_dir(spark: SparkSession) -> str:
     """A new folder below spark.checkpoint.dir. Only where that is unset and Spark runs on one machine (tests) a local one is set."""
@@ -19,7 +22,18 @@ def shared_dir(spark: SparkSession) -> str:
             spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints-"))
             jvm = spark.sparkContext._jsc.sc().getCheckpointDir()
         top = jvm.get()
-    return f"{top.rstrip('/')}/tables-{uuid.uuid4().hex[:12]}"
+    path = f"{top.rstrip('/')}/tables-{uuid.uuid4().hex[:12]}"
+    _made.append(path)
+    return path
+
+
+def remove_written(spark: SparkSession) -> int:
+    """Deletes the folders that this process made. For the end of a job: results that were not written elsewhere read from them."""
+    gone = 0
+    while _made:
+        path = spark._jvm.org.apache.hadoop.fs.Path(_made.pop())
+        gone += path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
+    return gone
 
 
 def written(df: DataFrame, spark: SparkSession | None = None) -> DataFrame:

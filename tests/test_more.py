@@ -7,10 +7,10 @@ import pytest
 from pyspark.sql import functions as F
 
 from sketchlearn.functions import bbit, minwise, sets, surface
-from sketchlearn.functions.hashing import PRIME, Affine, TwoUniversal, mersenne_values
+from sketchlearn.functions.hashing import PRIME, Affine, StoredPermutations, TwoUniversal, mersenne_values
 from sketchlearn.operators import learn, neighbors, projections, skew
 from sketchlearn.plans import experiments, relational, workloads
-from sketchlearn.sources import params, tables
+from sketchlearn.sources import params, shared, tables
 from sketchlearn.streaming import streams
 
 SF = "/root/testdata/sf0.001"
@@ -196,3 +196,16 @@ def test_vector_table_equals_the_column(spark):
     df = spark.createDataFrame([(1, [5, 3, 5]), (2, [])], "id long, active array<long>")
     want = {r.id: r.v for r in df.select("id", bbit.to_vector(F.col("active"), 9).alias("v")).collect()}
     assert {r.id: r.features for r in bbit.vector_table(df, F.col("active"), 9).collect()} == want
+
+
+def test_written_folders_can_be_removed(spark, monkeypatch):
+    monkeypatch.setattr(shared, "_made", [])
+    df = shared.written(spark.range(3).toDF("x"))
+    assert df.count() == 3 and shared.remove_written(spark) == 1 and shared.remove_written(spark) == 0
+    with pytest.raises(Exception):
+        spark.read.parquet(df.inputFiles()[0])
+
+
+def test_stored_permutations_have_a_bound():
+    with pytest.raises(ValueError):
+        StoredPermutations(1, 1 << 40)
