@@ -71,3 +71,18 @@ def test_whole_run_equals_brute_force(spark, tmp_path):
     got = {r.doc_id: list(r.ids) for r in pipeline.run(spark, str(tmp_path)).collect()}
     assert got == want
     assert not {6, 7, 8, 9, 12, 13} & set(got) and {10, 11, 14, 15, 16, 17} <= set(got) and out[10] != texts[10]
+
+
+def test_further_columns_pass(spark, tmp_path):
+    """Columns named like those that the stages use themselves."""
+    rows = [(i, f"text {i} " + "word " * 60 * (i % 3), i, "p", f"f{i}", [i], i * 2) for i in range(8)] + [(8, None, None, None, None, None, None)]
+    docs = spark.createDataFrame(rows, "doc_id long, text string, page long, lang string, fp string, said array<int>, n_chars long")
+    none = spark.createDataFrame([], "item_id long, text string, doc_id long, quality int, toxic int").coalesce(1)
+    for name in ("labels", "benchmark"):
+        none.write.parquet(f"{tmp_path}/{name}.parquet")
+    for _, stage in pipeline.STAGES[:-1]:
+        docs = common.written(stage(spark, docs, str(tmp_path)), spark)
+        assert docs.columns == ["doc_id", "text", "page", "lang", "fp", "said", "n_chars"]
+    kept = {r.doc_id: r for r in docs.collect()}
+    assert all(kept[i].fp == f"f{i}" and list(kept[i].said) == [i] and kept[i].page == i for i in kept if i < 8) and kept[8].text is None
+    assert pipeline.STAGES[-1][1](spark, docs, str(tmp_path)).count() == len(kept)
