@@ -2,8 +2,14 @@
 
 Each stage gets what the one before kept, and its decisions take effect: toxic
 documents go, of near duplicates one stays, repeated passages are cut out,
-documents with benchmark passages go, and what is left is encoded. Rows of null
-id pass the duplicate stage (they name no document); empty texts are kept.
+documents with benchmark passages go, and what is left is encoded.
+
+Defined results: rows of null id pass the duplicate stage (they name no
+document); null and empty texts are kept, and encoded to no ids; of rows that
+repeat each other in id and text one stays; an empty table passes all stages as
+an empty table, and without labels or benchmark items nothing is rejected;
+further columns, whatever their names, go through unread up to the last stage,
+whose columns are its own; n_chars follows a text that was cut.
 """
 
 from __future__ import annotations
