@@ -197,7 +197,10 @@ def test_auc_and_report(spark):
     assert (r.tp, r.fp, r.fn, r.tn) == (2, 0, 1, 2) and r.auc == pytest.approx(5.5 / 6)
 
 
-def test_components(spark):
+@pytest.mark.parametrize(("nodes", "pairs"), [(1_000_000, 200_000), (1, 0), (5, 10)])
+def test_components(spark, monkeypatch, nodes, pairs):
+    monkeypatch.setattr(graph, "TASK_NODES", nodes)
+    monkeypatch.setattr(graph, "LOCAL_PAIRS", pairs)
     edges = [(i, i + 1) for i in range(40)] + [(100, 101), (102, 101), (200, 200)]
     got = {r.node: r.root for r in graph.connected_components(spark.createDataFrame(edges, "src long, dst long")).collect()}
     assert {got[i] for i in range(41)} == {0} and got[102] == 100 and got[200] == 200
