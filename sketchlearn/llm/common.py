@@ -57,7 +57,7 @@ def mix64(x: np.ndarray) -> np.ndarray:
     return x
 
 
-_BASE, _CHUNK = 0xD1342543DE82EF95, 1 << 20
+_BASE, _CHUNK, LONG_WORD = 0xD1342543DE82EF95, 1 << 17, 128
 _powers: dict[str, np.ndarray] = {}
 
 
@@ -85,7 +85,8 @@ def word_spans(data: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
 
 
 def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
-    """64-bit hashes of byte spans in order: a polynomial from running sums, then mixed with the length. Works through about 1 MB at a time."""
+    """64-bit hashes of byte spans in order: a polynomial from running sums, then mixed with the length. Works through about 128 KB at a time.
+    Polynomials modulo 2^64 agree on certain words of a thousand letters and more, so words of over LONG_WORD bytes are hashed one by one."""
     out, i, n = np.empty(len(starts), np.uint64), 0, len(starts)
     while i < n:
         low = int(starts[i])
@@ -97,6 +98,8 @@ def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
         a, z = starts[i:j] - low, ends[i:j] - low
         out[i:j] = mix64((sums[z] - sums[a]) * down[a] + (z - a).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15))
         i = j
+    for k in np.nonzero(ends - starts > LONG_WORD)[0].tolist():
+        out[k] = xxhash.xxh3_64_intdigest(np.ascontiguousarray(data[starts[k] : ends[k]]).tobytes())
     return out
 
 
@@ -106,11 +109,19 @@ def task_partition() -> int:
     return TaskContext.get().partitionId()
 
 
-def few_rows_a_batch(spark, most: int = 1000) -> None:
-    """Arrow batches of whole texts: at most so many rows in one, so that long texts take bounded memory on both sides of the pipe (a session setting; a lower one is kept)."""
-    key = "spark.sql.execution.arrow.maxRecordsPerBatch"
-    if not 0 < int(spark.conf.get(key)) <= most:
-        spark.conf.set(key, str(most))
+def as_number(setting: str) -> int:
+    """A setting in bytes or rows: digits, or digits with a unit as in 64MB."""
+    digits = setting.strip().lower().rstrip("b")
+    return int(digits[:-1]) << 10 * ("kmgt".index(digits[-1]) + 1) if digits[-1:] in ("k", "m", "g", "t") else int(digits)
+
+
+def few_rows_a_batch(spark, most: int = 1000, most_bytes: int = 4 << 20) -> None:
+    """Arrow batches of whole texts: at most so many rows and bytes in one, so that long texts and pages take bounded memory on both
+    sides of the pipe. These are session settings, as a lazy result is read later; lower ones are kept."""
+    for key, bound in (("maxRecordsPerBatch", most), ("maxBytesPerBatch", most_bytes)):
+        key = f"spark.sql.execution.arrow.{key}"
+        if not 0 < as_number(spark.conf.get(key)) <= bound:
+            spark.conf.set(key, str(bound))
 
 
 def give_back() -> None:
