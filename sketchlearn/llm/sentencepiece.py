@@ -40,10 +40,14 @@ from .common import REQUEST_ARROW, REQUEST_SCHEMA, answers, buckets_for, few_row
 META = "▁"
 #: Units in the head that goes to every task; characters up to which a unit's lattice is relational (longer ones, which no language has, are folded by the same rule in Python).
 HEAD_UNITS, LONG_UNIT = 262_144, 200
-#: Distinct units that a task remembers having sent.
-REMEMBERED = 1_500_000
+#: Places of a task's memory of units that it has sent: one unit each, the last.
+REMEMBERED = 1 << 20
 #: Characters of a page: its arrays are many times as large.
-PAGE_CHARS = 1_000_000
+PAGE_CHARS = 600_000
+#: Bytes of text for each partition of the distinct units, and partitions at most.
+UNIT_CHARS, MOST_PARTS = 8_000_000, 4_000
+#: Characters that are looked at together when a page is cut into units.
+AT_ONCE = 1 << 17
 #: Page number of rows that offer units of the table rather than ask.
 OFFER = -(1 << 63)
 
@@ -69,18 +73,21 @@ class Spans:
                     self.three[key >> 3] |= 1 << (key & 7)
 
     def cuts(self, code: np.ndarray) -> np.ndarray:
-        """For each place before, between and after the characters: no piece spans it."""
-        cut = np.ones(len(code) + 1, bool)
-        if len(code) > 1:
-            c = self.cls[code]
+        """For each place before, between and after the characters: no piece spans it. Looks at AT_ONCE characters at a time."""
+        cut, n = np.ones(len(code) + 1, bool), len(code)
+        for at in range(0, n - 1, AT_ONCE):
+            # Places at+1 .. at+AT_ONCE: with a character more on either side a triple around each of them is seen whole.
+            low, high = max(0, at - 1), min(n, at + AT_ONCE + 2)
+            c = self.cls[code[low:high]]
             spanned = self.two[c[:-1], c[1:]]
-            if self.three is not None and len(code) > 2:
-                w = c.astype(np.int64)
+            if self.three is not None and len(c) > 2:
+                w = c.astype(np.int32 if self.width**3 < 1 << 31 else np.int64)
                 key = (w[:-2] * self.width + w[1:-1]) * self.width + w[2:]
                 held = ((self.three[key >> 3] >> (key & 7).astype(np.uint8)) & 1).astype(bool)
                 spanned[1:] |= held
                 spanned[:-1] |= held
-            cut[1:-1] = ~spanned
+            end = min(n, at + AT_ONCE + 1)
+            cut[at + 1 : end] = ~spanned[at - low : end - low - 1]
         return cut
 
 
@@ -105,6 +112,9 @@ class Model:
         byte_of = {int(sp.id_to_piece(i)[3:5], 16): i for i in range(n) if sp.is_byte(i)}
         return Model([sp.id_to_piece(i) for i in range(n)], scores, normal, byte_of, min(s for s, x in zip(scores, normal, strict=True) if x) - 10)
 
+    def table(self) -> dict[str, tuple[int, float]]:
+        return {p: (i, float(s)) for i, (p, s, x) in enumerate(zip(self.pieces, self.scores, self.normal, strict=True)) if x}
+
     def longest(self) -> int:
         return max(len(p) for p, x in zip(self.pieces, self.normal, strict=True) if x)
 
@@ -150,11 +160,12 @@ class Units:
 
 
 def probe_tables(keys: np.ndarray) -> list[tuple[int, np.ndarray]]:
-    """Tables from 20 bits of a hash to a key's place; keys whose place is taken go to the next table."""
+    """Tables from some bits of a hash to a key's place; keys whose place is taken go to the next table, which is smaller."""
     out, left, shift = [], np.arange(len(keys)), 0
     while len(left) and shift <= 44:
-        slot = ((keys[left] >> np.uint64(shift)) & np.uint64(0xFFFFF)).astype(np.int64)
-        t = np.full(1 << 20, -1, np.int32)
+        size = 1 << min(20, max(8, int(4 * len(left)).bit_length()))
+        slot = ((keys[left] >> np.uint64(shift)) & np.uint64(size - 1)).astype(np.int64)
+        t = np.full(size, -1, np.int32)
         t[slot[::-1]] = left[::-1]
         out.append((shift, t))
         left = left[t[slot] != left]
@@ -166,7 +177,7 @@ def probe(hashes: np.ndarray, keys: np.ndarray, tables) -> np.ndarray:
     """Places of the hashes among the keys, -1: not there."""
     found = np.full(len(hashes), -1, np.int64)
     for shift, t in tables:
-        at = t[((hashes >> np.uint64(shift)) & np.uint64(0xFFFFF)).astype(np.int64)]
+        at = t[((hashes >> np.uint64(shift)) & np.uint64(len(t) - 1)).astype(np.int64)]
         ok = (at >= 0) & (keys[np.maximum(at, 0)] == hashes)
         found[ok] = at[ok]
     return found
@@ -221,9 +232,15 @@ def encode_units(units: DataFrame, model: Model) -> DataFrame:
     if len(rows) > 1_000_000:
         raise ValueError("a piece table of over a million rows is not broadcast")
     pieces = spark.createDataFrame(pd.DataFrame(rows, columns=["piece", "id", "score"]), "piece string, id int, score double")
+    # How long a piece can be that begins with three given characters: most places of a unit begin none, and offer no longer substrings.
+    first = pd.DataFrame({"prefix": [p[:3] for p, _, _ in rows if len(p) >= 3], "reach": [len(p) for p, _, _ in rows if len(p) >= 3]})
+    reach = spark.createDataFrame(first.groupby("prefix", as_index=False)["reach"].max(), "prefix string, reach int")
     # A long unit has one row here and no lattice; both kinds come out of one reading of the texts.
     fits = F.length("unit") <= LONG_UNIT
-    substrings = units.withColumn("start", F.explode(F.when(fits, F.sequence(F.lit(1), F.length("unit"))).otherwise(F.array(F.lit(1))))).withColumn("size", F.explode(F.when(fits, F.expr(f"sequence(1, least({longest}, length(unit) - start + 1))")).otherwise(F.array(F.lit(1)))))
+    starts = units.withColumn("start", F.explode(F.when(fits, F.sequence(F.lit(1), F.length("unit"))).otherwise(F.array(F.lit(1)))))
+    starts = starts.join(F.broadcast(reach), F.expr("substring(unit, start, 3)") == F.col("prefix"), "left")
+    sizes = F.when(fits, F.expr("sequence(1, least(coalesce(reach, 2), length(unit) - start + 1))")).otherwise(F.array(F.lit(1)))
+    substrings = starts.select("unit", "hash", "n", "start", F.explode(sizes).alias("size"))
     edges = substrings.join(F.broadcast(pieces), F.expr("substring(unit, start, size)") == F.col("piece"), "left").where("id is not null or (start = 1 and size = 1)")  # a row for each unit at least
     grouped = edges.groupBy("unit", "hash", "n").agg(F.collect_list(F.when(F.col("id").isNotNull(), F.struct((F.col("start") + F.col("size") - 1).alias("stop"), (F.col("start") - 1).alias("start"), "id", "score"))).alias("edges"))
     folded = grouped.select("hash", "n", F.when(~fits, F.col("unit")).alias("long"), F.when(fits, F.expr(_FOLD.format(unknown=f"cast({model.unknown_score!r} as double)"))).alias("ids"))
@@ -243,11 +260,17 @@ def encode_units(units: DataFrame, model: Model) -> DataFrame:
 
 
 class Paged:
-    """Texts cut into pages wherever they are read, in the Python worker that uses the pages. A page is named by what it holds: one that a second reading cuts otherwise is missed loudly, never answered wrongly."""
+    """Texts cut into pages wherever they are read, in the Python worker that uses the pages. A page is named by what it holds: one that a second
+    reading cuts otherwise (other executors, other splits) finds no answers under its name, and its units are encoded where it is. Rows that come
+    out of a shuffle have no fixed order and are written first."""
 
     def __init__(self, docs: DataFrame, id_col: str, text_col: str):
         few_rows_a_batch(docs.sparkSession)
-        self.rows = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"))
+        rows = docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string"))
+        self.rows = written(rows) if "Exchange" in rows._jdf.queryExecution().executedPlan().toString() else rows
+
+    def characters(self) -> int:
+        return self.rows.agg(F.sum(F.octet_length(self.rows.columns[1]))).first()[0] or 0
 
     def map(self, fn, schema: str) -> DataFrame:
         return self.rows.mapInArrow(frugal(lambda batches: fn(page_rows(batches, None, PAGE_CHARS))), schema)
@@ -258,21 +281,21 @@ def distinct_units(packed: Paged, model: Model) -> DataFrame:
 
     def send(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         spans = model.spans()
-        sent = np.zeros(0, np.uint64)
+        sent = np.zeros(REMEMBERED, np.uint64)
         for b in batches:
             for head, body in zip(b.column(1).to_pylist(), b.column(2).to_pylist(), strict=True):
                 u = Units(head, body, spans)
                 keys, at, n = np.unique(u.hash, return_index=True, return_counts=True)
-                if len(sent):
-                    j = np.searchsorted(sent, keys)
-                    j[j == len(sent)] = 0
-                    new = sent[j] != keys
-                    keys, at, n = keys[new], at[new], n[new]
-                sent = np.sort(np.concatenate([sent, keys])) if len(sent) < REMEMBERED else keys
+                place = (keys % np.uint64(REMEMBERED)).astype(np.int64)
+                new = sent[place] != keys
+                keys, at, n, place = keys[new], at[new], n[new], place[new]
+                sent[place] = keys
                 text, s, e = u.all, u.starts[at].tolist(), u.ends[at].tolist()
                 yield pa.RecordBatch.from_arrays([pa.array([text[x:y] for x, y in zip(s, e, strict=True)], pa.string()), pa.array(keys.view(np.int64)), pa.array(n.astype(np.int64))], names=["unit", "hash", "n"])
 
-    return packed.map(send, "unit string, hash long, n long").groupBy("unit", "hash").agg(F.sum("n").alias("n"))
+    # Many small partitions: a task sorts the edges of its units.
+    parts = int(np.clip(packed.characters() // UNIT_CHARS, 16, MOST_PARTS))
+    return packed.map(send, "unit string, hash long, n long").repartition(parts, "hash").groupBy("unit", "hash").agg(F.sum("n").alias("n"))
 
 
 RESULT = "doc_id long, n_tokens long, ids array<int>, round_trip boolean"
@@ -344,15 +367,19 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
         own, own_at, own_n, own_ids = head.value
         tables = probe_tables(own)
         raw, raw_at = model.bytes_table()
+        table, longest = None, model.longest()
         for b in batches:
             for h, body, said in zip(*(c.to_pylist() for c in b.columns), strict=True):
-                if said is None:
-                    raise RuntimeError("a page was cut otherwise when the texts were read again")
                 u = Units(h, body, spans)
                 place = probe(u.hash, own, tables)
-                tail = np.unique(u.hash[place < 0])
+                tail, first = np.unique(u.hash[place < 0], return_index=True)
                 sizes, flat = [own_n], [own_ids]
-                for part in said:
+                if said is None:
+                    table = table or model.table()
+                    mine = [model.expand(viterbi(u.all[u.starts[i] : u.ends[i]], table, longest, model.unknown_score)) for i in np.nonzero(place < 0)[0][first].tolist()]
+                    sizes.append(np.array([len(x) for x in mine], np.int64))
+                    flat.append(np.array([y for x in mine for y in x], np.int32))
+                for part in said or []:
                     k = int(np.frombuffer(part, np.int64, 1)[0])
                     sizes.append(np.frombuffer(part, np.int32, k, 8).astype(np.int64))
                     flat.append(np.frombuffer(part, np.int32, -1, 8 + 4 * k))
