@@ -14,7 +14,7 @@ is the log-likelihood of the complete document, however long.
 Counts: each page sends each distinct token once (common.exchange). Training:
 each task passes over all training documents of its pages once, starting from
 the parameters of the round before; the parameters are averaged, weighted by
-tokens, in groups of 64 until few are left. Each page is trained on in one
+tokens, in groups of 64 until one is left. Each page is trained on in one
 round, so all rounds are one pass over the corpus. Vocabulary and network have a
 fixed size; what is counted and learned from grows with the corpus.
 
@@ -411,7 +411,7 @@ def train(packed: DataFrame, vocab: Vocabulary, rounds: int = ROUNDS) -> Network
             if seen:
                 yield pa.RecordBatch.from_arrays([pa.array([seen], pa.int64()), pa.array([own.net.blob()], pa.binary())], names=["n", "blob"])
 
-        part = packed.where(F.pmod(F.xxhash64("page"), F.lit(rounds)) == r) if rounds > 1 else packed
+        part = packed.where(F.pmod(F.xxhash64("ids"), F.lit(rounds)) == r) if rounds > 1 else packed  # by what a page holds, not by where it was made
         net = averaged(part.select("ids", "body").mapInArrow(frugal(work), "n long, blob binary")) or net
     return net
 
@@ -437,17 +437,17 @@ def mean_blob(rows: list[tuple[int, bytes]]) -> tuple[int, bytes]:
 
 
 def averaged(trained: DataFrame) -> Network | None:
-    """Weighted mean of parameters, by groups of about 64 until at most 64 are left for the driver."""
+    """Weighted mean of parameters, by groups of about 64 on executors until one is left: the driver gets one model, however many tasks trained."""
 
     def mean(pdf: pd.DataFrame) -> pd.DataFrame:
-        n, blob = mean_blob(list(zip(pdf["n"].tolist(), pdf["blob"].tolist(), strict=True)))
+        n, blob = mean_blob(sorted(zip(pdf["n"].tolist(), map(bytes, pdf["blob"]), strict=True)))  # sums in one order
         return pd.DataFrame({"n": [n], "blob": [blob]})
 
     rows = written(trained)
-    while (count := rows.count()) > 64:
+    while (count := rows.count()) > 1:
         rows = written(rows.groupBy(F.pmod(F.xxhash64("n", "blob"), F.lit(-(-count // 64))).alias("g")).applyInPandas(mean, "n long, blob binary"))
-    last = sorted((r.n, bytes(r.blob)) for r in rows.collect())
-    return Network(blob=mean_blob(last)[1]) if last else None
+    last = rows.first()
+    return Network(blob=bytes(last.blob)) if last else None
 
 
 RESULT = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
