@@ -6,9 +6,9 @@ the log-odds of the categories before it. In training these come from models
 that did not see the row (out of fold), so that later models meet earlier
 predictions as good or bad as they will be on new texts.
 
-The chain is fitted on the driver on a bounded sample of labelled rows
-(`max_rows`, chosen by a hash of the id, a documented bound); scoring reads every
-text whole, in one map-only pass.
+The chain is fitted in one task on a bounded sample of labelled rows
+(`max_rows`, chosen by a hash of the id, a documented bound), whose texts become
+vectors where they are read; scoring reads every text whole, in one map-only pass.
 
 Defined results: a null or empty text scores as a text without words; labels
 that are null, or of documents that are not there, are unused; of repeated
@@ -18,16 +18,18 @@ category its probability is the share of ones; without labels it is 0.
 
 from __future__ import annotations
 
+import pickle
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import alnum_words, few_rows_a_batch, frugal
+from .common import alnum_words, few_rows_a_batch, frugal, frugal_group, written
 
 #: Order of the chain; each is a column of `labels` turned into 0/1 by LABELS.
 CATEGORIES = ("low_quality", "toxic")
@@ -162,13 +164,17 @@ def fit_chain(texts: list[str | None], keys: list[int], y: np.ndarray, categorie
     each: how many labelled rows a row stands for. Thresholds: of the out-of-fold log-odds, the cut with the highest F1 over all rows that the sample stands for.
     """
     cache = Features()
-    each = np.ones(len(texts)) if each is None else each
-    vectors = [vector(t, cache) for t in texts]
+    return fit_vectors([vector(t, cache) for t in texts], keys, y, categories, each)
+
+
+def fit_vectors(vectors: list[tuple[np.ndarray, np.ndarray]], keys: list[int], y: np.ndarray, categories: tuple[str, ...] = CATEGORIES, each: np.ndarray | None = None) -> Chain:
+    """fit_chain() of texts that are vectors already."""
+    each = np.ones(len(vectors)) if each is None else each
     fold = np.array([k % FOLDS for k in keys], np.int64)
-    everything, earlier = Rows(vectors), np.zeros((len(texts), 0))
+    everything, earlier = Rows(vectors), np.zeros((len(vectors), 0))
     models, cuts = [], []
     for j in range(len(categories)):
-        out = np.zeros(len(texts))
+        out = np.zeros(len(vectors))
         for f in range(FOLDS):
             a, b = np.nonzero(fold != f)[0], np.nonzero(fold == f)[0]
             if len(b):
@@ -205,13 +211,36 @@ def labelled_sample(docs: DataFrame, labels: DataFrame, max_rows: int) -> DataFr
     by_hash = lambda toxic, n: said.where(F.col("toxic") == toxic).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n).withColumn("each", F.lit(max(1.0, total.get(toxic, 0) / max(n, 1))))
     chosen = by_hash(1, max_rows // 2).unionByName(by_hash(0, max_rows - max_rows // 2))
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).join(F.broadcast(chosen), "doc_id")
-    return rows.withColumn("key", F.xxhash64("text")).orderBy("key", "doc_id").limit(max_rows)
+    return rows.withColumn("key", F.xxhash64("text"))
+
+
+def vectorised(sample: DataFrame) -> DataFrame:
+    """(key, doc_id, low_quality, toxic, each, ids, vals): the texts as sparse vectors, made where they are read."""
+    names = ["key", "doc_id", *CATEGORIES, "each"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cache = Features()
+        for b in batches:
+            made = [vector(t, cache) for t in b.column(len(names)).to_pylist()]
+            yield pa.RecordBatch.from_arrays([*b.columns[: len(names)], pa.array([i.astype(np.int32).tobytes() for i, _ in made], pa.binary()), pa.array([v.tobytes() for _, v in made], pa.binary())], names=[*names, "ids", "vals"])
+
+    wide = sample.select("key", "doc_id", *(F.col(c).cast("double").alias(c) for c in CATEGORIES), F.col("each").cast("double").alias("each"), "text")
+    return wide.mapInArrow(frugal(run), "key long, doc_id long, " + "".join(f"{c} double, " for c in CATEGORIES) + "each double, ids binary, vals binary")
 
 
 def fitted(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS) -> Chain:
+    """The chain, fitted in one task on the sample's vectors (max_rows at most); the driver gets the model alone."""
     few_rows_a_batch(docs.sparkSession)
-    sample = labelled_sample(docs, labels, max_rows).select("key", "low_quality", "toxic", "text", "each").toPandas()
-    return fit_chain(sample["text"].tolist(), [int(k) & 0x7FFFFFFF for k in sample["key"]], sample[list(CATEGORIES)].to_numpy(np.float64), each=sample["each"].to_numpy(np.float64))
+    sample = written(vectorised(labelled_sample(docs, labels, max_rows)).orderBy("key", "doc_id", "ids").limit(max_rows))
+
+    def fit(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["key", "doc_id"], kind="stable", ignore_index=True)
+        vectors = [(np.frombuffer(i, np.int32), np.frombuffer(v, np.float32)) for i, v in zip(pdf["ids"], pdf["vals"], strict=True)]
+        chain = fit_vectors(vectors, [int(k) & 0x7FFFFFFF for k in pdf["key"]], pdf[list(CATEGORIES)].to_numpy(np.float64), each=pdf["each"].to_numpy(np.float64))
+        return pd.DataFrame({"chain": [pickle.dumps(chain)]})
+
+    made = sample.groupBy().applyInPandas(frugal_group(fit), "chain binary").collect()
+    return pickle.loads(bytes(made[0].chain)) if made else fit_vectors([], [], np.zeros((0, len(CATEGORIES))))
 
 
 def classify(docs: DataFrame, labels: DataFrame, max_rows: int = MAX_ROWS, train_docs: DataFrame | None = None) -> DataFrame:
