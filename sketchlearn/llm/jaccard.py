@@ -248,7 +248,10 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
     one = F.lit(0).cast("long")
     tasks = cand.join(small, "id").withColumns({"own": one, "i": one, "j": one}).select(*wide)
     if large.limit(1).count():
-        tasks = tasks.unionByName(cand.join(_block_pairs(cand, tied.join(stars, "token").select("id", "token"), placed), ["id", "fp"]).select(*wide))
+        dealt = written(_block_pairs(cand, tied.join(stars, "token").select("id", "token"), placed))
+        if dealt.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST:  # so that the sets themselves are shuffled once, to their tasks
+            dealt = F.broadcast(dealt)
+        tasks = tasks.unionByName(cand.join(dealt, ["id", "fp"]).select(*wide))
     bytes_held = cand.agg(F.sum(F.length("held"))).first()[0] or 0
 
     def solve(pdf: pd.DataFrame) -> pd.DataFrame:
@@ -280,7 +283,7 @@ def _block_pairs(cand: DataFrame, tied: DataFrame, placed: DataFrame) -> DataFra
     of its blocks.
     """
     sets = cand.select("id", "fp", "g").join(placed.where("blocks > 1"), "id").withColumn("bucket", F.pmod(F.xxhash64("g"), F.col("blocks")))
-    parts = sets.groupBy("family", "bucket").agg(F.ceil(F.count(F.lit(1)) / BLOCK).alias("parts"))
+    parts = sets.groupBy("family", "bucket").agg(F.ceil(F.count(F.lit(1)) / (2 * BLOCK)).alias("parts"))  # of about BLOCK sets each; up to twice as many stay together
     own = F.col("bucket") * (1 << 32) + F.pmod(F.xxhash64("fp"), F.col("parts"))
     blocked = written(sets.join(parts, ["family", "bucket"]).select("id", "fp", "family", own.alias("own")))
     met = written(tied.join(blocked.select("id", "family", "own"), "id").select("family", "token", "own").distinct())
