@@ -32,6 +32,7 @@ from pathlib import Path
 import numpy as np
 import pandas as pd
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -159,25 +160,30 @@ class Units:
         self.first_unit = np.searchsorted(self.starts, self.doc_start)
 
 
-def probe_tables(keys: np.ndarray) -> list[tuple[int, np.ndarray]]:
-    """Tables from some bits of a hash to a key's place; keys whose place is taken go to the next table, which is smaller."""
-    out, left, shift = [], np.arange(len(keys)), 0
-    while len(left) and shift <= 44:
+def _slots(hashes: np.ndarray, turn: int, size: int) -> np.ndarray:
+    """Places in the table of a turn: the hash times an odd number of that turn, its upper bits."""
+    odd = np.uint64(xxhash.xxh3_64_intdigest(turn.to_bytes(4, "little")) | 1)
+    return ((hashes * odd) >> np.uint64(65 - size.bit_length())).astype(np.int64)
+
+
+def probe_tables(keys: np.ndarray) -> list[np.ndarray]:
+    """Tables from some bits of a hash to a key's place; keys whose place is taken go to the next table, which is smaller, until every key has a place."""
+    out, left = [], np.sort(np.unique(keys, return_index=True)[1])
+    while len(left):
         size = 1 << min(20, max(8, int(4 * len(left)).bit_length()))
-        slot = ((keys[left] >> np.uint64(shift)) & np.uint64(size - 1)).astype(np.int64)
+        slot = _slots(keys[left], len(out), size)
         t = np.full(size, -1, np.int32)
         t[slot[::-1]] = left[::-1]
-        out.append((shift, t))
+        out.append(t)
         left = left[t[slot] != left]
-        shift += 11
     return out
 
 
-def probe(hashes: np.ndarray, keys: np.ndarray, tables) -> np.ndarray:
+def probe(hashes: np.ndarray, keys: np.ndarray, tables: list[np.ndarray]) -> np.ndarray:
     """Places of the hashes among the keys, -1: not there."""
     found = np.full(len(hashes), -1, np.int64)
-    for shift, t in tables:
-        at = t[((hashes >> np.uint64(shift)) & np.uint64(len(t) - 1)).astype(np.int64)]
+    for turn, t in enumerate(tables):
+        at = t[_slots(hashes, turn, len(t))]
         ok = (at >= 0) & (keys[np.maximum(at, 0)] == hashes)
         found[ok] = at[ok]
     return found
@@ -352,7 +358,10 @@ def encode(docs: DataFrame, model_path: str, id_col: str = "doc_id", text_col: s
         begins, order = np.cumsum(sizes) - sizes, np.argsort(keys)
         said = []
         for k in asked["keys"]:
-            at = order[np.searchsorted(keys[order], np.frombuffer(k, np.uint64))] if len(k) else np.zeros(0, np.int64)
+            at, k = np.searchsorted(keys[order], np.frombuffer(k, np.uint64)), np.frombuffer(k, np.uint64)
+            if len(k) and (not len(keys) or (keys[order[np.minimum(at, len(keys) - 1)]] != k).any()):
+                raise ValueError("a unit was asked for that nobody offered")
+            at = order[at]
             said.append(sizes[at].astype(np.int32).tobytes() + ragged(flat, begins[at], sizes[at]).astype(np.int32).tobytes())
         return pd.DataFrame({"page": asked["page"], "bucket": asked["bucket"], "said": [np.int64(len(k) // 8).tobytes() + x for k, x in zip(asked["keys"], said, strict=True)]})
 

@@ -526,3 +526,12 @@ def test_top_k_of_odd_vectors_and_pruning(spark):
     rows = [(i, (rng.normal(size=8) * 0.01 + np.eye(8)[i % 8] * 4).tolist()) for i in range(800)]
     kept = topk.pruned(spark.createDataFrame(rows, "vec_id long, embedding array<double>"), F.col("vec_id") % 100 == 0).first()
     assert 0 < kept.meetings < kept.all_meetings / 2
+
+
+def test_every_unit_of_the_head_is_found():
+    keys = np.random.default_rng(1).integers(0, 1 << 64, sentencepiece.HEAD_UNITS, dtype=np.uint64)
+    tables = sentencepiece.probe_tables(keys)
+    assert (sentencepiece.probe(keys, keys, tables) == np.arange(len(keys))).all()  # two were lost
+    assert (sentencepiece.probe(keys[:1000] + np.uint64(1), keys, tables) == -1).all()
+    twice = np.array([5, 5, 7], np.uint64)
+    assert sentencepiece.probe(twice, twice, sentencepiece.probe_tables(twice)).tolist() == [0, 0, 2]
