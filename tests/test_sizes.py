@@ -1,6 +1,8 @@
 """Queries as they run over larger tables: what they read, ties of rounding, and shapes that stay small."""
 
+import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from sketchlearn.plans import workloads
 
@@ -10,3 +12,9 @@ from .oracle import SF
 @pytest.mark.parametrize("name", ["worked_example", "hash_parameters", "hash_parameters_source", "entry_moments"])
 def test_queries_read_a_table(spark, name):
     assert workloads.QUERIES[name](spark, SF).inputFiles()
+
+
+def test_ties_round_as_in_sql(spark):
+    got = [r.x for r in spark.range(2, 3000).select(workloads.near6(F.col("id") / 1_200_000, "x")).collect()]
+    want = duckdb.sql("select round(n::DOUBLE / 1200000, 6) as x from range(2, 3000) t(n) order by n").fetchall()
+    assert got == [x for (x,) in want]
