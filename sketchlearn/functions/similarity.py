@@ -2,8 +2,16 @@
 
 from __future__ import annotations
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
+
+from ..sources.shared import written
+
+#: Ids in a block of pairs (a power of two), and pairs compared at a time.
+PAIR_BLOCK, PAIRS_AT_ONCE = 512, 1 << 14
 
 
 def resemblance(a: Column, b: Column) -> Column:
@@ -29,6 +37,46 @@ def matches(s1: Column, s2: Column) -> Column:
     return F.aggregate(F.zip_with(s1, s2, lambda x, y: (x == y).cast("int")), F.lit(0), lambda n, x: n + x)
 
 
+def pair_matches(pairs: DataFrame, signed: DataFrame, bits: tuple[int, ...] = (0,)) -> DataFrame:
+    """pairs (id1, id2, ...; a written table) whose two ids have a signature, with matches array<long>: in how many places the signatures agree, whole (0) or in their lowest bits.
+
+    A signature goes once to each pair of blocks of ids that holds pairs, not to each pair; such a pair of blocks has at most PAIR_BLOCK squared pairs and is compared in numpy.
+    """
+    shift = PAIR_BLOCK.bit_length() - 1
+    block = lambda c: F.shiftright(F.col(c).cast("long"), shift)
+    dealt = pairs.withColumns({"b1": block("id1"), "b2": block("id2")})
+    ends = dealt.select(F.col("b1").alias("c1"), F.col("b2").alias("c2")).distinct().withColumn("b", F.explode(F.array_distinct(F.array("c1", "c2"))))
+    held = signed.where("sig is not null").select(F.col("id").cast("long").alias("id"), "sig", block("id").alias("b"))
+    names = pairs.columns
+
+    def compare(left: pa.Table, right: pa.Table) -> pa.Table:
+        ids = right.column("id").to_numpy()
+        order = np.argsort(ids)
+        if not len(ids):
+            return left.select(names).slice(0, 0).append_column("matches", pa.array([], pa.list_(pa.int64())))
+        sig = right.column("sig").combine_chunks().flatten().to_numpy(zero_copy_only=False).reshape(len(ids), -1)[order]
+        ids = ids[order]
+        x, y = (np.searchsorted(ids, left.column(c).to_numpy()) for c in ("id1", "id2"))
+        last = len(ids) - 1
+        both = (ids[np.minimum(x, last)] == left.column("id1").to_numpy()) & (ids[np.minimum(y, last)] == left.column("id2").to_numpy())
+        x, y = x[both], y[both]
+        found = np.zeros((len(x), len(bits)), np.int64)
+        for i in range(0, len(x), PAIRS_AT_ONCE):
+            differ = sig[x[i : i + PAIRS_AT_ONCE]] ^ sig[y[i : i + PAIRS_AT_ONCE]]
+            for k, b in enumerate(bits):
+                found[i : i + PAIRS_AT_ONCE, k] = ((differ & ((1 << b) - 1) if b else differ) == 0).sum(1)
+        lists = pa.ListArray.from_arrays(pa.array(np.arange(len(x) + 1) * len(bits), pa.int32()), pa.array(found.ravel()))
+        return left.select(names).filter(pa.array(both)).append_column("matches", lists)
+
+    schema = T.StructType([*pairs.schema.fields, T.StructField("matches", T.ArrayType(T.LongType()))])
+    return dealt.groupBy("b1", "b2").cogroup(ends.join(held, "b").groupBy("c1", "c2")).applyInArrow(compare, schema)
+
+
+def sized_pairs(long: DataFrame) -> DataFrame:
+    """resemblance_pairs, written once: ids and counts are kept, the resemblance is taken from them."""
+    return written(resemblance_pairs(long).drop("r")).withColumn("r", F.col("a") / (F.col("f1") + F.col("f2") - F.col("a")))
+
+
 def match_fraction(s1: Column, s2: Column) -> Column:
     return matches(s1, s2) / F.size(s1)
 

@@ -1,10 +1,14 @@
 """Queries as they run over larger tables: what they read, ties of rounding, and shapes that stay small."""
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
+from sketchlearn.functions import minwise, similarity
+from sketchlearn.functions.hashing import StoredPermutations
 from sketchlearn.plans import workloads
+from sketchlearn.sources import shared
 
 from .oracle import SF
 
@@ -18,3 +22,24 @@ def test_ties_round_as_in_sql(spark):
     got = [r.x for r in spark.range(2, 3000).select(workloads.near6(F.col("id") / 1_200_000, "x")).collect()]
     want = duckdb.sql("select round(n::DOUBLE / 1200000, 6) as x from range(2, 3000) t(n) order by n").fetchall()
     assert got == [x for (x,) in want]
+
+
+@pytest.mark.parametrize("block", [512, 2])
+def test_matches_of_pairs_and_permuted_signatures(spark, block, monkeypatch):
+    monkeypatch.setattr(similarity, "PAIR_BLOCK", block)
+    rng = np.random.default_rng(4)
+    items = {i: sorted(rng.choice(60, 12, replace=False).tolist()) for i in range(-3, 9)} | {20: [70], 21: []}  # 70 has no image
+    perms = StoredPermutations(7, 60)
+    held = shared.written(spark.createDataFrame(list(items.items()), "id long, items array<long>"))
+    want = {i: {} for i in items}
+    for r in minwise.signature_by_lookup(held.select("id", F.explode("items").alias("t")), perms).collect():
+        want[r.id][r.j] = r.z
+    want = {i: [z[j] for j in range(7)] for i, z in want.items() if z}
+    monkeypatch.setattr(minwise, "IMAGE_BYTES", 3 * 4 * 60)  # three permutations at a time
+    signed = minwise.permuted_signature(held, perms)
+    assert {r.id: r.sig for r in signed.collect()} == want
+    pairs = shared.written(spark.createDataFrame([(a, b, a * b) for a in items for b in items if a < b], "id1 long, id2 long, x long"))
+    found = similarity.pair_matches(pairs, signed, (0, 2))
+    got = {(r.id1, r.id2): (r.x, *r.matches) for r in found.collect()}
+    same = lambda a, b, m: sum(x & m == y & m for x, y in zip(want[a], want[b], strict=True))
+    assert got == {(a, b): (a * b, same(a, b, -1), same(a, b, 3)) for a in want for b in want if a < b}
