@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from sketchlearn.functions import minwise, similarity
 from sketchlearn.functions.hashing import StoredPermutations
+from sketchlearn.operators import neighbors
 from sketchlearn.plans import workloads
 from sketchlearn.sources import shared
 
@@ -43,3 +44,19 @@ def test_matches_of_pairs_and_permuted_signatures(spark, block, monkeypatch):
     got = {(r.id1, r.id2): (r.x, *r.matches) for r in found.collect()}
     same = lambda a, b, m: sum(x & m == y & m for x, y in zip(want[a], want[b], strict=True))
     assert got == {(a, b): (a * b, same(a, b, -1), same(a, b, 3)) for a in want for b in want if a < b}
+
+
+@pytest.mark.parametrize("family", [512, 2])
+def test_near_copies_are_verified_by_family_without_stored_items(spark, family, monkeypatch):
+    monkeypatch.setattr(neighbors, "FAMILY", family)
+    rng = np.random.default_rng(6)
+    base = [sorted(rng.choice(5000, 40, replace=False).tolist()) for _ in range(3)]
+    rows = {20 * i + c: sorted({*b[c % 4 :], 6000 + c % 4}) for i, b in enumerate(base) for c in range(12)}
+    df = spark.createDataFrame([(i, x, [sum(base[i // 20][:3])] * 16) for i, x in rows.items()], "id long, items array<long>, sig array<long>")
+    assert "items" not in neighbors.described(df, 8, 2).columns
+    r = lambda a, b: len({*rows[a]} & {*rows[b]}) / len({*rows[a]} | {*rows[b]})
+    rep = {i: min(j for j in rows if rows[j] == x) for i, x in rows.items()}
+    want = sorted([(a, b, round(r(a, b), 9)) for a in rows for b in rows if a < b and rep[a] == a and rep[b] == b and a // 20 == b // 20 and r(a, b) >= 0.8] + [(rep[i], i, 1.0) for i in rows if rep[i] != i])
+    got = neighbors.near_classes(df, 8, 2, 0.8).collect()
+    assert sorted((x.id1, x.id2, round(x.r, 9)) for x in got) == want and len(want) > 30
+    assert {x.matches for x in got} == {16}
