@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 from sketchlearn.functions import minwise, similarity
 from sketchlearn.functions.hashing import StoredPermutations
 from sketchlearn.operators import neighbors
-from sketchlearn.plans import workloads
+from sketchlearn.plans import experiments, workloads
 from sketchlearn.sources import shared
 
 from .oracle import SF
@@ -60,3 +60,13 @@ def test_near_copies_are_verified_by_family_without_stored_items(spark, family,
     got = neighbors.near_classes(df, 8, 2, 0.8).collect()
     assert sorted((x.id1, x.id2, round(x.r, 9)) for x in got) == want and len(want) > 30
     assert {x.matches for x in got} == {16}
+
+
+def test_images_of_a_large_dictionary_come_one_at_a_time():
+    assert experiments.MOST_WORDS > 1_000_000
+    for family in ("permutation", "two_universal"):
+        images = experiments.family_images(family, 3, 50, 2_000_000)
+        assert iter(images) is images and len(next(images)) == 2_000_000
+    a, b = experiments.family_images("permutation", 3, 2, 9)
+    rng = np.random.default_rng([7, 3])
+    assert a.tolist() == rng.permutation(9).tolist() and b.tolist() == rng.permutation(9).tolist()
