@@ -528,6 +528,25 @@ def test_top_k_of_odd_vectors_and_pruning(spark):
     assert 0 < kept.meetings < kept.all_meetings / 2
 
 
+def test_top_k_sends_queries_once_to_a_part(spark, monkeypatch):
+    monkeypatch.setattr(topk, "LEAST_PART", 40)
+    monkeypatch.setattr(topk, "PART_BYTES", 40 * 8 * 6)
+    monkeypatch.setattr(topk, "ASKED_BYTES", 8 * 6 * 5)
+    monkeypatch.setattr(topk, "SCORES", 100)
+    rng = np.random.default_rng(12)
+    vecs = [(i, rng.normal(size=6).tolist()) for i in range(400)] + [(400 + i, [40.5] + [0.5] * 5) for i in range(150)]
+    whole = np.array([np.floor(1024 * np.array(v)) for _, v in vecs]).astype(np.int64)
+    scores, want = whole @ whole.T, []
+    for q in range(0, 550, 20):
+        order = sorted((-int(s), i) for i, s in enumerate(scores[q]) if i != q)[:10]
+        want += [(q, k + 1, i, -s) for k, (s, i) in enumerate(order)]
+    _, _, found = topk._join(spark.createDataFrame(vecs, "vec_id long, embedding array<double>"), F.col("vec_id") % 20 == 0)
+    plan = found._jdf.queryExecution().executedPlan().toString()
+    assert "CoGroup" in plan and "Broadcast" not in plan and "Join" not in plan  # blocks of queries went out once a block of a cell, and to the driver where Spark took them for small
+    got = topk.top_k(spark.createDataFrame(vecs, "vec_id long, embedding array<double>"), F.col("vec_id") % 20 == 0).collect()
+    assert sorted(map(tuple, got)) == sorted(want)
+
+
 def test_every_unit_of_the_head_is_found():
     keys = np.random.default_rng(1).integers(0, 1 << 64, sentencepiece.HEAD_UNITS, dtype=np.uint64)
     tables = sentencepiece.probe_tables(keys)
