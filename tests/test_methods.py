@@ -1,3 +1,4 @@
+import hashlib
 import itertools
 import math
 from fractions import Fraction
@@ -8,7 +9,7 @@ from hypothesis import given, settings
 from hypothesis import strategies as st
 from pyspark.sql import functions as F
 
-from sketchlearn.functions import bbit, minwise, sets, similarity, surface
+from sketchlearn.functions import bbit, digests, minwise, sets, similarity, surface
 from sketchlearn.functions.hashing import Affine, MersenneTwoUniversal, MultiplyShift, StoredPermutations, TwoUniversal, WideTwoUniversal
 from sketchlearn.operators import cost, evaluate, expand, graph, learn, neighbors, projections
 from sketchlearn.sources import tables
@@ -264,3 +265,22 @@ def test_near_pairs_are_all_pairs_of_a_bucket(spark, block, monkeypatch):
     for x in neighbors.clusters(neighbors.near_links(df, 8, 2, 0.8)).collect():
         root[x.id] = x.cluster_id
     assert root == {x.node: x.root for x in graph.connected_components(spark.createDataFrame([w[:2] for w in want], "src long, dst long")).collect()}
+
+
+def test_sizes_of_products_equal_the_products(spark):
+    rng = np.random.default_rng(3)
+    wide = [sorted({int(10 ** rng.uniform(0, 7)) - 1 for _ in range(12)}) for _ in range(20)]
+    rows = [(i, x) for i, x in enumerate([*wide, [], [5], [1, 2], [-7, 3, 4, 9_999_999], [1, 10**12, 5, 77], list(range(70))])]
+    df = spark.createDataFrame(rows, "id long, items array<long>")
+    for rate in (1, 3):
+        want = {r.id: r["count"] for r in expand.feature_products(df, triple_rate=rate).groupBy("id").count().collect()}
+        assert {r.id: r.f for r in expand.product_sizes(df, rate).collect()} == want
+
+
+def test_digests_of_many_texts():
+    texts = [bytes(range(1, n + 1)) for n in range(digests.ONE_BLOCK + 1)]
+    block = np.zeros((len(texts), 64), np.uint8)
+    for i, t in enumerate(texts):
+        block[i, : len(t)] = np.frombuffer(t, np.uint8)
+    want = [int(hashlib.md5(t).hexdigest()[:13], 16) for t in texts]
+    assert digests.md5_upper(block, np.array([len(t) for t in texts])).tolist() == want
