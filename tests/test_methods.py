@@ -284,3 +284,15 @@ def test_digests_of_many_texts():
         block[i, : len(t)] = np.frombuffer(t, np.uint8)
     want = [int(hashlib.md5(t).hexdigest()[:13], 16) for t in texts]
     assert digests.md5_upper(block, np.array([len(t) for t in texts])).tolist() == want
+
+
+def test_texts_hashed_together_equal_each_by_itself(monkeypatch):
+    monkeypatch.setattr(sets, "WORDS_AT_ONCE", 50)
+    rng = np.random.default_rng(5)
+    texts = [b" ".join(b"w%d" % (10 ** rng.integers(0, 9)) for _ in range(n)) for n in (0, 1, 2, 3, 20, 45, 0, 30, 60, 130)] + [b"x" * 60 + b" y \xc3\xa9 " + b"z" * 54, b"  a  a a ", b""]
+    for n, modulus in (((1, 2, 3), sets.RANGE), ((2,), 97)):
+        flat, counts = sets.many_gram_numbers(texts, n, modulus)
+        want = [sorted({int(hashlib.md5(b" ".join(w[i : i + k])).hexdigest()[:13], 16) % modulus for k in n for i in range(len(w) - k + 1)}) for w in (t.split() for t in texts)]
+        assert np.split(flat, np.cumsum(counts)[:-1])[3].tolist() == want[3]
+        assert [x.tolist() for x in np.split(flat, np.cumsum(counts)[:-1])] == want
+    assert sets.many_gram_numbers([])[0].tolist() == []
