@@ -77,7 +77,7 @@ def kinds(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
 
 def distinct_tokens(t: Tokens) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Sorted distinct hashes, training counts times 256 plus kind, and where each token went."""
-    order = np.argsort(t.hash, kind="stable")
+    order = np.argsort(t.hash)  # equal hashes are alike in all that is read of them
     s = t.hash[order]
     new = np.ones(len(s), bool)
     new[1:] = s[1:] != s[:-1]
@@ -188,19 +188,22 @@ class Network:
         """Log-probabilities of the targets; with learn, gradients of their negative mean for states and output weights."""
         p, n = self.p, len(h)
         cls, word = target >> 6, target & 63
-        logits = h @ p["Wc"] + p["bc"]
-        logits -= logits.max(1, keepdims=True)
-        e = np.exp(logits)
-        total = e.sum(1)
+        # Outputs lie in rows and tokens in columns, so that largest values and sums go along whole rows.
+        logits = p["Wc"].T @ h.T
+        logits += p["bc"][:, None]
+        logits -= logits.max(0)
         rows = np.arange(n)
-        logp = logits[rows, cls] - np.log(total)
+        logp = logits[cls, rows]
+        e = np.exp(logits, out=logits)
+        total = e.sum(0)
+        logp -= np.log(total)
         grads, dh = {}, None
         if learn:
-            e /= total[:, None]
-            e[rows, cls] -= 1
+            e /= total
+            e[cls, rows] -= 1
             e /= n
-            dh = e @ p["Wc"].T
-            grads = {"Wc": h.T @ e, "bc": e.sum(0), "Ww": np.zeros_like(p["Ww"]), "bw": np.zeros_like(p["bw"])}
+            dh = e.T @ p["Wc"].T
+            grads = {"Wc": (e @ h).T, "bc": e.sum(1), "Ww": np.zeros_like(p["Ww"]), "bw": np.zeros_like(p["bw"])}
         order = np.argsort(cls.astype(np.uint8), kind="stable")
         cuts = np.searchsorted(cls[order], np.arange(OUTPUTS + 1)).tolist()
         hs, ws = h[order], word[order]
@@ -209,21 +212,21 @@ class Network:
             i, j = cuts[k], cuts[k + 1]
             if i == j:
                 continue
-            hk, wk = hs[i:j], ws[i:j]
-            g = hk @ p["Ww"][k]
-            g += p["bw"][k]
-            g -= g.max(1, keepdims=True)
-            top = g[np.arange(j - i), wk]
+            hk, wk, own = hs[i:j], ws[i:j], rows[: j - i]
+            g = p["Ww"][k].T @ hk.T
+            g += p["bw"][k][:, None]
+            g -= g.max(0)
+            top = g[wk, own]
             np.exp(g, out=g)
-            s = g.sum(1)
+            s = g.sum(0)
             within[i:j] = top - np.log(s)
             if learn:
-                g /= s[:, None]
-                g[np.arange(j - i), wk] -= 1
-                g /= n
-                dsorted[i:j] = g @ p["Ww"][k].T
-                grads["Ww"][k] = hk.T @ g
-                grads["bw"][k] = g.sum(0)
+                s *= n
+                g /= s
+                g[wk, own] -= 1 / n
+                dsorted[i:j] = g.T @ p["Ww"][k].T
+                grads["Ww"][k] = (g @ hk).T
+                grads["bw"][k] = g.sum(1)
         logp[order] += within
         if learn:
             dh[order] += dsorted
