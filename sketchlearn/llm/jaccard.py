@@ -7,16 +7,18 @@ least num/den. The steps, none of which makes all pairs of a group:
    similar sets the first so-and-so many tokens share a certain number (prefix()
    and least_shared()). Counts over the corpus tell in how many sets each of
    these tokens stands; a set with too few that stand elsewhere has no partner.
-2. Of the tokens that do, a set's rarest are enough to meet every partner. Sets
-   that meet through them, directly or by others, form a family (components of
-   the set-token graph: rows and rounds grow with the tokens, not with pairs).
+2. Of the tokens that do, a set's rarest are enough to meet every partner. Two
+   sets that meet by chance are told apart by size and parity bits, which lose no
+   similar pair; of a token that more than LIST sets hold, all are tied to the
+   smallest. Sets tied directly or by others form a family (rows and rounds grow
+   with the tokens, not with pairs).
 3. A family is solved locally by the token-group matrix: similar sets (same
    first shared token) form groups, each stores the union of its tokens, the
    matrix gives for a query set its overlap with all unions at once, and only
    groups whose overlap can reach the least number are opened. A group whose
    members are all linked with the query already stays closed. Families too
-   large for a task are cut into blocks by their first shared token, and each
-   pair of blocks that share a rare token is a task.
+   large for a task are cut into blocks by their first shared token; each pair of
+   blocks that share rare tokens is a task of the sets that hold these.
 4. Components of the links are the classes.
 
 Words are those between blanks, A-Z lower-cased. All texts, all shingles and all tokens take part; blocks bound a task, and
@@ -45,6 +47,8 @@ from .substring import distinct
 
 #: Sets in a group of the matrix and in a block of a family, and bytes of sets that a task solves together.
 GROUP, BLOCK, TASK_BYTES = 32, 2048, 8_000_000
+#: Least parity bits of a set, sets of a token that are compared in pairs by these, and rows that a task compares.
+PARITY, LIST, TASK_MEETS = 512, 64, 100_000
 #: Rows of the table of families up to which it is broadcast.
 MOST_BROADCAST = 1_000_000
 _STEP = np.uint64(0x9E3779B97F4A7C15)
@@ -104,6 +108,30 @@ def token_keys(tokens: np.ndarray) -> np.ndarray:
     return mix64(tokens ^ np.uint64(0xA5A5A5A5A5A5A5A5))
 
 
+def parity(s: np.ndarray) -> bytes:
+    """A parity bit for each of PARITY buckets of members, of twice as many from 2,048 members on, and so on."""
+    width = PARITY << max(0, len(s).bit_length() - 11)
+    return np.packbits(np.bincount((mix64(s + _STEP) % np.uint64(width)).astype(np.int64), minlength=width).astype(np.uint8) & 1, bitorder="little").tobytes()
+
+
+def possible(x: np.ndarray, y: np.ndarray, sizes: np.ndarray, bits: list[bytes], num: int, den: int) -> np.ndarray:
+    """Which of the pairs of sets at places x and y can be similar: those whose sizes allow it, and of whose parity bits, folded to
+    as many as the smaller has, no more differ than members of similar sets may, (n1 + n2)(den - num)/(den + num) (see neighbors.alike)."""
+    low, high = np.minimum(sizes[x], sizes[y]), np.maximum(sizes[x], sizes[y])
+    out, width = den * low >= num * high, np.array([len(b) // 8 for b in bits], np.int64)
+    for w in np.unique(width).tolist():
+        pairs = np.nonzero(out & (np.minimum(width[x], width[y]) == w))[0]
+        who = np.unique(np.concatenate([x[pairs], y[pairs]]))
+        table = np.zeros((len(who), w), np.uint64)
+        for v in np.unique(width[who]).tolist():
+            at = np.nonzero(width[who] == v)[0]
+            table[at] = np.bitwise_xor.reduce(np.frombuffer(b"".join(bits[i] for i in who[at].tolist()), np.uint64).reshape(len(at), v // w, w), axis=1)
+        for some in (pairs[i : i + 50_000] for i in range(0, len(pairs), 50_000)):
+            differ = np.bitwise_count(table[np.searchsorted(who, x[some])] ^ table[np.searchsorted(who, y[some])]).sum(1, dtype=np.int64)
+            out[some] = differ * (den + num) <= (sizes[x[some]] + sizes[y[some]]) * (den - num)
+    return out
+
+
 # ---------------------------------------------------------------- local solving
 
 
@@ -228,14 +256,41 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
                     toks, least = s[:k][often > 1], least_shared(len(s), num, den)
                     if len(toks) >= least:
                         rare = toks[np.lexsort((toks, often[often > 1]))[: len(toks) - least + 1]]
-                        rows.append({"fp": (f := fingerprint(s)), "id": int(np.frombuffer(f, np.int64)[0]), "g": int(toks[:1].view(np.int64)[0]), "rare": rare.view(np.int64).tolist(), "held": s.tobytes()})
-                yield pa.RecordBatch.from_pylist(rows, pa.schema([("fp", pa.binary()), ("id", pa.int64()), ("g", pa.int64()), ("rare", pa.list_(pa.int64())), ("held", pa.binary())]))
+                        rows.append({"fp": (f := fingerprint(s)), "id": int(np.frombuffer(f, np.int64)[0]), "g": int(toks[:1].view(np.int64)[0]), "rare": rare.view(np.int64).tolist(), "size": len(s), "parity": parity(s), "held": s.tobytes()})
+                yield pa.RecordBatch.from_pylist(rows, pa.schema([("fp", pa.binary()), ("id", pa.int64()), ("g", pa.int64()), ("rare", pa.list_(pa.int64())), ("size", pa.int64()), ("parity", pa.binary()), ("held", pa.binary())]))
 
-    cand = written(packed.join(said.join(firsts, "page", "left"), "page", "left").select("ids", "body", "said", "firsts").mapInArrow(frugal(candidates), "fp binary, id long, g long, rare array<long>, held binary"), spark)
-    # Families: each set is tied to the smallest set of each of its rare tokens. 64 bits name a set here; equal names would only join two families.
+    cand = written(packed.join(said.join(firsts, "page", "left"), "page", "left").select("ids", "body", "said", "firsts").mapInArrow(frugal(candidates), "fp binary, id long, g long, rare array<long>, size long, parity binary, held binary"), spark)
+    # Families: sets that meet in a rare token and may be similar. 64 bits name a set here; equal names would only join two families.
     tied = cand.select("id", F.explode("rare").alias("token"))
-    stars = tied.groupBy("token").agg(F.min("id").alias("low"), F.max("id").alias("high")).where("low < high").select("token", "low")
-    ties = written(tied.join(stars, "token").where("id <> low").select("id", "low").distinct(), spark)
+    stars = tied.groupBy("token").agg(F.min("id").alias("low"), F.max("id").alias("high"), F.count(F.lit(1)).alias("n")).where("low < high").select("token", "low", "n")
+    meets = written(tied.join(stars, "token").select("token", "id", "low", "n"), spark)
+    # Copies share many tokens: equal lists of sets are compared once.
+    few = meets.where(F.col("n") <= LIST).groupBy("token").agg(F.sort_array(F.collect_list("id")).alias("ids")).groupBy("ids").agg(F.min("token").alias("token"))
+    few = written(few.select("token", F.explode("ids").alias("id")), spark)
+
+    def meet(pdf: pd.DataFrame) -> pd.DataFrame:
+        pdf = pdf.sort_values(["token", "id"], ignore_index=True)
+        names, first, ids = np.unique(pdf["id"].to_numpy(), return_index=True, return_inverse=True)
+        sizes, bits = pdf["size"].to_numpy()[first], pdf["parity"].iloc[first].tolist()
+        begin = np.concatenate([[0], np.nonzero(np.diff(pdf["token"].to_numpy()))[0] + 1])
+        length = np.diff(np.concatenate([begin, [len(pdf)]]))
+        src, dst = [], []
+        for m in np.unique(length).tolist():
+            i, j = np.triu_indices(m, 1)
+            lists, step = ids[begin[length == m][:, None] + np.arange(m)], max(1, 1_000_000 // max(1, len(i)))
+            for some in (lists[k : k + step] for k in range(0, len(lists), step)):
+                key = np.unique(some[:, i].ravel() * len(names) + some[:, j].ravel())
+                x, y = key // len(names), key % len(names)
+                good = possible(x, y, sizes, bits, num, den)
+                src.append(names[x[good]])
+                dst.append(names[y[good]])
+        return pd.DataFrame({"low": np.concatenate([np.zeros(0, np.int64), *src]), "id": np.concatenate([np.zeros(0, np.int64), *dst])}).drop_duplicates(ignore_index=True)
+
+    tasks = F.pmod(F.xxhash64("token"), F.lit(max(16, few.count() // TASK_MEETS)))
+    pairs = few.join(cand.select("id", "size", "parity"), "id").groupBy(tasks).applyInPandas(frugal_group(meet), "low long, id long")
+    pairs = written(pairs.distinct(), spark)
+    many = meets.where(F.col("n") > LIST)
+    ties = pairs.unionByName(many.where("id <> low").select("low", "id").distinct())
     if not ties.head(1):
         return _named(described, None)
     families = connected_components(ties, "id", "low").withColumnsRenamed({"node": "id", "root": "family"})
@@ -248,7 +303,8 @@ def classes(docs: DataFrame, n: int = 5, num: int = 80, den: int = 100, id_col:
     one = F.lit(0).cast("long")
     tasks = cand.join(small, "id").withColumns({"own": one, "i": one, "j": one}).select(*wide)
     if large.limit(1).count():
-        dealt = written(_block_pairs(cand, tied.join(stars, "token").select("id", "token"), placed))
+        tied = many.select("id", "token").unionByName(pairs.select(F.explode(F.array("low", "id")).alias("id"), F.xxhash64("low", "id").alias("token")))
+        dealt = written(_block_pairs(cand, tied, placed))
         if dealt.limit(MOST_BROADCAST + 1).count() <= MOST_BROADCAST:  # so that the sets themselves are shuffled once, to their tasks
             dealt = F.broadcast(dealt)
         tasks = tasks.unionByName(cand.join(dealt, ["id", "fp"]).select(*wide))
@@ -277,19 +333,20 @@ def _block_pairs(cand: DataFrame, tied: DataFrame, placed: DataFrame) -> DataFra
     """(id, fp, family, own, i, j): the sets of families of more than BLOCK sets, dealt to pairs of blocks.
 
     Sets of one first shared token, which similar sets mostly have in common, lie
-    in one block, or in several where they are too many. Two blocks meet only if
-    they share a rare token, as two similar sets do: a family that is a long
-    chain of small resemblances has as many pairs as neighbours, not the square
-    of its blocks.
+    in one block, or in several where they are too many. Two blocks meet only in
+    the rare tokens that both hold, as two similar sets do, and only the sets that
+    hold one of these go there: a set is sent as often as its rare tokens lie in
+    other blocks, not as often as its block has neighbours.
     """
     sets = cand.select("id", "fp", "g").join(placed.where("blocks > 1"), "id").withColumn("bucket", F.pmod(F.xxhash64("g"), F.col("blocks")))
     parts = sets.groupBy("family", "bucket").agg(F.ceil(F.count(F.lit(1)) / (2 * BLOCK)).alias("parts"))  # of about BLOCK sets each; up to twice as many stay together
     own = F.col("bucket") * (1 << 32) + F.pmod(F.xxhash64("fp"), F.col("parts"))
     blocked = written(sets.join(parts, ["family", "bucket"]).select("id", "fp", "family", own.alias("own")))
-    met = written(tied.join(blocked.select("id", "family", "own"), "id").select("family", "token", "own").distinct())
-    pairs = met.select("family", "token", F.col("own").alias("i")).join(met.select("family", "token", F.col("own").alias("j")), ["family", "token"]).where("i <= j").select("family", "i", "j").distinct()
-    sides = pairs.select("family", "i", "j", F.col("i").alias("own")).unionByName(pairs.where("i < j").select("family", "i", "j", F.col("j").alias("own")))
-    return blocked.join(sides, ["family", "own"])
+    held = written(tied.join(blocked, "id").select("id", "fp", "family", "token", "own"))
+    blocks = held.select("family", "token", F.col("own").alias("other")).distinct()
+    across = held.join(blocks, ["family", "token"]).where("own <> other").select("id", "fp", "family", "own", "other").distinct()
+    alone = blocked.select("id", "fp", "family", "own", F.col("own").alias("other"))
+    return alone.unionByName(across).select("id", "fp", "family", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
 
 
 def how_many(group: np.ndarray, vals: np.ndarray) -> np.ndarray:

@@ -349,6 +349,39 @@ def test_prefix_bounds():
 # ---------------------------------------------------------------- 10
 
 
+@pytest.mark.parametrize("num", [40, 60, 90])
+def test_jaccard_parity_bits_lose_no_similar_pair(num):
+    rng, sets = np.random.default_rng(num), []
+    for n in (1, 2, 9, 60, 500, 2040, 2050, 5000):
+        base = rng.integers(0, 1 << 63, n, dtype=np.uint64)
+        for other in (0, 1, n // 30, n // 9, n // 2, n):
+            sets.append(np.unique(np.concatenate([base[other:], rng.integers(0, 1 << 63, other // 2, dtype=np.uint64)])))
+    sets = [s for s in sets if len(s)]
+    x, y = np.triu_indices(len(sets), 1)
+    good = jaccard.possible(x, y, np.array([len(s) for s in sets]), [jaccard.parity(s) for s in sets], num, 100)
+    x, y = x[good], y[good]
+    both = lambda a, b: len(np.intersect1d(a, b))
+    want = {(i, j) for j in range(len(sets)) for i in range(j) if 100 * (k := both(sets[i], sets[j])) >= num * (len(sets[i]) + len(sets[j]) - k)}
+    found = set(zip(x.tolist(), y.tolist(), strict=True))
+    assert want and want <= found and len(found) < len(sets) * (len(sets) - 1) // 2
+
+
+def test_jaccard_sends_sets_as_often_as_they_meet_not_as_their_block_does(spark, monkeypatch):
+    monkeypatch.setattr(jaccard, "BLOCK", 8)
+    n = 256
+    cand = spark.createDataFrame([(i, b"%d" % i, i) for i in range(n)], "id long, fp binary, g long")
+    # A family that chance meetings hold together: each set shares one token with the next and one with a set far away.
+    far = np.random.default_rng(1).permutation(n).tolist()
+    tied = spark.createDataFrame([(x, t) for i in range(n) for t, pair in ((i, (i, (i + 1) % n)), (n + i, (i, far[i]))) for x in set(pair)], "id long, token long")
+    placed = spark.createDataFrame([(i, 0, n // 8) for i in range(n)], "id long, family long, blocks int")
+    dealt = jaccard._block_pairs(cand, tied, placed).collect()
+    tasks = {}
+    for r in dealt:
+        tasks.setdefault(r.id, set()).add((r.i, r.j))
+    assert len(dealt) <= n + 4 * n
+    assert all(tasks[i] & tasks[j] for i in range(n) for j in ((i + 1) % n, far[i]))
+
+
 def test_decontamination_equals_brute_force(spark, monkeypatch):
     bench = [(1, prose(25)), (2, "Zebra, quagga!"), (3, ""), (4, None), (None, prose(12)), (1, prose(11)), (20, prose(10))]
     texts = [prose(30) + " " + bench[0][1].upper() + ". " + prose(5), "A zebra quagga ZEBRA-QUAGGA", bench[6][1] + " " + bench[5][1], "", None, prose(2000)]
