@@ -116,6 +116,12 @@ def test_exact_pairs_equal_brute_force(spark):
     assert sorted((x.id1, x.id2) for x in got) == want and want
 
 
+def test_bucket_counts_count_all_sets(spark):
+    df = spark.createDataFrame([(i, [7, i + 100]) for i in range(300)], "id long, items array<long>")
+    n = neighbors.bucket_counts(df.repartition(3))
+    assert n.sum() == 600 and n[neighbors._buckets(np.array([7], np.int64))[0]] >= 300
+
+
 def test_library_join_agrees_with_exact_pairs(spark):
     rows = [(1, [1, 2, 3, 4]), (2, [1, 2, 3, 4, 5]), (3, [9, 10])]
     df = spark.createDataFrame(rows, "id long, active array<long>").withColumn("features", bbit.to_vector(F.col("active"), 20))
