@@ -62,7 +62,7 @@ def time_load(spark: SparkSession, path: str, dims: int) -> float:
 
 
 def time_preprocess(items: DataFrame, k: int, shape: str = "arrow") -> float:
-    """Seconds to make k minima of each set, vectorised ("arrow") or as a row expression ("array")."""
+    """Seconds to make k minima of each set, vectorised ("arrow") or by row expressions ("compiled"; "array" with lambdas)."""
     from ..functions.hashing import TwoUniversal
     from ..functions.minwise import signature
 

@@ -5,8 +5,8 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from sketchlearn.functions import minwise, similarity
-from sketchlearn.functions.hashing import StoredPermutations
+from sketchlearn.functions import hashing, minwise, sets, similarity
+from sketchlearn.functions.hashing import PRIME, AffinePrime, MersenneTwoUniversal, StoredPermutations, TwoUniversal
 from sketchlearn.operators import neighbors
 from sketchlearn.plans import experiments, workloads
 from sketchlearn.sources import shared
@@ -70,3 +70,43 @@ def test_images_of_a_large_dictionary_come_one_at_a_time():
     a, b = experiments.family_images("permutation", 3, 2, 9)
     rng = np.random.default_rng([7, 3])
     assert a.tolist() == rng.permutation(9).tolist() and b.tolist() == rng.permutation(9).tolist()
+
+
+@pytest.mark.parametrize("family", [TwoUniversal(7), TwoUniversal(3, 1 << 4), TwoUniversal(3, 1), AffinePrime(5), MersenneTwoUniversal(4, 1 << 20)])
+@pytest.mark.parametrize("tile", [1 << 16, 100])
+def test_minima_of_many_sets_by_fixed_point(family, tile, monkeypatch):
+    monkeypatch.setattr(minwise, "TILE", tile)
+    rng = np.random.default_rng(5)
+    sizes = np.array([1, 2, 1, 350, 99, 1, 100, 7, 3000])
+    flat = rng.integers(0, PRIME + 1, sizes.sum())
+    flat[:6] = [0, PRIME, PRIME - 1, 1, 1 << 30, (1 << 30) - 1]
+    points = hashing.fixed_point(family)
+    want = [[min((a + b * t) % PRIME % family.range for t in s.tolist()) for a, b in family.numbers()] for s in np.split(flat, np.cumsum(sizes)[:-1])]
+    assert minwise.many_minima(flat, sizes, points).tolist() == want
+    # Every value of a few functions, nearest to and farthest from a wrap: items that give it are found by inversion.
+    for j, (a, b) in enumerate(family.numbers()):
+        t = np.array([(r - a) * pow(b, -1, PRIME) % PRIME for r in (0, 1, 2, PRIME // 2, PRIME // 2 + 1, PRIME - 2, PRIME - 1)])
+        assert minwise.many_minima(t, np.ones(len(t), np.int64), points)[:, j].tolist() == [int((a + b * int(x)) % PRIME % family.range) for x in t]
+    assert hashing.fixed_point(hashing.WideTwoUniversal(2)) is None and hashing.fixed_point(TwoUniversal(2, 1000)) is None
+
+
+@pytest.mark.parametrize("k", [7, 500])
+def test_compiled_minima_equal_those_of_the_other_shapes(spark, k):
+    """Each row is a set by itself, also of equal or null ids; no lambda runs over items."""
+    rng = np.random.default_rng(8)
+    rows = [(i // 2 if i else None, sorted(rng.choice(1 << 30, n, replace=False).tolist())) for i, n in enumerate([1, 7, 8, 9, 16, 0, 700, 3])]
+    df = shared.written(spark.createDataFrame(rows, "id long, items array<long>"))
+    family = TwoUniversal(k)
+    key = lambda r: (r.id is None, r.id, r.sig)
+    want = sorted((r for r in minwise.signature(df, family, shape="array").select("id", "sig").collect() if r.sig), key=key)
+    got = minwise.signature(df, family, shape="compiled")
+    assert sorted(got.collect(), key=key) == want and len(want) == 7
+    assert sorted((r for r in minwise.signature(df, family).select("id", "sig").collect() if r.sig), key=key) == want
+    plan = minwise.signature(df, family, shape="compiled")._jdf.queryExecution().executedPlan().toString()
+    assert plan.count("Exchange hashpartitioning") == 1
+
+
+def test_loading_and_preprocessing_hashes_every_item(spark):
+    rows = {r.step: r for r in experiments.loading_and_preprocessing(spark, SF, 20).collect()}
+    n = sets.documents(spark, SF).select(F.sum(F.size("items"))).first()[0]
+    assert [rows[s].hashes for s in ("preprocess_vectorised", "preprocess_row_expression")] == [20 * n, 20 * n] and len(rows) == 5
