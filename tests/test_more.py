@@ -187,6 +187,27 @@ def test_families_learn_alike(spark):
     assert all(abs(got["permutation", loss, 50].accuracy - got["two_universal", loss, 50].accuracy) < 0.1 for loss in ("hinge", "logistic"))
 
 
+def test_families_learn_from_all_training_rows(spark, monkeypatch):
+    result = lambda: sorted(map(tuple, experiments.permutation_vs_universal_accuracy(spark, SF, runs=2).collect()))
+    want, seen = result(), []
+    monkeypatch.setattr(experiments, "MAX_TRAIN", 10)
+    for name, v in (("RUNS_AT_ONCE", 1), ("HELD_ROWS", 20)):
+        monkeypatch.setattr(experiments, name, v, raising=False)
+        seen.append(result())
+    assert all([x[:4] for x in got] == [x[:4] for x in want] and np.allclose([x[4] for x in got], [x[4] for x in want], atol=0.02) for got in seen)
+
+
+@pytest.mark.parametrize("loss", ["hinge", "logistic"])
+def test_runs_learned_together_equal_those_learned_alone(loss):
+    rng = np.random.default_rng(3)
+    y = np.where(rng.random(200) < 0.5, 1.0, -1.0)
+    codes = np.where(rng.random((200, 3, 8)) < 0.3, (y[:, None, None] > 0) * 3, rng.integers(0, 16, (200, 3, 8))).astype(np.uint8)
+    w = learn.dual_coordinate_runs(codes, y, 16, 1.0, loss)
+    for r in range(3):
+        rows = learn.SparseRows(list(np.arange(8) * 16 + 15 - codes[:, r].astype(int)), None, 8 * 16)
+        assert np.abs(w[r] - learn.dual_coordinate(rows, y, 1.0, loss, epochs=200, tol=1e-6)).max() < 0.05
+
+
 def test_bands_find_nearly_all_near_pairs(spark):
     r = workloads.near_pairs_recall(spark, SF).first()
     assert r.found >= 0.9 * r.pairs and r.pairs > 0
