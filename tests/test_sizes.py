@@ -46,6 +46,15 @@ def test_matches_of_pairs_and_permuted_signatures(spark, block, monkeypatch):
     assert got == {(a, b): (a * b, same(a, b, -1), same(a, b, 3)) for a in want for b in want if a < b}
 
 
+def test_large_unlike_sets_of_a_bucket_are_told_apart_by_parity(spark):
+    rng = np.random.default_rng(8)
+    sets_of = [sorted(rng.choice(1 << 30, n, replace=False).tolist()) for n in (700, 1500, 1600, 3000, 3100, 9000)]
+    sets_of += [x[: -len(x) // 20] for x in sets_of]  # each has a near copy; widths of parity differ in some
+    df = spark.createDataFrame([(i, x, [5] * 16) for i, x in enumerate(sets_of)], "id long, items array<long>, sig array<long>")
+    pairs = neighbors.band_candidates(neighbors.described(df, 8, 2), 8, 2, 0.8).collect()
+    assert sorted((r.id1, r.id2) for r in pairs) == [(i, i + 6) for i in range(6)]
+
+
 @pytest.mark.parametrize("family", [512, 2])
 def test_near_copies_are_verified_by_family_without_stored_items(spark, family, monkeypatch):
     monkeypatch.setattr(neighbors, "FAMILY", family)
