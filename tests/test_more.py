@@ -116,6 +116,37 @@ def test_exact_pairs_equal_brute_force(spark):
     assert sorted((x.id1, x.id2) for x in got) == want and want
 
 
+@pytest.mark.parametrize("groups", [1, 3, 50])
+def test_meetings_lose_no_pair_and_drop_chance_ones(groups, monkeypatch):
+    monkeypatch.setattr(neighbors, "MEETINGS", 50)
+    rng = np.random.default_rng(groups)
+    base = [rng.choice(100_000, n, replace=False) for n in (5, 12, 40, 150, 400)]
+    base = [np.concatenate([b, [200_000, 200_001]]) for b in base]  # two items that all sets hold first
+    rows = [np.unique(np.concatenate([rng.permutation(b)[: len(b) - int(rng.integers(0, 1 + len(b) // 6))], [200_000, 200_001]])) for b in base for _ in range(12)]
+    order = lambda x: np.concatenate([x[x >= 200_000], x[x < 200_000]])
+    heads = [order(x)[: len(x) - int(np.ceil(0.8 * len(x) - 1e-9)) + 1] for x in rows]
+    r = lambda a, b: len(np.intersect1d(a, b)) / len(np.union1d(a, b))
+    want = {(i, j) for i in range(60) for j in range(i + 1, 60) if r(rows[i], rows[j]) >= 0.8}
+    got = set()
+    for g in range(groups):
+        some = [i for i in range(60) if (heads[i] % groups == g).any()]
+        l, r2 = neighbors.meeting(np.array(some, np.int64), np.array([len(rows[i]) for i in some], np.int64), [heads[i][heads[i] % groups == g].astype(np.uint32).tobytes() for i in some], 0.8, groups)
+        got |= set(zip(l.tolist(), r2.tolist(), strict=True))
+    assert want <= got
+    if groups == 1:  # 150 and 400 items: pairs that have only the two first items in common do not leave
+        assert not any(i // 12 != j // 12 for i, j in got if min(i, j) >= 36)
+
+
+def test_near_pairs_recall_does_not_join_chance_meetings(spark, monkeypatch):
+    joined = []
+    plain = neighbors.verified
+    monkeypatch.setattr(neighbors, "verified", lambda pairs, *more: joined.append(pairs.count()) or plain(pairs, *more))
+    rng = np.random.default_rng(5)
+    rows = [(i, sorted([*range(3), *(1000 + rng.choice(10**6, 9000, replace=False)).tolist()])) for i in range(12)]  # larger than 4,096 bits tell apart
+    monkeypatch.setattr(neighbors, "bucket_counts", lambda sets: np.zeros(neighbors.BUCKETS, np.uint16))
+    assert neighbors.exact_pairs(spark.createDataFrame(rows, "id long, items array<long>"), 0.8).count() == 0 and joined == [0]
+
+
 def test_bucket_counts_count_all_sets(spark):
     df = spark.createDataFrame([(i, [7, i + 100]) for i in range(300)], "id long, items array<long>")
     n = neighbors.bucket_counts(df.repartition(3))
