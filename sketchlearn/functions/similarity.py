@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -12,6 +14,8 @@ from ..sources.shared import written
 
 #: Ids in a block of pairs (a power of two), and pairs compared at a time.
 PAIR_BLOCK, PAIRS_AT_ONCE = 512, 1 << 14
+#: Pairs that are counted at a time, ids in a batch that is dealt to blocks, and sets up to which their sizes go to every task.
+PAIRS_COUNTED, DEALT, FEW_SETS = 1 << 22, 1 << 20, 1_000_000
 
 
 def resemblance(a: Column, b: Column) -> Column:
@@ -23,12 +27,60 @@ def resemblance3(a: Column, b: Column, c: Column) -> Column:
     return F.size(F.array_intersect(F.array_intersect(a, b), c)) / F.nullif(F.size(F.array_union(F.array_union(a, b), c)), F.lit(0))
 
 
+def common_counts(s: DataFrame) -> DataFrame:
+    """(id1, id2, a): in how many t both ids of each pair stand, of distinct rows (id, t). The ids of an item go once to each block of ids that it has
+    ids in, from the block's first on, not as pairs; a block's pairs are made and counted there, some at a time."""
+    shift = PAIR_BLOCK.bit_length() - 1
+    listed = s.where("id is not null and t is not null").groupBy("t").agg(F.array_sort(F.collect_list(F.col("id").cast("long"))).alias("ids")).where(F.size("ids") > 1)
+
+    def deal(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in (whole.slice(i, 2000) for whole in batches for i in range(0, whole.num_rows, 2000)):
+            ids, n = b.column(0).flatten().to_numpy(zero_copy_only=False), b.column(0).value_lengths().to_numpy(zero_copy_only=False)
+            row, ends, block = np.repeat(np.arange(len(n)), n), np.cumsum(n), ids >> shift
+            first = np.nonzero((np.diff(row, prepend=-1) != 0) | (np.diff(block, prepend=block[:1]) != 0))[0]
+            own, size = np.diff(first, append=len(ids)), ends[row[first]] - first
+            first, own, size = first[size > 1], own[size > 1], size[size > 1]
+            cuts = np.cumsum(size)
+            for i, j in zip(*(lambda at: (at[:-1], at[1:]))(np.unique(np.concatenate([[0], np.searchsorted(cuts, np.arange(DEALT, (cuts[-1] if len(cuts) else 0) + DEALT, DEALT)), [len(cuts)]])).clip(0, len(cuts))), strict=True):
+                m = size[i:j]
+                at = np.repeat(first[i:j], m) + np.arange(m.sum()) - np.repeat(np.cumsum(m) - m, m)
+                lists = pa.ListArray.from_arrays(pa.array(np.concatenate([[0], np.cumsum(m)]), pa.int32()), pa.array(ids[at]))
+                yield pa.RecordBatch.from_arrays([pa.array(block[first[i:j]]), pa.array(own[i:j]), lists], names=["block", "own", "ids"])
+
+    def count(table: pa.Table) -> pa.Table:
+        lists = table.column("ids").combine_chunks()
+        flat, n, own = lists.flatten().to_numpy(zero_copy_only=False), lists.value_lengths().to_numpy(zero_copy_only=False), table.column("own").to_numpy()
+        names, place = np.unique(flat, return_inverse=True)
+        start = np.cumsum(n) - n
+        # An id of the block meets those after it in its list.
+        left = np.repeat(start, own) + np.arange(own.sum()) - np.repeat(np.cumsum(own) - own, own)
+        meets = np.repeat(start + n, own) - left - 1
+        left, meets = left[meets > 0], meets[meets > 0]
+        order = np.argsort(place[left], kind="stable")
+        left, meets = left[order], meets[order]
+        key, total = place[left], np.cumsum(meets)
+        begin = np.nonzero(np.diff(key, prepend=-1))[0]  # where an id begins: its pairs are counted together
+        slot = (total[begin] - meets[begin]) // PAIRS_COUNTED
+        cuts, out = [*begin[np.nonzero(np.diff(slot, prepend=-1))[0]].tolist(), len(left)], []
+        for i, j in zip(cuts[:-1], cuts[1:], strict=True):
+            m = meets[i:j]
+            x = np.repeat(key[i:j], m)
+            y = place[np.repeat(left[i:j] + 1, m) + np.arange(len(x)) - np.repeat(np.cumsum(m) - m, m)]
+            pair = np.sort(x * len(names) + y)
+            new = np.nonzero(np.diff(pair, prepend=-1))[0]
+            out.append((pair[new], np.diff(new, append=len(pair))))
+        pair, a = (np.concatenate([np.zeros(0, np.int64), *(o[k] for o in out)]) for k in (0, 1))
+        return pa.table({"id1": names[pair // max(1, len(names))], "id2": names[pair % max(1, len(names))], "a": a})
+
+    return listed.select("ids").mapInArrow(deal, "block long, own long, ids array<long>").groupBy("block").applyInArrow(count, "id1 long, id2 long, a long")
+
+
 def resemblance_pairs(long: DataFrame, id_col: str = "id") -> DataFrame:
-    """(id1, id2, f1, f2, a, r) of all pairs that share an item. Rows made: the sum over items of the squared number of sets."""
+    """(id1, id2, f1, f2, a, r) of all pairs that share an item, of distinct rows (id, t). Pairs made: the sum over items of the squared number of sets."""
     s = long.select(F.col(id_col).alias("id"), "t")
-    f = s.groupBy("id").agg(F.count(F.lit(1)).alias("f"))
-    common = s.select(F.col("id").alias("id1"), "t").join(s.select(F.col("id").alias("id2"), "t"), "t").where("id1 < id2").groupBy("id1", "id2").agg(F.count(F.lit(1)).alias("a"))
-    sized = common.join(f.select(F.col("id").alias("id1"), F.col("f").alias("f1")), "id1").join(f.select(F.col("id").alias("id2"), F.col("f").alias("f2")), "id2")
+    f = written(s.groupBy("id").agg(F.count(F.lit(1)).alias("f")))
+    held = F.broadcast(f) if f.count() <= FEW_SETS else f
+    sized = common_counts(s).join(held.select(F.col("id").alias("id1"), F.col("f").alias("f1")), "id1").join(held.select(F.col("id").alias("id2"), F.col("f").alias("f2")), "id2")
     return sized.select("id1", "id2", "f1", "f2", "a", (F.col("a") / (F.col("f1") + F.col("f2") - F.col("a"))).alias("r"))
 
 

@@ -25,6 +25,21 @@ def test_ties_round_as_in_sql(spark):
     assert got == [x for (x,) in want]
 
 
+@pytest.mark.parametrize("block", [512, 2])
+def test_common_items_are_counted_in_blocks_without_a_join_of_items(spark, block, monkeypatch):
+    for name, v in {"PAIR_BLOCK": block, "PAIRS_COUNTED": 40, "DEALT": 16}.items():
+        monkeypatch.setattr(similarity, name, v, raising=False)
+    rng = np.random.default_rng(9)
+    items = {i: set(rng.choice(40, int(rng.integers(1, 12)), replace=False).tolist()) for i in range(-5, 30)}
+    df = shared.written(spark.createDataFrame([(i, t) for i, x in items.items() for t in x] + [(None, 3), (4, None)], "id long, t long"))
+    found = similarity.resemblance_pairs(df.where("t is not null"))
+    got = {(r.id1, r.id2): (r.f1, r.f2, r.a, r.r) for r in found.collect()}
+    want = {(i, j): (len(x), len(y), len(x & y), len(x & y) / len(x | y)) for i, x in items.items() for j, y in items.items() if i < j and x & y}
+    assert got == want
+    plan = similarity.resemblance_pairs(df)._jdf.queryExecution().executedPlan().toString()
+    assert "FlatMapGroupsInArrow" in plan and "SortMergeJoin [t#" not in plan and "(id1#" not in plan.split("FlatMapGroupsInArrow")[-1]
+
+
 @pytest.mark.parametrize("block", [512, 2])
 def test_matches_of_pairs_and_permuted_signatures(spark, block, monkeypatch):
     monkeypatch.setattr(similarity, "PAIR_BLOCK", block)
