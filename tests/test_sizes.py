@@ -25,6 +25,12 @@ def test_ties_round_as_in_sql(spark):
     assert got == [x for (x,) in want]
 
 
+def test_quick_rounding_equals_the_decimal_one(spark):
+    x = [*np.random.default_rng(2).normal(0, 3, 500).tolist(), -1e-9, 0.0, 2.5e7, -3e12, float("nan"), None]
+    rows = spark.createDataFrame([(v,) for v in x], "x double").select(workloads.quick6(F.col("x")).alias("a"), F.round("x", 6).alias("b")).collect()
+    assert [str(r.a) for r in rows] == [str(r.b) for r in rows]
+
+
 @pytest.mark.parametrize("block", [512, 2])
 def test_common_items_are_counted_in_blocks_without_a_join_of_items(spark, block, monkeypatch):
     for name, v in {"PAIR_BLOCK": block, "PAIRS_COUNTED": 40, "DEALT": 16}.items():
